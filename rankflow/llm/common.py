@@ -162,5 +162,23 @@ def map_file(uri: str, dtype: str) -> np.ndarray:
     return np.memmap(path, dtype=dtype, mode="r")
 
 
+class Kept(dict):
+    """Results of ``make`` by key, of at most twice ``size`` keys: when one
+    generation is full, only what is asked for again moves to the next."""
+
+    def __init__(self, make, size: int = 150_000):
+        self.make, self.size, self.old = make, size, {}
+
+    def __missing__(self, key):
+        got = self.old.get(key, self)
+        if got is self:
+            got = self.make(key)
+        if len(self) >= self.size:
+            self.old = dict(self)
+            self.clear()
+        self[key] = got
+        return got
+
+
 def texts_of(column: pa.ChunkedArray | pa.Array) -> list[str]:
     return ["" if x is None else x for x in column.to_pylist()]

@@ -10,12 +10,14 @@ linked with nothing. Repeated ids keep a row each and share their component.
 How the work stays bounded under large groups of copies:
 
 * documents with equal sets form a class before any search; a class is one row;
-* within a bucket of the banding, rounds test members only against the bucket's
-  pivots, so a group of m near copies costs m tests a round and not m * m / 2;
-* members of a bucket that are already connected need no further test. What is
-  left are pairs of a bucket that lie in different components; when those are
-  few (in proportion to the rows) all of them are tested, so no link that
-  could connect two components is lost; until then more pivots are taken.
+* a small bucket of the banding gives all its pairs, a bounded number a row;
+* in large buckets, two turns test members only against one pivot of each
+  bucket, so a group of m near copies costs m tests and not m * m / 2. Members
+  already connected need no further test. Those outside a bucket's commonest
+  component are then tested against all of the bucket, in blocks of a bounded
+  size that tasks hold one pair of at a time; a task returns only the links that
+  connect components. No pair of a bucket that could connect two components is
+  left untested.
 
 The banding misses a pair at the similarity threshold with probability
 (1 - 0.85 ** rows) ** bands: 2.7e-7 with 32 bands of 6 rows.
@@ -32,31 +34,25 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import shuffle_parts, staged
+from .common import Kept, shuffle_parts, staged
 
 BANDS, ROWS = 32, 6
 WORDS = 5
 #: Signature agreement under which a pair is not worth its full sets: at true
 #: similarity 0.85 the estimate is 10 standard deviations above it.
 LEAST_AGREED = 0.6
-#: Cross-component pairs a bucket member, on average, that are tested outright.
-FEW_PAIRS = 4
-MAX_PIVOT_ROUNDS = 64
+#: Rows of a bucket that gives all its pairs.
+SMALL = 24
+PIVOT_TURNS = 2
+#: Shingles of a block of a large bucket.
+BLOCK_SHINGLES = 400_000
 
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 _MIX = np.uint64(0x9E3779B97F4A7C15)
-KEPT_WORDS = 400_000
 
 
-class Words(dict):
-    """64-bit hashes of words, kept for the words of a worker's batches."""
-
-    def __missing__(self, word: bytes) -> int:
-        got = self[word] = xxhash.xxh3_64_intdigest(word)
-        return got
-
-
-_words = Words()
+#: 64-bit hashes of the words of a worker's batches.
+_words = Kept(xxhash.xxh3_64_intdigest)
 
 
 def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
@@ -67,8 +63,6 @@ def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
     tokens = raw.split()  # bytes split at exactly the six ASCII white space bytes
     if not tokens:
         return np.empty(0, np.uint64)
-    if len(_words) > KEPT_WORDS:
-        _words.clear()
     h = np.fromiter(map(_words.__getitem__, tokens), np.uint64, len(tokens))
     width = min(words, len(h))
     n = len(h) - width + 1
@@ -193,10 +187,6 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return now.select(F.col("u").alias("vertex"), F.col("v").alias("component")).unionAll(tops.select("vertex", F.col("vertex").alias("component")))
 
 
-def _pair(a: str, b: str) -> list[Column]:
-    return [F.least(a, b).alias("a"), F.greatest(a, b).alias("b")]
-
-
 def near_components(docs: DataFrame, percent: int = 85, bands: int = BANDS, rows: int = ROWS, words: int = WORDS) -> DataFrame:
     """doc_id, n_shingles, component_id (least doc_id reachable over links) and
     kept (whether that is the document itself), one row for each row of ``docs``.
@@ -214,10 +204,9 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int = BANDS, rows
         .select("doc_id", "n_shingles", "keys", "agreed")
     )
     member = reps.select(F.posexplode("keys").alias("band", "key"), "doc_id")
-    filled = member.groupBy("band", "key").agg(F.count("*").alias("n")).where("n > 1").select("band", "key")
+    filled = member.groupBy("band", "key").agg(F.count("*").alias("n")).where("n > 1")
     member = staged(member.join(filled, ["band", "key"]), "buckets")
-    n_member = member.count()
-    if not n_member:
+    if member.isEmpty():
         return _with_components(marked, classes, None)
 
     wanted = staged(member.select("doc_id").distinct(), "wanted")
@@ -237,41 +226,23 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int = BANDS, rows
         full = likely.join(heavy.select(F.col("doc_id").alias("a"), F.col("set").alias("x")), "a").join(heavy.select(F.col("doc_id").alias("b"), F.col("set").alias("y")), "b")
         return full.where(_confirmed(F.col("x"), F.col("y"), percent)).select("a", "b")
 
-    found: list[DataFrame] = []
-    tested: list[DataFrame] = []
-    label: DataFrame | None = None
-    for turn in range(MAX_PIVOT_ROUNDS):
-        open_rows = _open_buckets(member, label)
-        # pairs across components in a bucket: (n*n - sum of squares) / 2
-        left = open_rows.groupBy("band", "key", "component").count().groupBy("band", "key").agg(F.sum("count").alias("n"), F.sum(F.col("count") * F.col("count")).alias("q")).agg(F.sum((F.col("n") * F.col("n") - F.col("q")) / 2)).first()[0] if turn else None
-        last = left is not None and left <= FEW_PAIRS * n_member
-        if left == 0:
-            break
-        if last:
-            pairs = _cross_pairs(open_rows)
-        else:
-            pivot = open_rows.groupBy("band", "key").agg(F.min_by(F.struct("doc_id", "component"), F.xxhash64("doc_id", "band", F.lit(turn))).alias("p"))
-            pairs = (
-                open_rows.join(pivot, ["band", "key"])
-                .where("doc_id <> p.doc_id and component <> p.component")
-                .select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b"))
-            )
-        pairs = pairs.distinct()
-        for old in tested:
-            pairs = pairs.join(old, ["a", "b"], "left_anti")
-        pairs = staged(pairs, "pairs")
-        tested.append(pairs)
-        found.append(staged(linked(pairs), "links"))
-        every = reduce(DataFrame.unionAll, found)
-        label = staged(components(every.select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
-        if last:
-            break
-    else:
-        open_rows = _open_buckets(member, label)
-        found.append(linked(_cross_pairs(open_rows).distinct()))
-        every = reduce(DataFrame.unionAll, found)
-        label = components(every.select(F.col("a").alias("u"), F.col("b").alias("v")))
-    return _with_components(marked, classes, label)
+    def labelled(links: list[DataFrame]) -> DataFrame:
+        return staged(components(reduce(DataFrame.unionAll, links).select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
+
+    few = member.where(F.col("n") <= SMALL).select("band", "key", "doc_id")
+    found = [staged(linked(_pairs(few).distinct()), "links")]
+    large = member.where(F.col("n") > SMALL).select("band", "key", "doc_id")
+    if large.isEmpty():
+        return _with_components(marked, classes, labelled(found))
+    label = labelled(found)
+    for turn in range(PIVOT_TURNS):
+        rows = _open_buckets(large, label)
+        pivot = rows.groupBy("band", "key").agg(F.min_by(F.struct("doc_id", "component"), F.xxhash64("doc_id", "band", F.lit(turn))).alias("p"))
+        pairs = rows.join(pivot, ["band", "key"]).where("component <> p.component").select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b"))
+        found.append(staged(linked(pairs.distinct()), "links"))
+        label = labelled(found)
+    found.append(staged(_block_links(_open_buckets(large, label), known, percent), "links"))
+    return _with_components(marked, classes, labelled(found))
 
 
 def _named(light: DataFrame, end: str) -> DataFrame:
@@ -287,12 +258,89 @@ def _open_buckets(member: DataFrame, label: DataFrame | None) -> DataFrame:
     return rows.join(mixed, ["band", "key"])
 
 
-def _cross_pairs(open_rows: DataFrame) -> DataFrame:
-    """Pairs of a bucket in different components; their number is bounded by
-    the caller."""
-    one = open_rows.select("band", "key", F.col("doc_id").alias("i"), F.col("component").alias("ci"))
-    two = open_rows.select("band", "key", F.col("doc_id").alias("j"), F.col("component").alias("cj"))
-    return one.join(two, ["band", "key"]).where("i < j and ci <> cj").select(F.col("i").alias("a"), F.col("j").alias("b"))
+def _pairs(rows: DataFrame) -> DataFrame:
+    """All pairs of small buckets."""
+    one = rows.select("band", "key", F.col("doc_id").alias("a"))
+    two = rows.select("band", "key", F.col("doc_id").alias("b"))
+    return one.join(two, ["band", "key"]).where("a < b").select("a", "b")
+
+
+def _block_links(rows: DataFrame, known: DataFrame, percent: int) -> DataFrame:
+    """Links (a, b) that connect components of a bucket: rows outside its
+    commonest component against all its rows, block by block."""
+    sized = rows.join(known.select("doc_id", "n_shingles"), "doc_id")
+    parts = sized.groupBy("band", "key", "component").agg(F.count("*").alias("c"), F.sum("n_shingles").alias("size"))
+    bucket = parts.groupBy("band", "key").agg(F.max_by("component", F.struct("c", F.negative("component"))).alias("major"), F.max(F.struct("c", F.negative("component"), "size"))["size"].alias("most"), F.sum("size").alias("size"))
+    blocks = bucket.select(
+        "band", "key", "major",
+        F.expr(f"int(size div {BLOCK_SHINGLES}) = 0").alias("single"),
+        F.expr(f"int((size - most) div {BLOCK_SHINGLES}) + 1").alias("minors"),
+        F.expr(f"int(most div {BLOCK_SHINGLES}) + 1").alias("majors"),
+    )
+    placed = sized.join(blocks, ["band", "key"]).withColumn("minor", F.col("component") != F.col("major"))
+    at = F.xxhash64("doc_id")
+    i, j = F.pmod(at, F.col("minors")).cast("int"), F.pmod(at, F.col("majors")).cast("int")
+    others = F.sequence(F.lit(0), F.col("minors") - 1)
+    group = F.struct(F.lit(0).alias("kind"), F.lit(0).alias("x"), F.lit(0).alias("y"))
+
+    def cell(kind: int, x: Column, y: Column) -> Column:
+        return F.struct(F.lit(kind).alias("kind"), x.cast("int").alias("x"), y.cast("int").alias("y"))
+
+    homes = (
+        F.when(F.col("single"), F.array(group))
+        .when(F.col("minor"), F.concat(F.transform(others, lambda o: cell(1, F.least(i, o), F.greatest(i, o))), F.transform(F.sequence(F.lit(0), F.col("majors") - 1), lambda o: cell(2, i, o))))
+        .otherwise(F.transform(others, lambda o: cell(2, o, j)))
+    )
+    spread = placed.select("band", "key", "doc_id", "component", "minor", F.explode(homes).alias("g")).select("band", "key", "g.kind", "g.x", "g.y", "doc_id", "component", "minor")
+    full = spread.join(known.select("doc_id", "set"), "doc_id")
+    by = ["band", "key", "kind", "x", "y"]
+    dealt = full.select(*by, "doc_id", "component", "minor", "set").repartition(shuffle_parts(rows.sparkSession), *by).sortWithinPartitions(*by)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+        for b in batches:
+            cols = [c.to_pylist() for c in b.columns]
+            for row in zip(*cols):
+                if row[:5] != now:
+                    if len(held) > 1:
+                        yield _tested(held, percent)
+                    now, held = row[:5], []
+                held.append(row[5:])
+        if len(held) > 1:
+            yield _tested(held, percent)
+
+    return dealt.mapInArrow(run, "a long, b long").distinct()
+
+
+def _tested(held: list[tuple[int, int, bool, bytes]], percent: int) -> pa.RecordBatch:
+    """Links between components of one block pair, no more than connect them."""
+    sets = [np.frombuffer(h[3], np.uint64) for h in held]
+    sizes = np.array([len(s) for s in sets])
+    starts = np.concatenate([[0], np.cumsum(sizes)])
+    _, flat = np.unique(np.concatenate(sets), return_inverse=True)
+    mark = np.zeros(int(flat.max()) + 1, np.int32)
+    root: dict[int, int] = {}
+
+    def top(c: int) -> int:
+        while root.get(c, c) != c:
+            root[c] = root.get(root[c], root[c])
+            c = root[c]
+        return c
+
+    a, b = [], []
+    for i, (doc, own, minor, _) in enumerate(held):
+        if not minor:
+            continue
+        mine = flat[starts[i] : starts[i + 1]]
+        mark[mine] = 1
+        inter = np.add.reduceat(mark[flat], starts[:-1])
+        mark[mine] = 0
+        for k in np.flatnonzero(100 * inter >= percent * (sizes + sizes[i] - inter)).tolist():
+            p, q = top(own), top(held[k][1])
+            if p != q:
+                root[max(p, q)] = min(p, q)
+                a.append(min(doc, held[k][0])), b.append(max(doc, held[k][0]))
+    return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
 
 def _with_components(marked: DataFrame, classes: DataFrame, label: DataFrame | None) -> DataFrame:
@@ -309,3 +357,24 @@ def one_of_each_group(docs: DataFrame, percent: int = 85) -> DataFrame:
     doc_id, all stay or go together. Text moves only where the join shuffles."""
     gone = near_components(docs, percent).where("not kept").select("doc_id")
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+
+
+def near_components_sql(documents: str = "documents", percent: int = 85) -> str:
+    """The same by DuckDB, from all pairs that share a shingle."""
+    return rf"""
+WITH RECURSIVE words AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM {documents}
+), runs AS (
+  SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < {WORDS} THEN [array_to_string(w, ' ')]
+         ELSE list_distinct(list_transform(range(1, len(w) - {WORDS} + 2), i -> array_to_string(list_slice(w, i, i + {WORDS - 1}), ' '))) END AS s FROM words
+), sizes AS (SELECT doc_id, CAST(len(s) AS BIGINT) AS n FROM runs
+), members AS (SELECT doc_id, unnest(s) AS g FROM runs
+), shared AS (
+  SELECT x.doc_id AS a, y.doc_id AS b, count(*) AS c FROM members x JOIN members y ON x.g = y.g AND x.doc_id < y.doc_id GROUP BY 1, 2
+), links AS (
+  SELECT a, b FROM shared JOIN sizes p ON p.doc_id = a JOIN sizes q ON q.doc_id = b WHERE 100 * c >= {percent} * (p.n + q.n - c)
+), ways AS (SELECT a AS u, b AS v FROM links UNION ALL SELECT b, a FROM links
+), reach(u, v) AS (SELECT doc_id, doc_id FROM sizes UNION SELECT reach.u, ways.v FROM reach JOIN ways ON reach.v = ways.u)
+SELECT s.doc_id, s.n AS n_shingles, r.v AS component_id, s.doc_id = r.v AS kept
+FROM sizes s JOIN (SELECT u, min(v) AS v FROM reach GROUP BY u) r ON r.u = s.doc_id
+"""

@@ -22,27 +22,14 @@ import ahocorasick
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import texts_of
+from .common import Kept, texts_of
 
 SPACE = "▁"
-#: Kept cuts in one Python worker; the table starts anew beyond it.
-KEPT_CUTS = 300_000
+#: Cuts of a generation that one Python worker keeps.
+KEPT_CUTS = 200_000
 KEPT_PAIRS = 1_000_000
 
 
-class Cuts(dict):
-    """What is known of cuts, by their text after a fixed lead; bounded."""
-
-    def __init__(self, codec: PieceCodec, lead: str):
-        self.codec, self.lead = codec, lead
-
-    def __missing__(self, cut: str) -> tuple[int, bytes, bytes]:
-        if len(self) >= KEPT_CUTS:
-            self.clear()
-        got = self[cut] = self.codec.known(self.lead + cut)
-        return got
-
-
 class PieceCodec:
     """Ids of a merge-type SentencePiece model without its encoder."""
 
@@ -68,8 +55,8 @@ class PieceCodec:
         self.found.make_automaton()
         self.reachable: dict[str, bool] = {}
         self.fits: dict[tuple[str, str], bool] = {}
-        self.bare = Cuts(self, "")
-        self.spaced = Cuts(self, SPACE)
+        self.bare = Kept(self.known, 50_000)
+        self.spaced = Kept(lambda word: self.known(SPACE + word), KEPT_CUTS)
 
     def merged(self, text: str) -> list[str]:
         """Pieces of a short string by merging its best neighbours."""
@@ -167,7 +154,7 @@ class PieceCodec:
                 out.append(self.bare["\n"])
             line = line.replace(SPACE, " ") if SPACE in line else line
             words = line.split(" ")
-            if "" not in words:
+            if line and "  " not in line and line[0] != " " and line[-1] != " ":
                 if k:
                     out.append(self.bare[words[0]])
                     del words[0]

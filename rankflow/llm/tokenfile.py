@@ -20,80 +20,89 @@ table gives an empty manifest.
 
 from __future__ import annotations
 
-import re
+import json
+import sys
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import chunk_bounds, chunk_of, fresh_path, map_file, put_bytes, staged, texts_of
+from .common import Kept, chunk_bounds, chunk_of, fresh_path, map_file, put_bytes, staged, texts_of
 
 NULL_KEY = np.iinfo(np.int64).min
-KEPT_WORDS = 700_000
+#: Fixed value: the pattern of byte-level BPE's units.
+UNIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 ROWS_PER_CHUNK = 1_000
 
 
 class ByteEncoder:
-    """The tokenizers library's ids of whole texts. Its pattern for byte-level
-    BPE always starts a new unit at a single space or line end between other
-    characters, so texts are cut there and the ids of cuts kept. Texts with two
-    white space characters in a row or at an edge go to the library whole."""
+    """The tokenizers library's ids of whole texts.
+
+    Byte-level BPE splits a text into units by a pattern, and a new unit always
+    starts at a single space or line end between other characters. So texts are
+    cut there, and the ids of cuts, from the library's model unit by unit, are
+    kept. Texts with white space next to white space or at an edge, or with an
+    added token, go to the library whole.
+    """
 
     def __init__(self, file: str):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(file)
-        self.wide = self.library.get_vocab_size() > 1 << 16
-        self.dtype = "<u4" if self.wide else "<u2"
-        self.edge = re.compile(r"\s\s|^\s|\s$")
-        alone = self.library.encode("\n", add_special_tokens=False).ids
-        self.whole_only = '"ByteLevel"' not in self.library.to_str() or len(alone) != 1
-        self.line_end = alone[0] if alone else -1
-        self.kept: dict[str, bytes] = {"\n": self._bytes(alone)}
-
-    def _bytes(self, ids: list[int]) -> bytes:
-        return np.array(ids, dtype=self.dtype).tobytes()
-
-    def _learn(self, cuts: list[str]) -> None:
-        """Ids of many cuts at once, each on a line of its own."""
-        got = np.array(self.library.encode("\n".join(cuts), add_special_tokens=False).ids, dtype=self.dtype)
-        ends = [*np.flatnonzero(got == self.line_end).tolist(), len(got)]
-        data, width, at = got.tobytes(), got.itemsize, 0
-        for cut, end in zip(cuts, ends, strict=True):
-            self.kept[cut] = data[at * width : end * width]
-            at = end + 1
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        out: list[bytes | None] = [None] * len(texts)
-        cut: dict[int, list[str]] = {}
-        whole = []
-        for k, t in enumerate(texts):
-            if not t:
-                out[k] = b""
-            elif self.whole_only or self.edge.search(t) or "\x00" in t or "\x01" in t:
-                whole.append(k)
-            else:
-                lines = t.split("\n")
-                parts = lines[0].replace(" ", "\x01 ").split("\x01")
-                for line in lines[1:]:
-                    parts.append("\n")
-                    parts.extend(line.replace(" ", "\x01 ").split("\x01"))
-                cut[k] = parts
-        if cut:
-            if len(self.kept) > KEPT_WORDS:
-                self.kept = {"\n": self.kept["\n"]}
-            new = list({w for parts in cut.values() for w in parts} - self.kept.keys() - {"\n"})
-            for lo in range(0, len(new), 2_000):
-                self._learn(new[lo : lo + 2_000])
-            for k, parts in cut.items():
-                out[k] = b"".join(map(self.kept.__getitem__, parts))
-        for k in whole:
-            out[k] = self._bytes(self.library.encode(texts[k], add_special_tokens=False).ids)
-        return out
+        self.dtype = "<u4" if self.library.get_vocab_size() > 1 << 16 else "<u2"
+        self.code = "I" if self.dtype == "<u4" else "H"
+        shape = json.loads(self.library.to_str())
+        before = shape["pre_tokenizer"] or {}
+        plain = shape["normalizer"] is None and before.get("type") == "ByteLevel" and before["use_regex"] and not before["add_prefix_space"]
+        self.whole_only = not plain
+        self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
+        self.units = regex.compile(UNIT)
+        printable = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
+        rest = [b for b in range(256) if b not in printable]
+        self.shown = {b: chr(256 + i) for i, b in enumerate(rest)}  # the model's alphabet has no blanks
+        self.unit = Kept(self._unit, 200_000)
+        self.spaced = Kept(lambda word: self._cut(" " + word), 250_000)
+        self.bare = Kept(self._cut, 50_000)
+
+    def _unit(self, unit: str) -> bytes:
+        text = unit.replace(" ", self.shown[32]) if unit.isascii() and unit.isprintable() else unit.encode("utf-8", "surrogatepass").decode("latin-1").translate(self.shown)
+        ids = array(self.code, [t.id for t in self.library.model.tokenize(text)])
+        if sys.byteorder == "big":
+            ids.byteswap()
+        return ids.tobytes()
+
+    def _cut(self, cut: str) -> bytes | None:
+        """Ids of a cut, None if white space at its ends could join others."""
+        word = cut.removeprefix(" ")
+        if not word or word[0].isspace() or word[-1].isspace():
+            return None
+        return b"".join(map(self.unit.__getitem__, self.units.findall(cut)))
+
+    def whole(self, text: str) -> bytes:
+        return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype=self.dtype).tobytes()
+
+    def encode(self, text: str) -> bytes:
+        if not text:
+            return b""
+        if self.whole_only or "  " in text or " \n" in text or "\n " in text or "\n\n" in text or text[0] in " \n" or text[-1] in " \n" or any(a in text for a in self.added):
+            return self.whole(text)
+        out: list[bytes] = []
+        for line in text.split("\n"):
+            words = iter(line.split(" "))
+            out.append(self.unit["\n"])
+            out.append(self.bare[next(words)])
+            out.extend(map(self.spaced.__getitem__, words))
+        del out[0]
+        try:
+            return b"".join(out)
+        except TypeError:  # a cut without ids of its own
+            return self.whole(text)
 
 
 _encoders: dict[str, ByteEncoder] = {}
@@ -133,7 +142,8 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
                 b = whole.slice(lo, 256)
-                for k, c, ids in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), use.encode(texts_of(b.column(1)))):
+                for k, c, t in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), texts_of(b.column(1))):
+                    ids = use.encode(t)
                     if c != now:
                         if now is not None:
                             yield close()
