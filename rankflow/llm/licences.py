@@ -103,7 +103,7 @@ def scan_sql(documents: str = "documents") -> str:
         seen: dict[str, list[str]] = {}
         for rule in RULES:
             seen.setdefault(rule[value], []).append(f"coalesce(sentence_ids LIKE {q('%' + '%'.join(rule[2]) + '%')}, false)")
-        return "array_to_string(list_filter([" + ", ".join(f"CASE WHEN {' OR '.join(tests)} THEN {q(name)} END" for name, tests in seen.items()) + "], x -> x IS NOT NULL), ', ')"
+        return "array_to_string(list_filter([" + ", ".join(f"CASE WHEN {' OR '.join(tests)} THEN {q(name)} END" for name, tests in seen.items()) + "], lambda x: x IS NOT NULL), ', ')"
 
     # kinds in the order of the first rule that holds
     def kinds() -> str:
@@ -111,7 +111,7 @@ def scan_sql(documents: str = "documents") -> str:
         for k in dict.fromkeys(r[1] for r in RULES):
             tests = [(n, f"sentence_ids LIKE {q('%' + '%'.join(r[2]) + '%')}") for n, r in enumerate(RULES) if r[1] == k]
             firsts.append("CASE " + " ".join(f"WHEN {t} THEN {{'pos': {n}, 'kind': {q(k)}}}" for n, t in tests) + " END")
-        return "array_to_string(list_transform(list_sort(list_filter([" + ", ".join(firsts) + "], x -> x IS NOT NULL)), x -> x.kind), ', ')"
+        return "array_to_string(list_transform(list_sort(list_filter([" + ", ".join(firsts) + "], lambda x: x IS NOT NULL)), lambda x: x.kind), ', ')"
 
     return rf"""
 WITH cut AS (

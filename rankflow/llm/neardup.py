@@ -366,7 +366,7 @@ WITH RECURSIVE words AS (
   SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM {documents}
 ), runs AS (
   SELECT doc_id, CASE WHEN len(w) = 0 THEN [] WHEN len(w) < {WORDS} THEN [array_to_string(w, ' ')]
-         ELSE list_distinct(list_transform(range(1, len(w) - {WORDS} + 2), i -> array_to_string(list_slice(w, i, i + {WORDS - 1}), ' '))) END AS s FROM words
+         ELSE list_distinct(list_transform(range(1, len(w) - {WORDS} + 2), lambda i: array_to_string(list_slice(w, i, i + {WORDS - 1}), ' '))) END AS s FROM words
 ), sizes AS (SELECT doc_id, CAST(len(s) AS BIGINT) AS n FROM runs
 ), members AS (SELECT doc_id, unnest(s) AS g FROM runs
 ), shared AS (
