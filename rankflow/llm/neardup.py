@@ -11,13 +11,14 @@ How the work stays bounded under large groups of copies:
 
 * documents with equal sets form a class before any search; a class is one row;
 * a small bucket of the banding gives all its pairs, a bounded number a row;
-* in large buckets, two turns test members only against one pivot of each
-  bucket, so a group of m near copies costs m tests and not m * m / 2. Members
-  already connected need no further test. Those outside a bucket's commonest
-  component are then tested against all of the bucket, in blocks of a bounded
-  size that tasks hold one pair of at a time; a task returns only the links that
-  connect components. No pair of a bucket that could connect two components is
-  left untested.
+* a larger bucket that fits a block of bounded size is tested by one task, which
+  returns only links that connect components;
+* in buckets of several blocks, two turns test members only against one pivot of
+  each bucket, so a group of m near copies costs m tests and not m * m / 2.
+  Members already connected need no further test. Those outside a bucket's
+  commonest component are then tested against all of the bucket, one pair of
+  blocks a task. No pair of a bucket that could connect two components is left
+  untested.
 
 The banding misses a pair at the similarity threshold with probability
 (1 - 0.85 ** rows) ** bands: 2.7e-7 with 32 bands of 6 rows.
@@ -172,7 +173,7 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         both = now.unionAll(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         least = both.groupBy("u").agg(F.least(F.col("u"), F.min("v")).alias("m"))
         # large star: neighbours above a vertex move to its least neighbour
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
         # small star: a vertex and its neighbours below move to the least of them
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionAll(low.select("u", F.col("m").alias("v"))).distinct()
@@ -203,8 +204,9 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int = BANDS, rows
         .dropDuplicates(["doc_id"])
         .select("doc_id", "n_shingles", "keys", "agreed")
     )
-    member = reps.select(F.posexplode("keys").alias("band", "key"), "doc_id")
-    filled = member.groupBy("band", "key").agg(F.count("*").alias("n")).where("n > 1")
+    member = reps.select(F.posexplode("keys").alias("band", "key"), "doc_id", "n_shingles")
+    filled = member.groupBy("band", "key").agg(F.count("*").alias("n"), F.sum("n_shingles").alias("size")).where("n > 1")
+    member = member.drop("n_shingles")
     member = staged(member.join(filled, ["band", "key"]), "buckets")
     if member.isEmpty():
         return _with_components(marked, classes, None)
@@ -229,19 +231,22 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int = BANDS, rows
     def labelled(links: list[DataFrame]) -> DataFrame:
         return staged(components(reduce(DataFrame.unionAll, links).select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
 
-    few = member.where(F.col("n") <= SMALL).select("band", "key", "doc_id")
-    found = [staged(linked(_pairs(few).distinct()), "links")]
-    large = member.where(F.col("n") > SMALL).select("band", "key", "doc_id")
-    if large.isEmpty():
-        return _with_components(marked, classes, labelled(found))
-    label = labelled(found)
-    for turn in range(PIVOT_TURNS):
-        rows = _open_buckets(large, label)
-        pivot = rows.groupBy("band", "key").agg(F.min_by(F.struct("doc_id", "component"), F.xxhash64("doc_id", "band", F.lit(turn))).alias("p"))
-        pairs = rows.join(pivot, ["band", "key"]).where("component <> p.component").select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b"))
-        found.append(staged(linked(pairs.distinct()), "links"))
+    def rows_of(some: DataFrame) -> DataFrame:
+        return some.select("band", "key", "doc_id")
+
+    small, one_block = F.col("n") <= SMALL, F.col("size") <= BLOCK_SHINGLES
+    found = [staged(linked(_pairs(rows_of(member.where(small))).distinct()), "links")]
+    medium, giant = rows_of(member.where(~small & one_block)), rows_of(member.where(~small & ~one_block))
+    found.append(staged(_block_links(medium.withColumn("component", F.col("doc_id")), known, percent), "links"))
+    if not giant.isEmpty():
         label = labelled(found)
-    found.append(staged(_block_links(_open_buckets(large, label), known, percent), "links"))
+        for turn in range(PIVOT_TURNS):
+            rows = _open_buckets(giant, label)
+            pivot = rows.groupBy("band", "key").agg(F.min_by(F.struct("doc_id", "component"), F.xxhash64("doc_id", "band", F.lit(turn))).alias("p"))
+            pairs = rows.join(pivot, ["band", "key"]).where("component <> p.component").select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b"))
+            found.append(staged(linked(pairs.distinct()), "links"))
+            label = labelled(found)
+        found.append(staged(_block_links(_open_buckets(giant, label), known, percent), "links"))
     return _with_components(marked, classes, labelled(found))
 
 
@@ -249,10 +254,8 @@ def _named(light: DataFrame, end: str) -> DataFrame:
     return light.select(F.col("doc_id").alias(end), F.col("n_shingles").alias(f"n_{end}"), F.col("agreed").alias(f"s_{end}"))
 
 
-def _open_buckets(member: DataFrame, label: DataFrame | None) -> DataFrame:
+def _open_buckets(member: DataFrame, label: DataFrame) -> DataFrame:
     """Rows of the buckets that hold more than one component."""
-    if label is None:
-        return member.withColumn("component", F.col("doc_id"))
     rows = member.join(label.withColumnRenamed("vertex", "doc_id"), "doc_id", "left").withColumn("component", F.coalesce("component", "doc_id"))
     mixed = rows.groupBy("band", "key").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo <> hi").select("band", "key")
     return rows.join(mixed, ["band", "key"])
