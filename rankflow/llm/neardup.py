@@ -301,14 +301,14 @@ def _block_links(rows: DataFrame, known: DataFrame, percent: int) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, held = None, []
-        for b in batches:
-            cols = [c.to_pylist() for c in b.columns]
-            for row in zip(*cols):
-                if row[:5] != now:
-                    if len(held) > 1:
-                        yield _tested(held, percent)
-                    now, held = row[:5], []
-                held.append(row[5:])
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 256):
+                for row in zip(*(c.to_pylist() for c in whole.slice(lo, 256).columns)):
+                    if row[:5] != now:
+                        if len(held) > 1:
+                            yield _tested(held, percent)
+                        now, held = row[:5], []
+                    held.append(row[5:])
         if len(held) > 1:
             yield _tested(held, percent)
 
