@@ -77,7 +77,8 @@ def _run_sync(cur: Graph, state: DataFrame, params: Params, frontier_tol: float
 
     converged = False
     while len(trace) < limit and not converged:
-        count = min(params.checkpoint_every, limit - len(trace))
+        # a pruned step reads the state several times, so it is cut every pass
+        count = 1 if pruned else min(params.checkpoint_every, limit - len(trace))
         now, seen = state, []
         for _ in range(count):
             now, one = _watch(step(now))
