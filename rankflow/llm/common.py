@@ -180,5 +180,15 @@ class Kept(dict):
         return got
 
 
+def spliced(flat: np.ndarray, first: np.ndarray, size: np.ndarray, which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The runs of ``flat`` (by their first places and sizes) that ``which`` lists,
+    one after the other, and where each begins (one more than there are)."""
+    n = size[which]
+    ends = np.cumsum(n)
+    total = int(ends[-1]) if len(ends) else 0
+    at = np.arange(total) + np.repeat(first[which] - (ends - n), n)
+    return flat[at], np.concatenate([[0], ends])
+
+
 def texts_of(column: pa.ChunkedArray | pa.Array) -> list[str]:
     return ["" if x is None else x for x in column.to_pylist()]

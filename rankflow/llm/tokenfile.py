@@ -28,81 +28,117 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Kept, chunk_bounds, chunk_of, fresh_path, map_file, put_bytes, staged, texts_of
+from .common import Kept, chunk_bounds, chunk_of, fresh_path, map_file, put_bytes, spliced, staged, texts_of
 
+#: Other white space than space and line end, and the mark put between cuts.
+OTHER_BLANKS = "[\x00\t\x0b-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]"
+KEPT_UNITS = 400_000
+#: Texts that are encoded together.
+TOGETHER, MOST_CHARS = 4_000, 1 << 25
 NULL_KEY = np.iinfo(np.int64).min
 #: Fixed value: the pattern of byte-level BPE's units.
 UNIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
-ROWS_PER_CHUNK = 1_000
+ROWS_PER_CHUNK = 4_000
 
 
 class ByteEncoder:
     """The tokenizers library's ids of whole texts.
 
     Byte-level BPE splits a text into units by a pattern, and a new unit always
-    starts at a single space or line end between other characters. So texts are
-    cut there, and the ids of cuts, from the library's model unit by unit, are
-    kept. Texts with white space next to white space or at an edge, or with an
-    added token, go to the library whole.
+    starts at a single space or line end between other characters. So the texts
+    of a batch are cut there and each different cut is split into units once;
+    the library's model gives the ids of each different unit, of which many are
+    kept from batch to batch. Texts with other white space, with white space next
+    to white space or at an edge, or with an added token, go to the library whole.
     """
 
     def __init__(self, file: str):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(file)
-        self.dtype = "<u4" if self.library.get_vocab_size() > 1 << 16 else "<u2"
+        self.dtype = dtype_of(self.library.get_vocab_size())
         self.code = "I" if self.dtype == "<u4" else "H"
-        shape = json.loads(self.library.to_str())
-        before = shape["pre_tokenizer"] or {}
-        plain = shape["normalizer"] is None and before.get("type") == "ByteLevel" and before["use_regex"] and not before["add_prefix_space"]
-        self.whole_only = not plain
+        before = self.library.pre_tokenizer
+        shape = json.loads(before.__getstate__()) if before is not None else {}
+        self.whole_only = not (self.library.normalizer is None and shape.get("type") == "ByteLevel" and shape["use_regex"] and not shape["add_prefix_space"])
         self.added = [t.content for t in self.library.get_added_tokens_decoder().values()]
-        self.units = regex.compile(UNIT)
+        self.units = regex.compile("\x00|" + UNIT.replace(r"[^\s", r"[^\x00\s"))
         printable = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or b >= 174]
         rest = [b for b in range(256) if b not in printable]
         self.shown = {b: chr(256 + i) for i, b in enumerate(rest)}  # the model's alphabet has no blanks
-        self.unit = Kept(self._unit, 200_000)
-        self.spaced = Kept(lambda word: self._cut(" " + word), 250_000)
-        self.bare = Kept(self._cut, 50_000)
+        self.unit = Kept(self._unit, KEPT_UNITS)
 
     def _unit(self, unit: str) -> bytes:
+        if unit == "\x00":
+            return b""
         text = unit.replace(" ", self.shown[32]) if unit.isascii() and unit.isprintable() else unit.encode("utf-8", "surrogatepass").decode("latin-1").translate(self.shown)
         ids = array(self.code, [t.id for t in self.library.model.tokenize(text)])
         if sys.byteorder == "big":
             ids.byteswap()
         return ids.tobytes()
 
-    def _cut(self, cut: str) -> bytes | None:
-        """Ids of a cut, None if white space at its ends could join others."""
-        word = cut.removeprefix(" ")
-        if not word or word[0].isspace() or word[-1].isspace():
-            return None
-        return b"".join(map(self.unit.__getitem__, self.units.findall(cut)))
-
     def whole(self, text: str) -> bytes:
         return np.array(self.library.encode(text, add_special_tokens=False).ids, dtype=self.dtype).tobytes()
 
-    def encode(self, text: str) -> bytes:
-        if not text:
-            return b""
-        if self.whole_only or "  " in text or " \n" in text or "\n " in text or "\n\n" in text or text[0] in " \n" or text[-1] in " \n" or any(a in text for a in self.added):
-            return self.whole(text)
+    def _plain(self, texts: list[str]) -> list[bool]:
+        if self.whole_only:
+            return [False] * len(texts)
+        other = pc.match_substring_regex(pa.array(texts, pa.large_string()), OTHER_BLANKS).to_pylist()
+        return [
+            0 < len(t) < MOST_CHARS and not o and "  " not in t and " \n" not in t and "\n " not in t and "\n\n" not in t and t[0] not in " \n" and t[-1] not in " \n" and not any(a in t for a in self.added)
+            for t, o in zip(texts, other)
+        ]
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        """The bytes of the ids of each text."""
         out: list[bytes] = []
-        for line in text.split("\n"):
-            words = iter(line.split(" "))
-            out.append(self.unit["\n"])
-            out.append(self.bare[next(words)])
-            out.extend(map(self.spaced.__getitem__, words))
-        del out[0]
-        try:
-            return b"".join(out)
-        except TypeError:  # a cut without ids of its own
-            return self.whole(text)
+        lo = n = 0
+        for hi, t in enumerate(texts):
+            n += len(t)
+            if n >= MOST_CHARS:
+                out += self._together(texts[lo : hi + 1])
+                lo, n = hi + 1, 0
+        return out + self._together(texts[lo:])
+
+    def _together(self, texts: list[str]) -> list[bytes]:
+        if not texts:
+            return []
+        plain = self._plain(texts)
+        out = [b"" if p or not t else self.whole(t) for t, p in zip(texts, plain)]
+        some = [k for k, p in enumerate(plain) if p]
+        if not some:
+            return out
+        # a cut keeps its space; a mark that such texts do not hold parts the cuts
+        marked = pa.array([texts[k].replace("\n", "\x00\n\x00").replace(" ", "\x00 ") for k in some], pa.large_string())
+        lists = pc.split_pattern(marked, "\x00")
+        cuts = lists.values.dictionary_encode()
+        all_cuts = pa.ListArray.from_arrays(pa.array([0, len(cuts.dictionary)], pa.int32()), cuts.dictionary.cast(pa.string()))
+        units = pa.array(self.units.findall(pc.binary_join(all_cuts, "\x00")[0].as_py()), pa.large_string()).dictionary_encode()
+        ids = list(map(self.unit.__getitem__, units.dictionary.to_pylist()))
+        known = np.frombuffer(b"".join(ids), self.dtype)
+        size = np.fromiter(map(len, ids), np.int64, len(ids)) // known.itemsize
+        which = units.indices.to_numpy()
+        flat, begins = spliced(known, np.cumsum(size) - size, size, which)
+        edges = np.flatnonzero(which == units.dictionary.index("\x00").as_py())
+        first = begins[np.concatenate([[0], edges + 1])]
+        last = begins[np.concatenate([edges, [len(which)]])]
+        flat, begins = spliced(flat, first, last - first, cuts.indices.to_numpy())
+        bounds = begins[lists.offsets.to_numpy()]
+        data, width = flat.tobytes(), flat.itemsize
+        for k, i, j in zip(some, bounds[:-1].tolist(), bounds[1:].tolist()):
+            out[k] = data[i * width : j * width]
+        return out
+
+
+def dtype_of(n_ids: int) -> str:
+    """Two bytes an id if they suffice, else four."""
+    return "<u4" if n_ids > 1 << 16 else "<u2"
 
 
 _encoders: dict[str, ByteEncoder] = {}
@@ -140,10 +176,9 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
             return pa.RecordBatch.from_arrays([pa.array([now], pa.int64()), pa.array([len(keys)], pa.int64()), pa.array([int(sum(sizes))], pa.int64())], names=["chunk", "n_docs", "n_tokens"])
 
         for whole in batches:
-            for lo in range(0, whole.num_rows, 256):
-                b = whole.slice(lo, 256)
-                for k, c, t in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), texts_of(b.column(1))):
-                    ids = use.encode(t)
+            for lo in range(0, whole.num_rows, TOGETHER):
+                b = whole.slice(lo, TOGETHER)
+                for k, c, ids in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), use.encode(texts_of(b.column(1)))):
                     if c != now:
                         if now is not None:
                             yield close()
@@ -159,12 +194,11 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
     return sizes.withColumn("start", F.coalesce(F.sum("n_tokens").over(before), F.lit(0)))
 
 
-def read_token_files(manifest: DataFrame, folder: str, tokenizer: str, parts: int) -> DataFrame:
+def read_token_files(manifest: DataFrame, folder: str, dtype: str, parts: int) -> DataFrame:
     """doc_id, start, n_tokens and the bytes of the ids of every document, from
     the memory-mapped files of each chunk of ``manifest``."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        dtype = encoder(tokenizer).dtype
         for b in batches:
             for c, base in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
                 name = f"{folder}/{c:08d}"
@@ -194,4 +228,7 @@ def token_file_digests(docs: DataFrame, tokenizer: str, end_id: int = 0, rows_pe
     spark: SparkSession = docs.sparkSession
     folder = fresh_path(spark, "tokens")
     manifest = write_token_files(docs, tokenizer, end_id, folder, rows_per_chunk=rows_per_chunk)
-    return ids_checksum(read_token_files(manifest, folder, tokenizer, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    from tokenizers import Tokenizer
+
+    dtype = dtype_of(Tokenizer.from_file(tokenizer).get_vocab_size())
+    return ids_checksum(read_token_files(manifest, folder, dtype, int(spark.conf.get("spark.sql.shuffle.partitions"))))
