@@ -19,14 +19,22 @@ import hashlib
 from collections.abc import Iterator
 
 import ahocorasick
+import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .common import Kept, texts_of
+from .common import Kept, spliced, texts_of
 
 SPACE = "▁"
 #: Cuts of a generation that one Python worker keeps.
-KEPT_CUTS = 200_000
+KEPT_CUTS = 150_000
+KEPT_UNITS = 250_000
+#: Texts that are encoded together, and the length from which one goes alone.
+TOGETHER, MOST_CHARS = 4_096, 1 << 20
+SPLICED = 256
+#: Marks that usually end a word.
+MARKS = ".,;:!?)\"'*$%&#"
 KEPT_PAIRS = 1_000_000
 
 
@@ -48,6 +56,7 @@ class PieceCodec:
         self.spans_space = any(SPACE in p[1:] and p.strip(SPACE) and SPACE in p.lstrip(SPACE) for p in self.id_of)
         joined = {c for p in self.id_of if len(p) > 1 for c in p}
         self.newline_alone = "\n" not in joined
+        self.inside = {p[i : i + 2] for p in self.id_of for i in range(len(p) - 1)}
         self.found = ahocorasick.Automaton()
         for p in self.id_of:
             if len(p) > 1:
@@ -55,8 +64,10 @@ class PieceCodec:
         self.found.make_automaton()
         self.reachable: dict[str, bool] = {}
         self.fits: dict[tuple[str, str], bool] = {}
-        self.bare = Kept(self.known, 50_000)
+        self.unit = Kept(self._unit, KEPT_UNITS)
+        self.bare = Kept(self.known, 20_000)
         self.spaced = Kept(lambda word: self.known(SPACE + word), KEPT_CUTS)
+        self.cut = Kept(lambda cut: self.known(cut.replace(" ", SPACE)), KEPT_CUTS)
 
     def merged(self, text: str) -> list[str]:
         """Pieces of a short string by merging its best neighbours."""
@@ -140,10 +151,20 @@ class PieceCodec:
             for i in ids
         )
 
-    def known(self, cut: str) -> tuple[int, bytes, bytes]:
-        ids = self.ids_of(self.split(cut))
+    def _unit(self, unit: str) -> tuple[int, bytes, bytes]:
+        ids = self.ids_of(self.split(unit))
         return len(ids), ",".join(map(str, ids)).encode(), self.raw(ids)
 
+    def known(self, cut: str) -> tuple[int, bytes, bytes]:
+        """(number of ids, listed ids, bytes) of a cut. The marks at its end go
+        apart if the characters they part stand side by side in no piece."""
+        word = cut.rstrip(MARKS)
+        n = len(word)
+        if not 0 < n < len(cut) or cut[n - 1 : n + 1] in self.inside:
+            return self.unit[cut]
+        a, b = self.unit[word], self.unit[cut[n:]]
+        return a[0] + b[0], a[1] + b"," + b[1], a[2] + b[2]
+
     def parts(self, text: str) -> list[tuple[int, bytes, bytes]]:
         """What is known of each cut of a text that is not empty."""
         if self.spans_space:
@@ -200,17 +221,55 @@ class PieceCodec:
                     i += 1
             return "".join(out)
 
+    @staticmethod
+    def _digest(n: int, listed: bytes, raw: bytes) -> tuple[int, str, str]:
+        shown = PieceCodec.shown(raw)
+        return n, hashlib.sha256(listed).hexdigest(), hashlib.sha256((shown[1:] if shown.startswith(" ") else shown).encode()).hexdigest()
+
     def digest(self, text: str | None) -> tuple[int, str, str]:
         """Number of ids, and the digests of the listed ids and the decoded text."""
         got = self.parts(text) if text else []
-        shown = self.shown(b"".join(g[2] for g in got))
-        if got and shown.startswith(" "):
-            shown = shown[1:]
-        return (
-            sum(g[0] for g in got),
-            hashlib.sha256(b",".join(g[1] for g in got if g[0])).hexdigest(),
-            hashlib.sha256(shown.encode()).hexdigest(),
-        )
+        return self._digest(sum(g[0] for g in got), b",".join(g[1] for g in got if g[0]), b"".join(g[2] for g in got))
+
+    def digests(self, texts: list[str]) -> list[tuple[int, str, str]]:
+        out: list = []
+        lo = n = 0
+        for hi, t in enumerate(texts):
+            n += len(t)
+            if n >= 16 * MOST_CHARS:
+                out += self._together(texts[lo : hi + 1])
+                lo, n = hi + 1, 0
+        return out + self._together(texts[lo:])
+
+    def _together(self, texts: list[str]) -> list[tuple[int, str, str]]:
+        """The same of many texts: different cuts are looked up once, and their
+        ids and bytes put together by array operations. Texts with other runs of
+        blanks than single spaces between words go one by one."""
+        plain = [
+            0 < len(t) < MOST_CHARS and not (self.spans_space or not self.newline_alone or "\0" in t or SPACE in t or "  " in t or " \n" in t or "\n " in t or "\n\n" in t or t[0] in " \n" or t[-1] in " \n")
+            for t in texts
+        ]
+        out: list = [None if p else self.digest(t) for t, p in zip(texts, plain)]
+        some = [k for k, p in enumerate(plain) if p]
+        if not some:
+            return out
+        marked = pa.array([" " + texts[k].replace("\n", "\0\n\0").replace(" ", "\0 ") for k in some], pa.large_string())
+        lists = pc.split_pattern(marked, "\0")
+        cuts = lists.values.dictionary_encode()
+        got = list(map(self.cut.__getitem__, cuts.dictionary.to_pylist()))
+        which, bounds = cuts.indices.to_numpy(), lists.offsets.to_numpy()
+        count = np.concatenate([[0], np.cumsum(np.fromiter((g[0] for g in got), np.int64, len(got))[which])])[bounds]
+        sides = []
+        for values in ([g[1] + b"," for g in got], [g[2] for g in got]):
+            size = np.fromiter(map(len, values), np.int64, len(values))
+            sides.append((np.frombuffer(b"".join(values), np.uint8), np.cumsum(size) - size, size))
+        for lo in range(0, len(some), SPLICED):
+            near = bounds[lo : lo + SPLICED + 1]
+            parts = [spliced(*side, which[near[0] : near[-1]]) for side in sides]
+            (listed, at), (raw, to) = ((flat.tobytes(), begins[near - near[0]].tolist()) for flat, begins in parts)
+            for i, k in enumerate(some[lo : lo + SPLICED]):
+                out[k] = self._digest(int(count[lo + i + 1] - count[lo + i]), listed[at[i] : at[i + 1] - 1], raw[to[i] : to[i + 1]])
+        return out
 
 
 _codecs: dict[str, PieceCodec] = {}
@@ -260,9 +319,9 @@ def piece_digests(docs: DataFrame, model_file: str) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         use = codec(model_file)
         for b in batches:
-            for lo in range(0, b.num_rows, 512):
-                part = b.slice(lo, 512)
-                made = [use.digest(t) for t in texts_of(part.column(1))]
+            for lo in range(0, b.num_rows, TOGETHER):
+                part = b.slice(lo, TOGETHER)
+                made = use.digests(texts_of(part.column(1)))
                 yield pa.RecordBatch.from_arrays(
                     [part.column(0), pa.array([m[0] for m in made], pa.int64()), pa.array([m[1] for m in made]), pa.array([m[2] for m in made])],
                     names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"],
