@@ -162,6 +162,23 @@ def map_file(uri: str, dtype: str) -> np.ndarray:
     return np.memmap(path, dtype=dtype, mode="r")
 
 
+#: What empties each operator's tables in this worker process.
+_tables: dict[str, list] = {}
+
+
+def held_by(owner: str, empty) -> None:
+    _tables.setdefault(owner, []).append(empty)
+
+
+def only(owner: str) -> None:
+    """Called where a task of ``owner`` begins: a worker process outlives its
+    stage, so the tables of other operators go, and their memory with them."""
+    others = [e for name, several in _tables.items() if name != owner for e in several]
+    for empty in others:
+        empty()
+    pa.default_memory_pool().release_unused()
+
+
 class Kept(dict):
     """Results of ``make`` by key, of at most twice ``size`` keys: when one
     generation is full, only what is asked for again moves to the next."""
@@ -169,6 +186,10 @@ class Kept(dict):
     def __init__(self, make, size: int = 150_000):
         self.make, self.size, self.old = make, size, {}
 
+    def empty(self) -> None:
+        self.clear()
+        self.old = {}
+
     def __missing__(self, key):
         got = self.old.get(key, self)
         if got is self:

@@ -1,11 +1,11 @@
 """Quality by importance resampling.
 
 Two generative models over hashed n-grams are counted: one of the target (texts
-labelled good) and one of all raw texts. A document's importance is the log of
+labelled good, a bounded number of them) and one of all raw texts. A document's importance is the log of
 the ratio of its probabilities under them. Documents are drawn without
 replacement by Gumbel top-k: the k largest of importance plus Gumbel noise.
 
-Features are words, marks (runs of one sign count once) and pairs of neighbours.
+Features are words, marks (runs of signs) and pairs of neighbours.
 A pair of equal neighbours is one feature whatever its word, and the case of a
 word and long signs have features of their own, so that texts the words of
 which are new can still be told apart by how they are built.
@@ -26,57 +26,125 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import pyarrow.compute as pc
+from pandas.util import hash_array
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Kept, global_rank, staged
+from .common import global_rank, only, staged
 
 #: Hashed features of each kind: 0 words and marks, 1 pairs, 2 forms.
 BUCKETS = 8_192
 KINDS = 3
-SMOOTH = 1.0
+#: The target model starts as so many tokens of the raw model, so a feature without
+#: evidence says nothing.
+PRIOR, FLOOR = 1_000.0, 0.01
+#: Labelled good texts that the target model counts at most; the raw model counts
+#: all texts.
+MOST_GOOD = 20_000
 #: A document counts towards k from this importance on; noise is seldom larger.
-LEAST = -8.0
+LEAST = -14.0
 SEED = 7
-_TOKEN = re.compile(r"\w+|([^\w\s])\1*")
+#: Texts, and characters of texts, that are unpacked together.
+TOGETHER, TOGETHER_CHARS = 2_048, 1 << 21
+_TOKEN = re.compile(r"\x00|\w+|[^\w\s\x00]+")
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
-def _form(token: str) -> str:
-    first = token[0]
-    if not (first.isalnum() or first == "_"):
-        return f"mark {first} {min(len(token), 3)}"
-    case = "upper" if token.isupper() and len(token) > 1 else "title" if token[:1].isupper() else "digit" if first.isdigit() else "lower"
-    return f"word {case} {min(len(token), 24) // 6}"
-
-
-def _hashes(token: str) -> tuple[int, int]:
-    return xxhash.xxh3_64_intdigest(token.lower()), xxhash.xxh3_64_intdigest(_form(token))
-
-
-#: (hash, hash of the form) of the tokens of a worker's batches.
-_tokens = Kept(_hashes)
+def _hashes(tokens: pa.StringArray) -> np.ndarray:
+    """Hashes of different tokens, lower-cased; the low bits are the bucket of the
+    form: kind of word and length, or sign and length."""
+
+    def plain(x: pa.Array) -> np.ndarray:
+        return x.to_numpy(zero_copy_only=False)
+
+    first, n = pc.utf8_slice_codeunits(tokens, 0, 1), plain(pc.utf8_length(tokens)).astype(np.int64)
+    word = plain(pc.or_(pc.utf8_is_alnum(first), pc.equal(first, "_")))
+    upper, title, digit = plain(pc.utf8_is_upper(tokens)) & (n > 1), plain(pc.utf8_is_upper(first)), plain(pc.utf8_is_digit(first))
+    kind = np.select([upper, title, digit], [0, 1, 2], 3)
+    signs = first.dictionary_encode()
+    sign = hash_array(plain(signs.dictionary), categorize=False)[plain(signs.indices)] % np.uint64(BUCKETS // 4)
+    form = np.where(word, kind * 5 + np.minimum(n, 24) // 6, 32 + 3 * sign.astype(np.int64) + np.minimum(n, 3)) % BUCKETS
+    h = hash_array(plain(pc.utf8_lower(tokens)), categorize=False)
+    return h & ~np.uint64(BUCKETS - 1) | form.astype(np.uint64)
+
+
+def _tokenised(texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(which, hashes, pair, marks): the place of each token of ``texts`` among
+    the different ones, their hashes, the bucket of the pair that each token begins, and where marks are."""
+    joined = "\0".join([t.replace("\0", " ") if "\0" in t else t for t in texts])
+    found = pa.array(_TOKEN.findall(joined), pa.string()).dictionary_encode()
+    which = found.indices.to_numpy()
+    h = _hashes(found.dictionary) if len(which) else np.empty(0, np.uint64)
+    mark = found.dictionary.index("\0").as_py()
+    marks = np.flatnonzero(which == mark)
+    size = np.uint64(BUCKETS)
+    form, one = h % size, h // size
+    left = (form * _MIX) ^ (one % np.uint64(64))
+    right = form ^ (one * _MIX >> np.uint64(58) << np.uint64(20))
+    p = left[which[:-1]] ^ right[which[1:]]
+    p *= _MIX
+    p >>= np.uint64(24)
+    p %= size - np.uint64(1)
+    pair = p.astype(np.int64)
+    pair += 1 + BUCKETS
+    pair[which[:-1] == which[1:]] = BUCKETS
+    pair[marks[marks < len(pair)]] = BUCKETS * KINDS
+    pair[marks[marks > 0] - 1] = BUCKETS * KINDS
+    return which, h, pair, marks
+
+
+def _groups(texts: list[str | None]) -> Iterator[list[str]]:
+    """Runs of texts that are unpacked together."""
+    group, n = [], 0
+    for t in texts:
+        group.append(t or "")
+        n += len(group[-1])
+        if n >= TOGETHER_CHARS:
+            yield group
+            group, n = [], 0
+    if group:
+        yield group
+
+
+def _own(h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets of word and form of different tokens."""
+    size = np.uint64(BUCKETS)
+    return (h // size % size).astype(np.int64), (h % size).astype(np.int64) + 2 * BUCKETS
+
+
+def counted(texts: list[str]) -> np.ndarray:
+    """How often each feature occurs in ``texts``."""
+    which, h, pair, marks = _tokenised(texts)
+    n = np.bincount(which, minlength=len(h))
+    if len(marks):
+        n[which[marks[0]]] = 0
+    words, forms = _own(h)
+    out = np.bincount(pair, minlength=BUCKETS * KINDS + 1)[:-1]
+    for own in (words, forms):
+        np.add.at(out, own, n)
+    return out
 
 
-def feature_buckets(text: str | None) -> np.ndarray:
-    """Buckets of all features of a text, with repeats."""
-    if not text:
-        return np.empty(0, np.int64)
-    found = [m[0] for m in _TOKEN.finditer(text)]
-    if not found:
-        return np.empty(0, np.int64)
-    h = np.array(list(map(_tokens.__getitem__, found)), np.uint64)
-    one, form = h[:, 0], h[:, 1]
-    size = np.uint64(BUCKETS)
-    parts = [one % size, form % size + size + size]
-    if len(one) > 1:
-        pair = (form[:-1] * _MIX) ^ form[1:] ^ ((one[:-1] ^ (one[1:] * _MIX)) % np.uint64(64))
-        pair = pair * _MIX
-        pair ^= pair >> np.uint64(32)
-        equal = one[:-1] == one[1:]
-        parts.append(np.where(equal, np.uint64(0), np.uint64(1) + pair % (size - np.uint64(1))) + size)
-    return np.concatenate(parts).astype(np.int64)
+def weighed(texts: list[str], weights: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(number of features, sum of their weights) of each text. Weights are summed
+    as whole numbers of 2 ** -20, so that a sum does not depend on its neighbours."""
+    which, h, pair, marks = _tokenised(texts)
+    w = np.append(np.round(weights * (1 << 20)).astype(np.int64), 0)
+    words, forms = _own(h)
+    single = w[words] + w[forms]
+    if len(marks):
+        single[which[marks[0]]] = 0
+    each = single[which]
+    each[: len(pair)] += w[pair]
+    start = np.concatenate([[0], marks + 1])
+    n = np.concatenate([marks, [len(each)]]) - start
+    out = np.zeros(len(texts))
+    some = n > 0
+    if some.any():
+        # a sum runs up to the next start, so over the mark, which weighs nothing
+        out[some] = np.add.reduceat(each, start[some]) / (1 << 20)
+    return np.maximum(3 * n - 1, 0), out
 
 
 def feature_counts(docs: DataFrame) -> np.ndarray:
@@ -84,12 +152,12 @@ def feature_counts(docs: DataFrame) -> np.ndarray:
     once; the result has a fixed size."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("quality")
         total = np.zeros(BUCKETS * KINDS, np.int64)
-        for b in batches:
-            for t in b.column(0).to_pylist():
-                total += np.bincount(feature_buckets(t), minlength=len(total)) if t and len(t) > 20_000 else 0
-                if t and len(t) <= 20_000:
-                    np.add.at(total, feature_buckets(t), 1)
+        for whole in batches:
+            for lo in range(0, whole.num_rows, TOGETHER):
+                for group in _groups(whole.column(0).slice(lo, TOGETHER).to_pylist()):
+                    total += counted(group)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(total[at], pa.int64())], names=["bucket", "n"])
 
@@ -107,8 +175,8 @@ def log_ratios(target: np.ndarray, raw: np.ndarray) -> np.ndarray:
         return out
     for k in range(KINDS):
         at = slice(k * BUCKETS, (k + 1) * BUCKETS)
-        p = (target[at] + SMOOTH) / (target[at].sum() + SMOOTH * BUCKETS)
-        q = (raw[at] + SMOOTH) / (raw[at].sum() + SMOOTH * BUCKETS)
+        q = (raw[at] + FLOOR) / (raw[at].sum() + FLOOR * BUCKETS)
+        p = (target[at] + PRIOR * q) / (target[at].sum() + PRIOR)
         out[at] = np.log(p / q)
     return out
 
@@ -122,13 +190,17 @@ def gumbel(key: Column, seed: int = SEED) -> Column:
 def importance(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, n_features and importance of every row of ``docs``."""
     good = labels.where("quality = 1").select(F.col("doc_id").alias("_id")).distinct()
+    good = F.broadcast(good.orderBy(F.md5(F.concat(F.lit("good-"), F.col("_id").cast("string"))), "_id").limit(MOST_GOOD))
     target = feature_counts(docs.join(good, docs["doc_id"] == F.col("_id"), "left_semi"))
     weights = log_ratios(target, feature_counts(docs))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            got = [feature_buckets(t) for t in b.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(g) for g in got], pa.int64()), pa.array([float(weights[g].sum()) for g in got], pa.float64())], names=["doc_id", "n_features", "importance"])
+        only("quality")
+        for whole in batches:
+            for lo in range(0, whole.num_rows, TOGETHER):
+                b = whole.slice(lo, TOGETHER)
+                made = [weighed(g, weights) for g in _groups(b.column(1).to_pylist())]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.concatenate([m[0] for m in made]), pa.int64()), pa.array(np.concatenate([m[1] for m in made]), pa.float64())], names=["doc_id", "n_features", "importance"])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_features long, importance double")
 
