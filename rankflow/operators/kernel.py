@@ -18,8 +18,10 @@ def _gathered(links: DataFrame, state: DataFrame, frontier_tol: float | None) ->
     own = [F.max(F.when(loop, F.col("rank"))).alias("own"), F.bool_or(loop & F.col("affected")).alias("was")]
     if "open" in state.columns:
         own += [F.bool_or(loop & F.col("open")).alias("was_open"), F.bool_or(loop & F.col("processed")).alias("just")]
+    # the state is hashed by partition: the links are neither moved nor sorted, and
+    # no vector as large as the graph is ever broadcast
     return (
-        links.join(state, links["src"] == state["vid"])
+        links.join(state.hint("shuffle_hash"), links["src"] == state["vid"])
         .groupBy(F.col("dst").alias("vid"))
         .agg(*own, F.sum(F.col("rank") * F.col("w")).alias("mass"), F.bool_or(moved).alias("mark"), F.count("*").alias("links_in"))
     )

@@ -27,7 +27,7 @@ def _row(graph: str, method: str, fraction: float, number: int, run: RankRun, se
     return (graph, method, fraction, number, run.passes, run.converged, run.edges_read, run.trace[-1].active if run.trace else 0, measures.error(run, truth) if truth is not None else None, seconds)
 
 
-def random_batches(spark: SparkSession, sf_dir: str, graphs: Iterable[str], fractions: Iterable[float], names: Iterable[str] = methods.MAIN, repeats: int = 1, params: Params = Params(), with_error: bool = True) -> DataFrame:
+def random_batches(spark: SparkSession, sf_dir: str, graphs: Iterable[str], fractions: Iterable[float], names: Iterable[str] = methods.MAIN, repeats: int = 1, params: Params = Params(), with_error: bool = True, truth_passes: int = 500) -> DataFrame:
     """Random mixed batches of each size on each graph, each method on each."""
     rows = []
     for g in graphs:
@@ -38,7 +38,7 @@ def random_batches(spark: SparkSession, sf_dir: str, graphs: Iterable[str], frac
                 batch = batches.random(prev, fraction, seed=number + 1).persist()
                 cur = prev.apply(batch)
                 cur.links().count()
-                truth = methods.reference(cur).ranks if with_error else None
+                truth = methods.reference(cur, truth_passes).ranks if with_error else None
                 for name in names:
                     run, seconds = timed(lambda: methods.run(name, prev, cur, batch, before, params))
                     rows.append(_row(g, name, fraction, number, run, seconds, truth))
@@ -48,7 +48,7 @@ def random_batches(spark: SparkSession, sf_dir: str, graphs: Iterable[str], frac
     return spark.createDataFrame(rows, ROW)
 
 
-def replay(spark: SparkSession, name: str, graph: TemporalGraph, fraction: float, names: Iterable[str], load: float = 0.9, most: int | None = None, params: Params = Params(), with_error: bool = False) -> DataFrame:
+def replay(spark: SparkSession, name: str, graph: TemporalGraph, fraction: float, names: Iterable[str], load: float = 0.9, most: int | None = None, params: Params = Params(), with_error: bool = False, truth_passes: int = 500) -> DataFrame:
     """Loads a share of a temporal graph and then applies slices of its rows, one
     batch after the other; each method goes on from its own ranks."""
     total = graph.total
@@ -60,7 +60,7 @@ def replay(spark: SparkSession, name: str, graph: TemporalGraph, fraction: float
         batch = batches.normalised(prev, graph.slice(at, size)).persist()
         cur = prev.apply(batch)
         cur.links().count()
-        truth = methods.reference(cur).ranks if with_error else None
+        truth = methods.reference(cur, truth_passes).ranks if with_error else None
         for m in names:
             run, seconds = timed(lambda: methods.run(m, prev, cur, batch, own[m], params))
             own[m] = run.ranks
