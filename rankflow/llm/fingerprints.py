@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Kept, chunk_bounds, chunk_of
+from .common import Kept, held_by, only, chunk_bounds, chunk_of
 
 BITS = 64
 TERM_WORDS = 3
@@ -37,6 +37,7 @@ NULL_KEY = -(1 << 63)
 
 #: 64-bit hashes of the words of a worker's batches.
 _words = Kept(xxhash.xxh3_64_intdigest)
+held_by("prints", _words.empty)
 
 
 def fingerprint(text: str | None) -> int:
@@ -91,6 +92,7 @@ def edited_pairs(docs: DataFrame, rows_per_chunk: int = ROWS_PER_CHUNK) -> DataF
     schema = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("prints")
         before, before_print = "", 0
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):

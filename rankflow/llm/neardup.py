@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Kept, shuffle_parts, staged
+from .common import Kept, held_by, only, shuffle_parts, staged
 
 BANDS, ROWS = 32, 6
 WORDS = 5
@@ -53,7 +53,8 @@ _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
 #: 64-bit hashes of the words of a worker's batches.
-_words = Kept(xxhash.xxh3_64_intdigest)
+_words = Kept(xxhash.xxh3_64_intdigest, 80_000)
+held_by("near", _words.empty)
 
 
 def shingles(text: str | None, words: int = WORDS) -> np.ndarray:
@@ -95,6 +96,7 @@ def signatures(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, words: int
     schema = "doc_id long, n_shingles long, digest binary, keys array<long>, agreed binary"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("near")
         a, b = _universal(bands * rows, seed)
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
@@ -119,16 +121,29 @@ def signatures(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, words: int
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
 
 
+def _listed(sets: list[np.ndarray]) -> pa.ListArray:
+    """Sets of unsigned hashes as an array of signed lists."""
+    ends = np.cumsum([0, *map(len, sets)])
+    flat = np.concatenate(sets) if sets else np.empty(0, np.uint64)
+    return pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat.view(np.int64)))
+
+
+def _sets_of(column: pa.ListArray) -> list[np.ndarray]:
+    flat, ends = column.values.to_numpy(), column.offsets.to_numpy()
+    return [flat[i:j] for i, j in zip(ends[:-1], ends[1:])]
+
+
 def shingle_sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
-    """doc_id and the sorted hashes of its set as bytes."""
+    """doc_id and the hashes of its set."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("near")
         for whole in batches:
-            for lo in range(0, whole.num_rows, 256):
-                batch = whole.slice(lo, 256)
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingles(t, words).tobytes() for t in batch.column(1).to_pylist()], pa.binary())], names=["doc_id", "set"])
+            for lo in range(0, whole.num_rows, 128):
+                batch = whole.slice(lo, 128)
+                yield pa.RecordBatch.from_arrays([batch.column(0), _listed([shingles(t, words) for t in batch.column(1).to_pylist()])], names=["doc_id", "set"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, set binary")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, set array<long>")
 
 
 def _agree(a: Column, b: Column) -> Column:
@@ -147,20 +162,10 @@ def _agree(a: Column, b: Column) -> Column:
 
 
 def _confirmed(a: Column, b: Column, percent: int) -> Column:
-    """Whether two full sets reach the similarity, in whole numbers."""
-
-    @F.arrow_udf("boolean")
-    def test(x: pa.Array, y: pa.Array) -> pa.Array:
-        out = []
-        for p, q in zip(x.to_pylist(), y.to_pylist()):
-            s, t = np.frombuffer(p, np.uint64), np.frombuffer(q, np.uint64)
-            both = np.concatenate([s, t])
-            both.sort()
-            inter = int((both[1:] == both[:-1]).sum())
-            out.append(100 * inter >= percent * (len(s) + len(t) - inter))
-        return pa.array(out, pa.bool_())
-
-    return test(a, b)
+    """Whether two full sets reach the similarity, in whole numbers and without
+    leaving the JVM."""
+    both = F.size(F.array_intersect(a, b)).cast("long")
+    return 100 * both >= percent * (F.size(a) + F.size(b) - both)
 
 
 def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
@@ -303,7 +308,8 @@ def _block_links(rows: DataFrame, known: DataFrame, percent: int) -> DataFrame:
         now, held = None, []
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
-                for row in zip(*(c.to_pylist() for c in whole.slice(lo, 256).columns)):
+                part = whole.slice(lo, 256)
+                for row in zip(*(c.to_pylist() for c in part.columns[:-1]), _sets_of(part.columns[-1])):
                     if row[:5] != now:
                         if len(held) > 1:
                             yield _tested(held, percent)
@@ -315,9 +321,9 @@ def _block_links(rows: DataFrame, known: DataFrame, percent: int) -> DataFrame:
     return dealt.mapInArrow(run, "a long, b long").distinct()
 
 
-def _tested(held: list[tuple[int, int, bool, bytes]], percent: int) -> pa.RecordBatch:
+def _tested(held: list[tuple[int, int, bool, np.ndarray]], percent: int) -> pa.RecordBatch:
     """Links between components of one block pair, no more than connect them."""
-    sets = [np.frombuffer(h[3], np.uint64) for h in held]
+    sets = [h[3] for h in held]
     sizes = np.array([len(s) for s in sets])
     starts = np.concatenate([[0], np.cumsum(sizes)])
     _, flat = np.unique(np.concatenate(sets), return_inverse=True)

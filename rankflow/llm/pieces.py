@@ -24,7 +24,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
-from .common import Kept, spliced, texts_of
+from .common import Kept, held_by, only, spliced, texts_of
 
 SPACE = "▁"
 #: Cuts of a generation that one Python worker keeps.
@@ -35,7 +35,7 @@ TOGETHER, MOST_CHARS = 4_096, 1 << 20
 SPLICED = 256
 #: Marks that usually end a word.
 MARKS = ".,;:!?)\"'*$%&#"
-KEPT_PAIRS = 1_000_000
+KEPT_PAIRS = 400_000
 
 
 class PieceCodec:
@@ -273,6 +273,7 @@ class PieceCodec:
 
 
 _codecs: dict[str, PieceCodec] = {}
+held_by("pieces", _codecs.clear)
 
 
 def codec(model_file: str) -> PieceCodec:
@@ -289,6 +290,7 @@ def encode_pieces(docs: DataFrame, model_file: str, text: str = "text", ids: str
     schema = kept.schema.add(ids, "array<int>")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("pieces")
         use = codec(model_file)
         for b in batches:
             made = pa.array([use.encode(t) for t in texts_of(b.column(at))], pa.list_(pa.int32()))
@@ -304,6 +306,7 @@ def decode_pieces(encoded: DataFrame, model_file: str, ids: str = "ids", text: s
     schema = kept.schema.add(text, "string")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("pieces")
         use = codec(model_file)
         for b in batches:
             made = pa.array([use.decode(x or []) for x in b.column(at).to_pylist()], pa.string())
@@ -317,6 +320,7 @@ def piece_digests(docs: DataFrame, model_file: str) -> DataFrame:
     one pass and without a shuffle. Repeated rows give repeated results."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("pieces")
         use = codec(model_file)
         for b in batches:
             for lo in range(0, b.num_rows, TOGETHER):

@@ -34,7 +34,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Kept, chunk_bounds, chunk_of, fresh_path, map_file, put_bytes, spliced, staged, texts_of
+from .common import Kept, chunk_bounds, chunk_of, fresh_path, held_by, map_file, only, put_bytes, spliced, staged, texts_of
 
 #: Other white space than space and line end, and the mark put between cuts.
 OTHER_BLANKS = "[\x00\t\x0b-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]"
@@ -142,6 +142,7 @@ def dtype_of(n_ids: int) -> str:
 
 
 _encoders: dict[str, ByteEncoder] = {}
+held_by("tokens", _encoders.clear)
 
 
 def encoder(file: str) -> ByteEncoder:
@@ -163,6 +164,7 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
     dealt = placed.repartition(max(1, len(bounds)), "_chunk").sortWithinPartitions("_chunk", "_key", "_text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("tokens")
         use = encoder(tokenizer)
         end = np.array([end_id], dtype=use.dtype).tobytes()
         width = len(end)

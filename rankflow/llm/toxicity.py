@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Kept
+from .common import Kept, held_by, only
 
 TERM_BITS = 20
 OPENING = 5
@@ -51,7 +51,8 @@ def _term_hashes(word: str) -> tuple[int, int]:
     return zlib.crc32(low.encode("utf-8", "surrogatepass")) & _MASK, zlib.crc32(b"^" + low[:OPENING].encode("utf-8", "surrogatepass")) & _MASK
 
 
-_kept = Kept(_term_hashes)
+_kept = Kept(_term_hashes, 100_000)
+held_by("toxicity", _kept.empty)
 
 
 def terms(text: str | None) -> np.ndarray:
@@ -179,6 +180,7 @@ def score_documents(docs: DataFrame, machine: Machine, threshold: float = THRESH
     held = docs.sparkSession.sparkContext.broadcast((machine.bias, np.flatnonzero(machine.w).astype(np.int32), machine.w[machine.w != 0], np.flatnonzero(machine.v.any(axis=1)).astype(np.int32), machine.v[machine.v.any(axis=1)]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("toxicity")
         bias, iw, w, iv, v = held.value
         use = Machine(bias, np.zeros(1 << TERM_BITS, np.float32), np.zeros((1 << TERM_BITS, FACTORS), np.float32))
         use.w[iw], use.v[iv] = w, v
@@ -204,6 +206,7 @@ def clean_documents(docs: DataFrame, labelled: DataFrame, labels: DataFrame) ->
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        only("toxicity")
         use = Machine(*held.value)
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
