@@ -48,7 +48,7 @@ def block_step(links: DataFrame, state: DataFrame, block: Column, alpha: float,
     g = g.withColumn("opened", F.col("was_open") | fresh).withColumn("now", block & F.col("affected"))
     g = g.withColumn("rank", F.when(F.col("now"), _pull(alpha, n)).otherwise(F.col("own")))
     large = F.abs(F.col("rank") - F.col("own")) > tol
-    stays = large & F.col("opened") if flag_rule == "latched" else large
+    stays = large if flag_rule == "reopen" else large & F.col("opened")
     return g.select("vid", "rank", F.col("own").alias("prev_rank"), "affected", F.when(F.col("now"), stays).otherwise(F.col("opened")).alias("open"), F.col("now").alias("processed"), "links_in")
 
 

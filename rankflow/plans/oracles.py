@@ -137,7 +137,7 @@ def async_cte(out: str, h: str, ranks: str | None, affected: str | None, frontie
     opened = "false" if flag_rule == "literal" else aff
     mark = f"bool_or(abs(rank - prev) > {frontier_tol!r})" if frontier_tol is not None else "false"
     again = "mark AND NOT was_just" if close_rule == "marks" else "mark AND NOT was_aff"
-    closes = "abs(new - own) > {t} AND o" if flag_rule == "latched" else "abs(new - own) > {t}"
+    closes = "abs(new - own) > {t} AND o" if flag_rule != "reopen" else "abs(new - own) > {t}"
     per = blocks + 1
     stop = f" AND (i % {per} <> 0 OR i = 0 OR any_open)" if until_closed else ""
     return f"""{out} AS (
