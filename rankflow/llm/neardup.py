@@ -20,8 +20,9 @@ How the work stays bounded under large groups of copies:
   blocks a task. No pair of a bucket that could connect two components is left
   untested.
 
-The banding misses a pair at the similarity threshold with probability
-(1 - 0.85 ** rows) ** bands: 2.7e-7 with 32 bands of 6 rows.
+The banding misses a pair at the similarity threshold s with probability
+(1 - s ** rows) ** bands: 2.7e-7 at 0.85 with 32 bands of 6 rows, 2.5e-7 at 0.8
+with 50 (32 would miss 6e-5 there).
 """
 
 from __future__ import annotations
@@ -38,9 +39,14 @@ from pyspark.sql import functions as F
 from .common import Kept, held_by, only, shuffle_parts, staged
 
 BANDS, ROWS = 32, 6
+#: Bands for a similarity under 0.85, 0.8 at the least.
+MORE_BANDS = 50
 WORDS = 5
-#: Signature agreement under which a pair is not worth its full sets: at true
-#: similarity 0.85 the estimate is 10 standard deviations above it.
+#: Per cent of similarity from which on the stage takes documents for copies.
+STAGE_PERCENT = 80
+#: Signature agreement under which a pair is not worth its full sets: the estimate
+#: is 9 standard deviations above it at true similarity 0.85 (192 minima) and 8 at
+#: 0.8 (300 minima).
 LEAST_AGREED = 0.6
 #: Rows of a bucket that gives all its pairs.
 SMALL = 24
@@ -193,13 +199,14 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     return now.select(F.col("u").alias("vertex"), F.col("v").alias("component")).unionAll(tops.select("vertex", F.col("vertex").alias("component")))
 
 
-def near_components(docs: DataFrame, percent: int = 85, bands: int = BANDS, rows: int = ROWS, words: int = WORDS) -> DataFrame:
+def near_components(docs: DataFrame, percent: int = 85, bands: int | None = None, rows: int = ROWS, words: int = WORDS) -> DataFrame:
     """doc_id, n_shingles, component_id (least doc_id reachable over links) and
     kept (whether that is the document itself), one row for each row of ``docs``.
 
     Rows with a null doc_id are their own component with a null id and are kept.
     """
     spark = docs.sparkSession
+    bands = bands or (BANDS if percent >= 85 else MORE_BANDS)
     marked = staged(signatures(docs, bands, rows, words), "signatures")
     sets = marked.where("digest is not null and doc_id is not null")
     classes = sets.groupBy("digest").agg(F.min("doc_id").alias("rep"))
@@ -361,7 +368,7 @@ def _with_components(marked: DataFrame, classes: DataFrame, label: DataFrame | N
     return rows.select("doc_id", "n_shingles", F.coalesce("component", "rep", "doc_id").alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
-def one_of_each_group(docs: DataFrame, percent: int = 85) -> DataFrame:
+def one_of_each_group(docs: DataFrame, percent: int = STAGE_PERCENT) -> DataFrame:
     """The rows of ``docs`` whose document is kept; of rows that repeat a
     doc_id, all stay or go together. Text moves only where the join shuffles."""
     gone = near_components(docs, percent).where("not kept").select("doc_id")

@@ -28,7 +28,7 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return neardup.near_components(table(spark, sf_dir, "documents"))
+    return neardup.near_components(table(spark, sf_dir, "documents"), percent=85)
 
 
 def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
