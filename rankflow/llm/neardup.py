@@ -5,7 +5,8 @@ components by alternating large-star and small-star.
 Words are runs of anything but ASCII white space, A-Z lower-cased. A document's
 set holds its distinct runs of five words; with fewer words the whole sequence
 is its one member; without words (or with a null text) the set is empty and is
-linked with nothing. Repeated ids keep a row each and share their component.
+linked with nothing. Repeated ids keep a row each and share their component: the
+texts of one id are linked through it, whatever they are.
 
 How the work stays bounded under large groups of copies:
 
@@ -96,6 +97,10 @@ def minima(sets: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
     return out
 
 
+def digest_of(s: np.ndarray) -> bytes:
+    return xxhash.xxh3_128_digest(s.tobytes())
+
+
 def signatures(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, words: int = WORDS, seed: int = 11) -> DataFrame:
     """doc_id, n_shingles, digest (of the set), keys (a bucket for each band) and
     agreed (the low byte of each minimum); the last three null for empty sets."""
@@ -115,7 +120,7 @@ def signatures(docs: DataFrame, bands: int = BANDS, rows: int = ROWS, words: int
                         digest.append(None), keys.append(None), agreed.append(None)
                         continue
                     m = minima(s, a, b)
-                    digest.append(xxhash.xxh3_128_digest(s.tobytes()))
+                    digest.append(digest_of(s))
                     k = np.zeros(bands, np.uint64)
                     for r in range(rows):
                         k = (k ^ m[r::rows].astype(np.uint64)) * _MIX
@@ -140,16 +145,17 @@ def _sets_of(column: pa.ListArray) -> list[np.ndarray]:
 
 
 def shingle_sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
-    """doc_id and the hashes of its set."""
+    """doc_id, digest and hashes of the set of each row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         only("near")
         for whole in batches:
             for lo in range(0, whole.num_rows, 128):
                 batch = whole.slice(lo, 128)
-                yield pa.RecordBatch.from_arrays([batch.column(0), _listed([shingles(t, words) for t in batch.column(1).to_pylist()])], names=["doc_id", "set"])
+                sets = [shingles(t, words) for t in batch.column(1).to_pylist()]
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(map(digest_of, sets), pa.binary()), _listed(sets)], names=["doc_id", "digest", "set"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, set array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, digest binary, set array<long>")
 
 
 def _agree(a: Column, b: Column) -> Column:
@@ -209,24 +215,26 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int | None = None
     bands = bands or (BANDS if percent >= 85 else MORE_BANDS)
     marked = staged(signatures(docs, bands, rows, words), "signatures")
     sets = marked.where("digest is not null and doc_id is not null")
-    classes = sets.groupBy("digest").agg(F.min("doc_id").alias("rep"))
+    # a class has a number of its own: one id may stand for several sets
+    classes = sets.groupBy("digest").agg(F.min("doc_id").alias("rep")).withColumn("vertex", F.monotonically_increasing_id())
     classes = staged(classes, "classes")
-    reps = (
-        sets.join(classes.withColumnRenamed("rep", "doc_id"), ["digest", "doc_id"], "left_semi")
-        .dropDuplicates(["doc_id"])
-        .select("doc_id", "n_shingles", "keys", "agreed")
-    )
-    member = reps.select(F.posexplode("keys").alias("band", "key"), "doc_id", "n_shingles")
+    own = sets.join(classes, "digest")
+    reps = own.where("doc_id = rep").dropDuplicates(["vertex"]).select("vertex", "rep", "digest", "n_shingles", "keys", "agreed")
+    links = staged(_links_of_ids(own), "links")
+    member = reps.select(F.posexplode("keys").alias("band", "key"), F.col("vertex").alias("doc_id"), "n_shingles")
     filled = member.groupBy("band", "key").agg(F.count("*").alias("n"), F.sum("n_shingles").alias("size")).where("n > 1")
     member = member.drop("n_shingles")
     member = staged(member.join(filled, ["band", "key"]), "buckets")
     if member.isEmpty():
-        return _with_components(marked, classes, None)
+        return _with_components(marked, classes, None if links.isEmpty() else _labels([links]))
 
-    wanted = staged(member.select("doc_id").distinct(), "wanted")
+    wanted = member.select(F.col("doc_id").alias("vertex")).distinct()
+    wanted = staged(reps.join(wanted, "vertex").select("vertex", F.col("rep").alias("doc_id"), "digest", "n_shingles", "agreed"), "wanted")
+    # from here on doc_id is the number of a class
     known = staged(
-        shingle_sets(docs.join(wanted, "doc_id", "left_semi"), words).dropDuplicates(["doc_id"])
-        .join(reps.select("doc_id", "n_shingles", "agreed"), "doc_id"),
+        shingle_sets(docs.join(wanted.select("doc_id").distinct(), "doc_id", "left_semi"), words)
+        .join(wanted, ["doc_id", "digest"]).dropDuplicates(["vertex"])
+        .select(F.col("vertex").alias("doc_id"), "set", "n_shingles", "agreed"),
         "sets",
     )
     light = known.select("doc_id", "n_shingles", "agreed")
@@ -240,26 +248,34 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int | None = None
         full = likely.join(heavy.select(F.col("doc_id").alias("a"), F.col("set").alias("x")), "a").join(heavy.select(F.col("doc_id").alias("b"), F.col("set").alias("y")), "b")
         return full.where(_confirmed(F.col("x"), F.col("y"), percent)).select("a", "b")
 
-    def labelled(links: list[DataFrame]) -> DataFrame:
-        return staged(components(reduce(DataFrame.unionAll, links).select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
-
     def rows_of(some: DataFrame) -> DataFrame:
         return some.select("band", "key", "doc_id")
 
     small, one_block = F.col("n") <= SMALL, F.col("size") <= BLOCK_SHINGLES
-    found = [staged(linked(_pairs(rows_of(member.where(small))).distinct()), "links")]
+    found = [links, staged(linked(_pairs(rows_of(member.where(small))).distinct()), "links")]
     medium, giant = rows_of(member.where(~small & one_block)), rows_of(member.where(~small & ~one_block))
     found.append(staged(_block_links(medium.withColumn("component", F.col("doc_id")), known, percent), "links"))
     if not giant.isEmpty():
-        label = labelled(found)
+        label = _labels(found)
         for turn in range(PIVOT_TURNS):
             rows = _open_buckets(giant, label)
             pivot = rows.groupBy("band", "key").agg(F.min_by(F.struct("doc_id", "component"), F.xxhash64("doc_id", "band", F.lit(turn))).alias("p"))
             pairs = rows.join(pivot, ["band", "key"]).where("component <> p.component").select(F.least("doc_id", "p.doc_id").alias("a"), F.greatest("doc_id", "p.doc_id").alias("b"))
             found.append(staged(linked(pairs.distinct()), "links"))
-            label = labelled(found)
+            label = _labels(found)
         found.append(staged(_block_links(_open_buckets(giant, label), known, percent), "links"))
-    return _with_components(marked, classes, labelled(found))
+    return _with_components(marked, classes, _labels(found))
+
+
+def _links_of_ids(own: DataFrame) -> DataFrame:
+    """Links (a, b) between the classes of each id that has several."""
+    ends = own.groupBy("doc_id").agg(F.min("vertex").alias("a"), F.max("vertex").alias("last")).where("a <> last").select("doc_id", "a")
+    return own.select("doc_id", F.col("vertex").alias("b")).join(ends, "doc_id").where("a <> b").select("a", "b").distinct()
+
+
+def _labels(links: list[DataFrame]) -> DataFrame:
+    """vertex and component of all that ``links`` (a, b) connect."""
+    return staged(components(reduce(DataFrame.unionAll, links).select(F.col("a").alias("u"), F.col("b").alias("v"))), "labels")
 
 
 def _named(light: DataFrame, end: str) -> DataFrame:
@@ -360,19 +376,33 @@ def _tested(held: list[tuple[int, int, bool, np.ndarray]], percent: int) -> pa.R
 
 
 def _with_components(marked: DataFrame, classes: DataFrame, label: DataFrame | None) -> DataFrame:
-    rows = marked.select("doc_id", "n_shingles", "digest").join(classes, "digest", "left")
+    """Components by their least id; a row without a set takes what its id has."""
+    own = classes
     if label is not None:
-        rows = rows.join(label.withColumnRenamed("vertex", "rep"), "rep", "left")
+        own = own.join(label, "vertex", "left").withColumn("component", F.coalesce("component", "vertex"))
+        own = own.join(own.groupBy("component").agg(F.min("rep").alias("least")), "component")
     else:
-        rows = rows.withColumn("component", F.lit(None).cast("long"))
-    return rows.select("doc_id", "n_shingles", F.coalesce("component", "rep", "doc_id").alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
+        own = own.withColumn("least", F.col("rep"))
+    rows = marked.select("doc_id", "n_shingles", "digest").join(own.select("digest", "least"), "digest", "left")
+    bare = rows.where("digest is null and doc_id is not null").select("doc_id").distinct()
+    theirs = rows.join(bare, "doc_id", "left_semi").where("digest is not null").groupBy("doc_id").agg(F.min("least").alias("of_id"))
+    rows = rows.join(theirs, "doc_id", "left")
+    found = F.when(F.col("doc_id").isNotNull(), F.coalesce("least", "of_id", "doc_id"))
+    return rows.select("doc_id", "n_shingles", found.alias("component_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("component_id"), F.lit(True)))
 
 
 def one_of_each_group(docs: DataFrame, percent: int = STAGE_PERCENT) -> DataFrame:
-    """The rows of ``docs`` whose document is kept; of rows that repeat a
-    doc_id, all stay or go together. Text moves only where the join shuffles."""
-    gone = near_components(docs, percent).where("not kept").select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """One row of each group of near copies, the first by doc_id, and all rows
+    without words. Rows count one by one: those that repeat a doc_id, or have
+    none, are copies only where their texts are."""
+    rows = staged(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
+    found = staged(near_components(rows.select(F.col("_row").alias("doc_id"), "text"), percent).select(F.col("doc_id").alias("_row"), "component_id", "kept"), "groups")
+    several = found.where("not kept").select("component_id").distinct()
+    member = found.join(several, "component_id").select("_row", "component_id").join(rows.select("_row", "doc_id"), "_row")
+    order = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "_row")
+    first = member.groupBy("component_id").agg(F.min(order)["_row"].alias("_first"))
+    gone = member.join(first, "component_id").where("_row <> _first").select("_row")
+    return rows.join(gone, "_row", "left_anti").select(*docs.columns)
 
 
 def near_components_sql(documents: str = "documents", percent: int = 85) -> str:

@@ -20,3 +20,17 @@ def test_stage_drops_copies_of_four_fifths(spark, sf):
     left = {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, sf).collect()}
     assert left == {2 * k for k in range(65)} | {2 * k + 1 for k in range(60, 65)}
     assert neardup.near_components(docs, percent=85).where("kept").count() == len(rows)
+
+
+def test_ids_with_several_texts_keep_links_and_texts(spark):
+    (a, _), (b, b2), (c, c2), (d, d2), (e, _) = (edited_pair(1000 * k, 100) for k in range(5))
+    rows = [(3, a), (5, a), (5, b), (7, b2), (9, c), (9, d), (11, c2), (12, d2), (None, a), (13, ""), (13, a), (None, e), (None, e), (14, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = neardup.near_components(docs).collect()
+    assert len(got) == len(rows)
+    want = {3: 3, 5: 3, 7: 3, 13: 3, 9: 9, 11: 9, 12: 9, 14: 14, None: None}
+    assert all((r.component_id, r.kept) == (want[r.doc_id], r.doc_id is None or r.doc_id == want[r.doc_id]) for r in got)
+    left = [tuple(r) for r in neardup.one_of_each_group(docs).collect()]
+    assert sorted(left, key=str) == sorted([(3, a), (5, b), (9, c), (9, d), (13, ""), (None, e), (14, None)], key=str)
+    alone = spark.createDataFrame([(1, c), (1, d), (2, d)], "doc_id long, text string")
+    assert {(r.doc_id, r.component_id) for r in neardup.near_components(alone).collect()} == {(1, 1), (2, 1)}
