@@ -1,8 +1,10 @@
 """Licence scan by sentence rules.
 
-A text is cut into sentences, each normalised (lower case, single blanks, no
-marks around it) and mapped to the identifier of a known licence sentence. A
-rule is an ordered list of identifiers; it holds where they occur in this order
+A known licence sentence is found where it stands between line ends or closing
+signs, whatever its case, blanks and the marks around it, and is mapped to its
+identifier. It may be wrapped over lines, each with a comment leader, but not
+over a blank line; an address may follow it. The SQL knows unwrapped sentences
+only. A rule is an ordered list of identifiers; it holds where they occur in this order
 in a document, other sentences between them or not.
 
 Everything is column expressions over one scan: no shuffle and no Python. Null
@@ -12,6 +14,7 @@ each.
 
 from __future__ import annotations
 
+import re
 from itertools import chain
 
 from pyspark.sql import Column, DataFrame
@@ -66,17 +69,28 @@ RULES = [
 MARKS = " .!?;:,\"'*#/-|<>()[]"
 
 
-def sentences(text: Column) -> Column:
-    """Normalised sentences of a text."""
-    flat = F.regexp_replace(F.lower(text), r"[ \t\r\x0B\f]+", " ")
-    lines = F.split(F.regexp_replace(flat, r"([.!?;]) ", "$1\n"), "\n")
-    return F.transform(lines, lambda s: F.btrim(s, F.lit(MARKS)))
+#: Where a wrapped sentence goes on, with the leader of a comment or without.
+GAP = r" ?\n ?(?:(?:[/*#;%>|-]+|<!--|dnl|rem) )?"
 
 
 def _quoted(sentence: str) -> str:
     return sentence.strip(MARKS)
 
 
+def _pattern() -> str:
+    """Known sentences in a text with single blanks; the longest comes first, as one
+    may begin another."""
+    marks = "[" + re.escape(MARKS) + "]"
+    words = [f"(?: |{GAP})".join(re.escape(w) for w in _quoted(s).split(" ")) for s in sorted(SENTENCES.values(), key=len, reverse=True)]
+    return rf"(?:(?:\A|\n) ?(?:(?:%+|dnl|rem) )?|(?<=[.!?;] )){marks}*+({'|'.join(words)})(?={marks}*(?:\n|\z|[.!?;] )| https?://)"
+
+
+def sentences(text: Column) -> Column:
+    """The known sentences of a text in order, normalised."""
+    flat = F.regexp_replace(F.lower(text), r"[ \t\r\x0B\f]+", " ")
+    return F.transform(F.regexp_extract_all(flat, F.lit(_pattern()), F.lit(1)), lambda s: F.regexp_replace(s, GAP, " "))
+
+
 def scan(docs: DataFrame) -> DataFrame:
     """doc_id, n_known (licence sentences), sentence_ids (in order), licences and
     kinds (of the rules that hold, each once, in the rules' order)."""

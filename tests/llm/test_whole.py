@@ -1,7 +1,9 @@
 """Cases in which an operator once did less than its whole job."""
 
+import textwrap
+
 import corpus_pipeline
-from rankflow.llm import neardup
+from rankflow.llm import licences, neardup
 
 
 def edited_pair(first: int, words: int) -> tuple[str, str]:
@@ -34,3 +36,39 @@ def test_ids_with_several_texts_keep_links_and_texts(spark):
     assert sorted(left, key=str) == sorted([(3, a), (5, b), (9, c), (9, d), (13, ""), (None, e), (14, None)], key=str)
     alone = spark.createDataFrame([(1, c), (1, d), (2, d)], "doc_id long, text string")
     assert {(r.doc_id, r.component_id) for r in neardup.near_components(alone).collect()} == {(1, 1), (2, 1)}
+
+
+APACHE = """Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+See the License for the specific language governing permissions and
+limitations under the License."""
+
+
+def wrapped(text: str, leader: str = "", width: int = 70) -> str:
+    return "\n".join(leader + line for line in textwrap.wrap(text, width, break_long_words=False, break_on_hyphens=False))
+
+
+def test_wrapped_licences_are_found(spark):
+    full = {k: s[0].upper() + s[1:] for k, s in licences.SENTENCES.items()}
+    mit = [full["m2"] + ":", full["m3"] + "."]
+    bsd = ["1. " + full["b1"] + ".", "2. " + full["b2"] + ".", "3. " + full["b3"] + "."]
+    gpl = [full["g2"] + ".", full["g3"] + ". If not, see <https://www.gnu.org/licenses/>."]
+    blank = full["a5"].replace("permissions and", "permissions and\n\n")
+    texts = {
+        "apache-2.0 header": [APACHE, " ".join(APACHE.split()), "\n".join("# " + x for x in APACHE.split("\n")), "/*\r\n" + "\r\n".join(" * " + x for x in APACHE.split("\n")) + "\r\n */"],
+        "mit text": ["\n\n".join(map(wrapped, mit)), "\n//\n".join(wrapped(x, "// ") for x in mit)],
+        "bsd-2-clause text, bsd-3-clause text": ["\n\n".join(map(wrapped, bsd)), "\n".join(wrapped(x, "-- ", 40) for x in bsd)],
+        "gpl-3.0 header": ["\n".join(map(wrapped, gpl)), "\n".join(wrapped(x, "dnl ") for x in gpl)],
+        "": [APACHE.replace("See the License", "Read the License"), "Said " + full["m1"], "\n".join(["Licensed under the", "", "MIT license."]), blank],
+        "mit notice, rights reserved": ["no sign here\nreleased\tunder the\nMIT License\nALL RIGHTS\n# RESERVED"],
+    }
+    rows = [(i, t, want) for i, (want, t) in enumerate((want, t) for want, several in texts.items() for t in several)]
+    got = licences.scan(spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")).collect()
+    assert {r.doc_id: r.licences for r in got} == {i: want for i, _, want in rows}
