@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import atexit
 import os
+import shutil
 import tempfile
 import uuid
 from urllib.parse import urlparse
@@ -29,10 +30,15 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that the driver and all executors share."""
+    """The folder that the driver and all executors share. Without the setting, a
+    private one where the driver is the only machine; an error on a cluster."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
-        found = "file://" + tempfile.mkdtemp(prefix="shared-")
+        if not (spark.sparkContext.master or "").split("[")[0] == "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all machines share")
+        own = tempfile.mkdtemp(prefix="shared-")
+        atexit.register(shutil.rmtree, own, True)
+        found = "file://" + own
         spark.sparkContext.setCheckpointDir(found)
     return found.rstrip("/")
 
@@ -58,7 +64,29 @@ def staged(df: DataFrame, label: str) -> DataFrame:
     lineage, survives lost executors, and is computed once."""
     path = fresh_path(df.sparkSession, label)
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    table = df.sparkSession.read.schema(df.schema).parquet(path)
+    table._staged_at = path
+    return table
+
+
+def forget(*tables: DataFrame) -> None:
+    """Removes the files of tables made by ``staged`` that nothing reads any more."""
+    for df in tables:
+        path = getattr(df, "_staged_at", None)
+        if path:
+            _drop(df.sparkSession, path)
+
+
+def free_names(df: DataFrame, *wanted: str) -> list[str]:
+    """Column names that ``df`` does not have, whatever their case."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in wanted:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def shuffle_parts(spark: SparkSession) -> int:
@@ -129,22 +157,37 @@ def local_path(uri: str) -> str | None:
     return parsed.path if parsed.scheme in ("", "file") else None
 
 
-def put_bytes(uri: str, data: bytes) -> None:
-    """Write a whole file so that readers see all of it or none, also when
-    two attempts of one task write it."""
-    path = local_path(uri)
-    if path is None:
-        from pyarrow import fs
+class FileOut:
+    """A file that readers see whole or not at all, also when two attempts of one
+    task write it: written beside its place and moved there when closed."""
 
-        store, at = fs.FileSystem.from_uri(uri)
-        with store.open_output_stream(at) as out:
-            out.write(data)
-        return
-    os.makedirs(os.path.dirname(path), exist_ok=True)
-    own = f"{path}.{uuid.uuid4().hex}"
-    with open(own, "wb") as out:
-        out.write(data)
-    os.replace(own, path)
+    def __init__(self, uri: str):
+        path = local_path(uri)
+        self.store = None
+        if path is None:
+            from pyarrow import fs
+
+            self.store, path = fs.FileSystem.from_uri(uri)
+        self.path, self.own = path, f"{path}.{uuid.uuid4().hex}"
+        if self.store is None:
+            os.makedirs(os.path.dirname(path), exist_ok=True)
+        self.out = open(self.own, "wb") if self.store is None else self.store.open_output_stream(self.own)
+
+    def write(self, data: bytes) -> None:
+        self.out.write(data)
+
+    def close(self) -> None:
+        self.out.close()
+        if self.store is None:
+            os.replace(self.own, self.path)
+        else:
+            self.store.move(self.own, self.path)
+
+
+def put_bytes(uri: str, data: bytes) -> None:
+    out = FileOut(uri)
+    out.write(data)
+    out.close()
 
 
 def map_file(uri: str, dtype: str) -> np.ndarray:
@@ -179,9 +222,14 @@ def only(owner: str) -> None:
     pa.default_memory_pool().release_unused()
 
 
+#: Longer keys of a table are never kept, so that its bytes are bounded too.
+MOST_KEY = 256
+
+
 class Kept(dict):
-    """Results of ``make`` by key, of at most twice ``size`` keys: when one
-    generation is full, only what is asked for again moves to the next."""
+    """Results of ``make`` by key, of at most twice ``size`` keys of ``MOST_KEY``
+    characters or bytes: when one generation is full, only what is asked for again
+    moves to the next."""
 
     def __init__(self, make, size: int = 150_000):
         self.make, self.size, self.old = make, size, {}
@@ -191,6 +239,8 @@ class Kept(dict):
         self.old = {}
 
     def __missing__(self, key):
+        if len(key) > MOST_KEY:
+            return self.make(key)
         got = self.old.get(key, self)
         if got is self:
             got = self.make(key)

@@ -8,9 +8,14 @@ settles. The ids are then read off from the end backwards.
 
 A text is cut first where no piece can span: before a space mark that follows
 another character, and around characters that occur in no longer piece. Cuts
-repeat within a corpus, so their results are kept in a bounded table.
+repeat within a corpus, so their results are kept in a table bounded in keys and,
+as long cuts are never kept, in bytes.
 
 Nulls encode as empty; an empty text has no ids and decodes to an empty text.
+Texts count whole, however long. Repeated rows give repeated results. Of pieces
+with equal scores the leftmost pair merges first, as in the library. An empty
+table gives no rows. Other columns pass through ``encode_pieces`` and
+``decode_pieces``; one named like the new column is replaced.
 """
 
 from __future__ import annotations
@@ -23,6 +28,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
+from pyspark.sql.types import ArrayType, IntegerType, StringType, StructField, StructType
 
 from .common import Kept, held_by, only, spliced, texts_of
 
@@ -287,7 +293,7 @@ def encode_pieces(docs: DataFrame, model_file: str, text: str = "text", ids: str
     """``docs`` with an array of ids; a column of that name is replaced."""
     kept = docs.drop(ids)
     at = kept.columns.index(text)
-    schema = kept.schema.add(ids, "array<int>")
+    schema = StructType([*kept.schema.fields, StructField(ids, ArrayType(IntegerType()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         only("pieces")
@@ -303,7 +309,7 @@ def decode_pieces(encoded: DataFrame, model_file: str, ids: str = "ids", text: s
     """``encoded`` with the text of each array of ids."""
     kept = encoded.drop(text)
     at = kept.columns.index(ids)
-    schema = kept.schema.add(text, "string")
+    schema = StructType([*kept.schema.fields, StructField(text, StringType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         only("pieces")
