@@ -6,11 +6,16 @@ The decoder reads mono or multi-channel streams of 4 to 24 bits with constant,
 verbatim, fixed and LPC subframes, both Rice codings, escaped partitions and
 channel decorrelation. Mono frames of one Rice partition, which the encoder
 writes, take a fast path that decodes all frames of a batch in step; all others
-are read bit by bit. A header's CRC-8, a frame's CRC-16 and the stream's MD5 are
-always verified; a stream that fails raises ``FlacError``.
+are read one after another. A header's CRC-8, a frame's CRC-16, the block and
+frame sizes that STREAMINFO promises and the stream's MD5 are always verified; a
+stream that fails, in whatever way, raises ``FlacError``. A span of samples is
+read from the frames that hold it alone, found by the seek table.
 
 Encoding pads UTF-8 bytes with spaces to a positive multiple of 192, so null
-and empty texts give one block of 192 samples. Samples are bytes less 128.
+and empty texts give one block of 192 samples, and an empty table no rows.
+Samples are bytes less 128. Texts count whole, however long; repeated rows and
+equal texts give equal streams. Of predictors that cost the same the lowest order
+is taken. Other columns pass through; those named like new ones are replaced.
 """
 
 from __future__ import annotations
@@ -25,6 +30,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType, LongType, StructField, StructType
 
 #: Samples of a full block; the last block of a stream may be shorter.
 BLOCK = 1152
@@ -188,8 +194,14 @@ def encode_streams(payloads: list[bytes]) -> list[bytes]:
 class _Bits:
     """Bits of a byte string, most significant first."""
 
+    #: Bytes of which the set bits are listed at once.
+    WINDOW = 1 << 14
+
     def __init__(self, data: bytes, at: int = 0):
         self.data, self.at = data, at * 8
+        self.lo = self.hi = 0
+        self.ones: list[int] = []
+        self.next = 0
 
     def take(self, n: int) -> int:
         lo, hi = self.at // 8, (self.at + n + 7) // 8
@@ -204,10 +216,24 @@ class _Bits:
         return v - (1 << n) if n and v >> (n - 1) else v
 
     def unary(self) -> int:
-        n = 0
-        while not self.take(1):
-            n += 1
-        return n
+        """Unset bits before the next set one."""
+        start = at = self.at
+        while True:
+            if not self.lo <= at < self.hi:
+                first = at // 8
+                if first >= len(self.data):
+                    raise FlacError("the stream ends inside a frame")
+                part = np.frombuffer(self.data, np.uint8, min(self.WINDOW, len(self.data) - first), first)
+                self.lo, self.hi, self.next = first * 8, (first + len(part)) * 8, 0
+                self.ones = (np.flatnonzero(np.unpackbits(part)) + self.lo).tolist()
+            ones, i = self.ones, self.next
+            while i < len(ones) and ones[i] < at:
+                i += 1
+            self.next = i
+            if i < len(ones):
+                self.at = ones[i] + 1
+                return ones[i] - start
+            at = self.hi
 
 
 #: Fixed values of the format: predictor weights, newest sample first.
@@ -281,6 +307,10 @@ def _parse_header(data: bytes, at: int, info: dict) -> tuple[int, int, int, int]
     p += 1 if rate == 12 else 2 if rate in (13, 14) else 0
     if crc8(data[at:p]) != data[p]:
         raise FlacError("a frame header's CRC-8 is wrong")
+    if channels > 10 or depth in (3, 7):
+        raise FlacError("a frame's channels or sample size are reserved")
+    if n > info["most"] or not info["most"]:
+        raise FlacError("a block is larger than STREAMINFO says")
     return p + 1, n, channels, {0: info["bps"], 1: 8, 2: 12, 4: 16, 5: 20, 6: 24}[depth]
 
 
@@ -362,8 +392,11 @@ def _read_head(data: bytes) -> tuple[dict, int, list[tuple[int, int, int]]]:
         last, kind, size = data[at] >> 7, data[at] & 0x7F, int.from_bytes(data[at + 1 : at + 4], "big")
         body = data[at + 4 : at + 4 + size]
         if kind == 0:
+            if len(body) < 34:
+                raise FlacError("STREAMINFO is cut short")
             fields = int.from_bytes(body[10:18], "big")
-            info = {"bps": (fields >> 36 & 31) + 1, "channels": (fields >> 41 & 7) + 1, "total": fields & (1 << 36) - 1, "md5": body[18:34]}
+            least, most = struct.unpack(">HH", body[:4])
+            info = {"least": least, "most": most, "frames": (int.from_bytes(body[4:7], "big"), int.from_bytes(body[7:10], "big")), "bps": (fields >> 36 & 31) + 1, "channels": (fields >> 41 & 7) + 1, "total": fields & (1 << 36) - 1, "md5": body[18:34]}
         elif kind == 3:
             points = [p for p in struct.iter_unpack(">QQH", body) if p[0] != (1 << 64) - 1]
         at += 4 + size
@@ -372,24 +405,50 @@ def _read_head(data: bytes) -> tuple[dict, int, list[tuple[int, int, int]]]:
     return info, at, points
 
 
-def decode_streams(streams: list[bytes]) -> list[tuple[np.ndarray, np.ndarray]]:
+def _promised(info: dict, blocks: list[int], frames: list[int]) -> None:
+    """Holds the sizes of all blocks and frames of a stream against STREAMINFO."""
+    if any(n < info["least"] for n in blocks[:-1]):
+        raise FlacError("a block is smaller than STREAMINFO says")
+    least, most = info["frames"]
+    if frames and (least and min(frames) != least or most and max(frames) != most):
+        raise FlacError("the sizes of frames are not what STREAMINFO says")
+
+
+def decode_streams(streams: list[bytes], spans: list[tuple[int, int]] | None = None) -> list[tuple[np.ndarray, np.ndarray]]:
     """For each stream its samples (n by channels) and the sample offset at
     which each frame starts. The seek table, where it is whole, tells where
-    frames lie; otherwise they are read one after another."""
+    frames lie; otherwise they are read one after another. With ``spans`` (first
+    and end of the wanted samples) only frames that hold some of them are read,
+    and only what those frames promise is verified."""
+    try:
+        return _decoded(streams, spans)
+    except FlacError:
+        raise
+    except (IndexError, KeyError, ValueError, OverflowError, MemoryError, struct.error) as e:
+        raise FlacError(f"the stream is damaged: {e}") from e
+
+
+def _decoded(streams: list[bytes], spans: list[tuple[int, int]] | None) -> list[tuple[np.ndarray, np.ndarray]]:
     heads = [_read_head(s) for s in streams]
     parts: list[dict[int, np.ndarray]] = [{} for _ in streams]
     lanes: dict[tuple[int, int], list[tuple[int, int, bytes]]] = defaultdict(list)
     checks: list[bytes] = []
     wanted: list[int] = []
     for i, (data, (info, at, points)) in enumerate(zip(streams, heads)):
+        lo_sample, hi_sample = spans[i] if spans else (0, info["total"] or 1 << 62)
         whole = bool(points) and sum(p[2] for p in points) == info["total"] and info["channels"] == 1 and info["bps"] == 8
+        blocks: list[int] = []
+        frames: list[int] = []
         if whole:
             ends = [p[1] for p in points[1:]] + [len(data) - at]
             for (sample, offset, n), end in zip(points, ends):
+                if sample + n <= lo_sample or sample >= hi_sample:
+                    continue
                 lo, hi = at + offset, at + end
                 body, count, code, bps = _parse_header(data, lo, info)
                 if count != n or code or bps != 8 or hi - 2 <= body:
                     raise FlacError("a seek point and its frame disagree")
+                blocks.append(n), frames.append(hi - lo)
                 checks.append(data[lo : hi - 2])
                 wanted.append(data[hi - 2] << 8 | data[hi - 1])
                 sub = data[body : hi - 2]
@@ -403,11 +462,17 @@ def decode_streams(streams: list[bytes]) -> list[tuple[np.ndarray, np.ndarray]]:
                 else:
                     parts[i][sample] = np.array([_subframe(_Bits(sub), n, 8)], np.int16)
         else:
-            sample = 0
-            while at < len(data):
+            near = [p for p in points if p[0] <= lo_sample] if spans else []
+            sample, at = (near[-1][0], at + near[-1][1]) if near else (0, at)
+            while at < len(data) and sample < hi_sample:
+                first = at
                 x, at = _slow_frame(data, at, info)
-                parts[i][sample] = x
+                blocks.append(x.shape[1]), frames.append(at - first)
+                if sample + x.shape[1] > lo_sample:
+                    parts[i][sample] = x
                 sample += x.shape[1]
+        if not spans:
+            _promised(info, blocks, frames)
     if checks and (crc16_each(checks) != np.array(wanted, np.uint16)).any():
         raise FlacError("a frame's CRC-16 is wrong")
     for (n, _), some in lanes.items():
@@ -416,9 +481,14 @@ def decode_streams(streams: list[bytes]) -> list[tuple[np.ndarray, np.ndarray]]:
             for (i, sample, _), x in zip(group, _decode_lanes([g[2] for g in group], n)):
                 parts[i][sample] = x[None].astype(np.int16)
     out = []
-    for (info, _, _), got in zip(heads, parts):
+    for i, ((info, _, _), got) in enumerate(zip(heads, parts)):
         at = sorted(got)
         x = np.concatenate([got[p] for p in at], axis=1) if at else np.zeros((info["channels"], 0), np.int16)
+        if spans:
+            lo, hi = spans[i]
+            first = at[0] if at else lo
+            out.append((x.T[max(0, lo - first) : max(0, hi - first)], np.array(at, np.int64)))
+            continue
         if info["total"] and x.shape[1] != info["total"]:
             raise FlacError("the stream has too few samples")
         size = -(-info["bps"] // 8)
@@ -442,7 +512,7 @@ def encode_column(docs: DataFrame, text: str = "text", media: str = "media") ->
     kept = docs.drop(media, "n_bytes")
     at = kept.columns.index(text)
     names = [c for c in kept.columns if c != text]
-    schema = kept.select(*names).schema.add("n_bytes", "long").add(media, "binary")
+    schema = StructType([*kept.select(*names).schema.fields, StructField("n_bytes", LongType()), StructField(media, BinaryType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -478,6 +548,22 @@ def pcm_blocks(stored: DataFrame, key: str = "doc_id", media: str = "media") ->
     return stored.select(key, media).where(F.col(media).isNotNull()).mapInArrow(run, schema)
 
 
+def pcm_span(stored: DataFrame, first: int, count: int, key: str = "doc_id", media: str = "media") -> DataFrame:
+    """key and pcm (as in ``pcm_blocks``) of ``count`` samples from sample ``first``
+    on, fewer where a stream ends: only the frames that hold them are decoded."""
+    schema = f"`{key}` {dict(stored.dtypes)[key]}, pcm binary"
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for lo in range(0, whole.num_rows, 64):
+                b = whole.slice(lo, 64)
+                found = decode_streams(b.column(1).to_pylist(), [(first, first + count)] * b.num_rows)
+                made = [x.astype(np.int8 if not len(x) or (x.min() >= -128 and x.max() <= 127) else np.dtype("<i4")).tobytes() for x, _ in found]
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(made, pa.binary())], names=[key, "pcm"])
+
+    return stored.select(key, media).where(F.col(media).isNotNull()).mapInArrow(run, schema)
+
+
 def media_digests(stored: DataFrame) -> DataFrame:
     """Reads the streams of ``encode_column`` back and tells what they hold."""
     schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string"
