@@ -8,25 +8,31 @@ zero. The likeness of two fingerprints is one less the share of unequal bits.
 ``within_radius`` finds all pairs at most ``radius`` bits apart: the bits are
 cut into radius + 3 blocks, and for each choice of three blocks a table keyed
 by them holds every fingerprint. Two fingerprints within the radius differ in
-at most ``radius`` blocks, so some table has them under one key.
+at most ``radius`` blocks, so some table has them under one key. A key under
+which many fingerprints lie is cut further: among the rest of their bits, in
+radius + 1 parts, two within the radius agree in one part at least, so tables of
+the key and one more part hold all that is to be found, and so on.
 
 Null texts are empty. Null keys order before all others. Repeated keys keep a
-row each, ordered by text.
+row each, ordered by text (ties are equal rows). Texts count whole, however long.
+Equal texts and repeated rows have equal fingerprints. An empty table gives no
+rows. Other columns are never looked at, whatever their names.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
+from functools import reduce
 from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Kept, held_by, only, chunk_bounds, chunk_of
+from .common import Kept, chunk_bounds, chunk_of, held_by, only, shuffle_parts, staged
 
 BITS = 64
 TERM_WORDS = 3
@@ -124,23 +130,114 @@ def document_fingerprints(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, fingerprint string")
 
 
-def within_radius(prints: DataFrame, radius: int = 3) -> tuple[DataFrame, DataFrame]:
+#: Fingerprints under one key that are compared pair by pair.
+FEW_UNDER_KEY = 256
+#: Keys of the last level have 50 bits, so at most 2 ** 14 fingerprints are under one.
+MOST_LEVELS = 4
+
+
+def _signed(x: int) -> int:
+    return x - (1 << 64) if x >> 63 else x
+
+
+def _parts(mask: int, count: int) -> list[int]:
+    """The bits that ``mask`` lacks, cut into ``count`` runs, each a mask."""
+    rest = [i for i in range(BITS) if not mask >> i & 1]
+    edges = [len(rest) * i // count for i in range(count + 1)]
+    return [sum(1 << b for b in rest[edges[i] : edges[i + 1]]) for i in range(count)]
+
+
+def _under_keys(keyed: DataFrame, radius: int, few: int) -> DataFrame:
+    """From (mask, key, bits), dealt by mask and key: links (a, b, apart) of keys with
+    at most ``few`` fingerprints, and the rows of all other keys (apart null: a is
+    the mask, b the bits)."""
+    parts = shuffle_parts(keyed.sparkSession)
+    dealt = keyed.repartition(parts, "mask", "key").sortWithinPartitions("mask", "key", "bits")
+
+    def links(bits: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        found = []
+        for lo in range(0, len(bits), 256):
+            apart = np.bitwise_count((bits[lo : lo + 256, None] ^ bits[None]).view(np.uint64))
+            i, j = np.nonzero(np.triu(apart <= radius, lo + 1))
+            found.append((bits[lo + i], bits[j], apart[i, j].astype(np.int32)))
+        return tuple(np.concatenate(c) for c in zip(*found))
+
+    def out(a: np.ndarray, b: np.ndarray, apart: np.ndarray | None) -> pa.RecordBatch:
+        return pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64()), pa.nulls(len(a), pa.int32()) if apart is None else pa.array(apart, pa.int32())], names=["a", "b", "apart"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # the fingerprints under the last key may go on in the next batch
+        now, held, over = None, np.empty(0, np.int64), False
+
+        def closed() -> Iterator[pa.RecordBatch]:
+            if over:
+                yield out(np.full(len(held), now[0]), held, None)
+            elif len(held) > 1:
+                yield out(*links(held))
+
+        for batch in batches:
+            mask, key, bits = (c.to_numpy() for c in batch.columns)
+            if not len(mask):
+                continue
+            starts = np.flatnonzero(np.concatenate([[True], (mask[1:] != mask[:-1]) | (key[1:] != key[:-1])]))
+            ends = np.append(starts[1:], len(mask))
+            several = (ends - starts > 1) | (starts == 0) | (ends == len(mask))  # a lone one inside has no partner
+            for lo, hi in zip(starts[several].tolist(), ends[several].tolist()):
+                if (mask[lo], key[lo]) != now:
+                    yield from closed()
+                    now, held, over = (mask[lo], key[lo]), np.empty(0, np.int64), False
+                held = np.concatenate([held, bits[lo:hi]])
+                if len(held) > few:
+                    over = True
+                if over:  # rows of a hot key go by, at most a batch is held
+                    yield out(np.full(len(held), now[0]), held, None)
+                    held = np.empty(0, np.int64)
+        yield from closed()
+
+    return dealt.select("mask", "key", "bits").mapInArrow(run, "a long, b long, apart int")
+
+
+def within_radius(prints: DataFrame, radius: int = 3, few: int = FEW_UNDER_KEY) -> tuple[DataFrame, DataFrame]:
     """(members, pairs) of fingerprints: members gives each doc_id its class, the
     least doc_id with that fingerprint; pairs (a, b, bits) links the classes of
     unequal fingerprints at most ``radius`` bits apart. Copies stay classes and
-    are not expanded into pairs."""
+    are not expanded into pairs. Rows without a fingerprint are left out; a class
+    of rows without ids has a null class id."""
     blocks = radius + 3
     edges = [BITS * i // blocks for i in range(blocks + 1)]
     masks = [sum(((1 << edges[i + 1]) - (1 << edges[i])) for i in chosen) for chosen in combinations(range(blocks), 3)]
-    signed = [m - (1 << 64) if m >> 63 else m for m in masks]
-    classes = prints.where("fingerprint is not null").groupBy("fingerprint").agg(F.min("doc_id").alias("class_id"))
     hi, lo = (F.conv(F.substring("fingerprint", at, 8), 16, 10).cast("long") for at in (1, 9))
-    bits = classes.withColumn("bits", F.shiftleft(hi, 32).bitwiseOR(lo))
-    keyed = bits.withColumn("table", F.explode(F.array(*[F.struct(F.lit(i).alias("n"), F.lit(m).cast("long").alias("mask")) for i, m in enumerate(signed)])))
-    keyed = keyed.select("class_id", "bits", F.col("table.n").alias("n"), F.col("bits").bitwiseAND(F.col("table.mask")).alias("key"))
-    one = keyed.select("n", "key", F.col("class_id").alias("a"), F.col("bits").alias("x"))
-    two = keyed.select("n", "key", F.col("class_id").alias("b"), F.col("bits").alias("y"))
-    apart = F.bit_count(F.col("x").bitwiseXOR(F.col("y")))
-    pairs = one.join(two, ["n", "key"]).where(F.col("a") < F.col("b")).withColumn("bits", apart).where(F.col("bits") <= radius).select("a", "b", "bits").distinct()
-    members = prints.join(classes, "fingerprint").select("doc_id", "class_id")
+    classes = staged(prints.where("fingerprint is not null").groupBy("fingerprint").agg(F.min("doc_id").alias("class_id")).withColumn("bits", F.shiftleft(hi, 32).bitwiseOR(lo)), "classes")
+
+    def keyed(rows: DataFrame, chosen: Column) -> DataFrame:
+        made = rows.withColumn("mask", F.explode(chosen))
+        return made.select("mask", F.col("bits").bitwiseAND(F.col("mask")).alias("key"), "bits")
+
+    tables = keyed(classes.select("bits"), F.array(*[F.lit(_signed(m)).cast("long") for m in masks]))
+    found = []
+    for level in range(MOST_LEVELS):
+        # the last level compares whatever is left; keys have most of the bits by then
+        got = staged(_under_keys(tables, radius, few if level + 1 < MOST_LEVELS else 1 << 62), "links")
+        found.append(got.where("apart is not null"))
+        hot = got.where("apart is null").select(F.col("a").alias("mask"), F.col("b").alias("bits"))
+        used = [r[0] for r in hot.select("mask").distinct().collect()]  # a number that the radius and the level bound
+        if not used:
+            break
+        finer = F.create_map(*[x for m in used for x in (F.lit(m).cast("long"), F.array(*[F.lit(_signed(m & (1 << 64) - 1 | p)).cast("long") for p in _parts(m & (1 << 64) - 1, radius + 1)]))])
+        tables = keyed(hot.select("bits", finer[F.col("mask")].alias("finer")), F.col("finer")).distinct()
+    pairs = reduce(DataFrame.unionAll, found).distinct()
+    own = classes.select("bits", "class_id")
+    named = pairs.join(own.select(F.col("bits").alias("a"), F.col("class_id").alias("x")), "a").join(own.select(F.col("bits").alias("b"), F.col("class_id").alias("y")), "b")
+    x, y = (F.coalesce(c, F.lit(NULL_KEY)) for c in ("x", "y"))
+    pairs = named.select(F.nullif(F.least(x, y), F.lit(NULL_KEY)).alias("a"), F.greatest(x, y).alias("b"), F.col("apart").alias("bits"))
+    members = prints.join(classes.select("fingerprint", "class_id"), "fingerprint").select("doc_id", "class_id")
     return members, pairs
+
+
+def near_fingerprints(docs: DataFrame, radius: int = 3) -> DataFrame:
+    """doc_id, class_id (least doc_id with the same fingerprint) and n_links (other
+    classes within ``radius`` bits) of every row of ``docs``."""
+    prints = staged(document_fingerprints(docs), "prints")
+    members, pairs = within_radius(prints, radius)
+    ends = pairs.select("a").unionAll(pairs.select(F.col("b").alias("a"))).groupBy("a").agg(F.count("*").alias("n"))
+    return members.join(ends, F.col("class_id").eqNullSafe(F.col("a")), "left").select("doc_id", "class_id", F.coalesce("n", F.lit(0)).cast("long").alias("n_links"))

@@ -27,6 +27,11 @@ def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints.edited_pairs(table(spark, sf_dir, "documents"))
 
 
+def simhash_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The block tables of op3: all fingerprints within three bits of each other."""
+    return fingerprints.near_fingerprints(table(spark, sf_dir, "documents"))
+
+
 def op4_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_components(table(spark, sf_dir, "documents"), percent=85)
 
@@ -57,7 +62,7 @@ def op10_flac_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     f.__name__: f
-    for f in (op1_mix_sources, op2_quality_resampling, op3_simhash, op4_minhash_near_dedup, op5_toxicity, op6_token_files, op7_pieces, op8_licence_scan, op9_extendible_shards, op10_flac_media)
+    for f in (op1_mix_sources, op2_quality_resampling, op3_simhash, simhash_search, op4_minhash_near_dedup, op5_toxicity, op6_token_files, op7_pieces, op8_licence_scan, op9_extendible_shards, op10_flac_media)
 }
 
 ORACLE_SQL: dict[str, str] = {
