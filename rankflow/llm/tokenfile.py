@@ -11,11 +11,13 @@ Format of one chunk ``c`` in a folder (little-endian, no headers):
 Chunks are contiguous key ranges in ascending order. The manifest (a Parquet
 table: chunk, n_docs, n_tokens, start) holds each chunk's base, the prefix sum
 of the sizes before it, so any document is found by one binary search and one
-memory-mapped slice.
+slice, memory-mapped where files lie on a mount. Files are written as their
+documents go by, so a task holds a batch of texts, however large its chunk.
 
 Null texts are empty; null keys sort first and are stored as the smallest
-64-bit integer. Repeated keys keep all their rows, ordered by text. An empty
-table gives an empty manifest.
+64-bit integer. Texts count whole, however long. Repeated keys keep all their
+rows, ordered by text (ties are equal rows), in one chunk. An empty table gives
+an empty manifest. Other columns are never looked at, whatever their names.
 """
 
 from __future__ import annotations
@@ -34,14 +36,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import Kept, chunk_bounds, chunk_of, fresh_path, held_by, map_file, only, put_bytes, spliced, staged, texts_of
+from .common import FileOut, Kept, chunk_bounds, chunk_of, fresh_path, held_by, map_file, only, spliced, staged, texts_of
 
 #: Other white space than space and line end, and the mark put between cuts.
 OTHER_BLANKS = "[\x00\t\x0b-\r\x1c-\x1f\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]"
 KEPT_UNITS = 400_000
 #: Texts that are encoded together.
 TOGETHER, MOST_CHARS = 4_000, 1 << 25
-NULL_KEY = np.iinfo(np.int64).min
+NULL_KEY = -(1 << 63)
 #: Fixed value: the pattern of byte-level BPE's units.
 UNIT = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 ROWS_PER_CHUNK = 4_000
@@ -168,14 +170,17 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
         use = encoder(tokenizer)
         end = np.array([end_id], dtype=use.dtype).tobytes()
         width = len(end)
-        now, keys, sizes, data = None, [], [], []
+        now, files, n_docs, at = None, [], 0, 0
+
+        def begin(chunk: int) -> list[FileOut]:
+            opened = [FileOut(f"{folder}/{chunk:08d}.{kind}") for kind in ("ids", "offsets", "keys")]
+            opened[1].write(bytes(8))
+            return opened
 
         def close() -> pa.RecordBatch:
-            name = f"{folder}/{now:08d}"
-            put_bytes(f"{name}.ids", b"".join(data))
-            put_bytes(f"{name}.offsets", np.concatenate([[0], np.cumsum(sizes)]).astype("<i8").tobytes())
-            put_bytes(f"{name}.keys", np.array(keys, dtype="<i8").tobytes())
-            return pa.RecordBatch.from_arrays([pa.array([now], pa.int64()), pa.array([len(keys)], pa.int64()), pa.array([int(sum(sizes))], pa.int64())], names=["chunk", "n_docs", "n_tokens"])
+            for f in files:
+                f.close()
+            return pa.RecordBatch.from_arrays([pa.array([now], pa.int64()), pa.array([n_docs], pa.int64()), pa.array([at], pa.int64())], names=["chunk", "n_docs", "n_tokens"])
 
         for whole in batches:
             for lo in range(0, whole.num_rows, TOGETHER):
@@ -184,10 +189,11 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
                     if c != now:
                         if now is not None:
                             yield close()
-                        now, keys, sizes, data = c, [], [], []
-                    keys.append(NULL_KEY if k is None else k)
-                    data += (ids, end)
-                    sizes.append(len(ids) // width + 1)
+                        now, files, n_docs, at = c, begin(c), 0, 0
+                    n_docs, at = n_docs + 1, at + len(ids) // width + 1
+                    files[0].write(ids + end)
+                    files[1].write(at.to_bytes(8, "little"))
+                    files[2].write((NULL_KEY if k is None else k).to_bytes(8, "little", signed=True))
         if now is not None:
             yield close()
 
