@@ -10,13 +10,19 @@ A pair of equal neighbours is one feature whatever its word, and the case of a
 word and long signs have features of their own, so that texts the words of
 which are new can still be told apart by how they are built.
 
-k is the number of documents that are likelier under the target than under the
-raw texts, by more than their noise would hide: the models, and not the share
-of good labels, tell how much of a corpus to keep.
-
-Null and empty texts have no features, importance 0, and are kept like any text
-about which the models say nothing. The noise is a hash of doc_id, so reruns
-agree; ties rank by doc_id. Without good labels all importances are 0.
+The sum over a text's features grows with its length, so documents are drawn by
+their importance a feature, as if all had ``LENGTH`` features; a few more that say
+nothing (``PSEUDO``) keep very short texts near zero. k is a parameter: a number
+of documents, a share of them, or, if not given, the number of those above the
+level that parts labelled good texts from labelled bad ones best (0, as likely
+under either model, without both kinds). That level does not move with the sizes
+of texts or samples.
+
+Null and empty texts have no features and importance 0; texts count whole, however
+long. The noise is a hash of doc_id, so reruns agree; ties rank by doc_id. Rows
+that repeat an id are scored each and share their noise. Without good labels all
+importances are 0. An empty table gives no rows. Other columns are never looked
+at, whatever their names.
 """
 
 from __future__ import annotations
@@ -31,7 +37,7 @@ from pandas.util import hash_array
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import global_rank, only, staged
+from .common import free_names, global_rank, only, staged
 
 #: Hashed features of each kind: 0 words and marks, 1 pairs, 2 forms.
 BUCKETS = 8_192
@@ -42,8 +48,9 @@ PRIOR, FLOOR = 1_000.0, 0.01
 #: Labelled good texts that the target model counts at most; the raw model counts
 #: all texts.
 MOST_GOOD = 20_000
-#: A document counts towards k from this importance on; noise is seldom larger.
-LEAST = -14.0
+#: Features of the text that an importance a feature is scaled to, and those that are
+#: added to each text's own.
+LENGTH, PSEUDO = 200.0, 20.0
 SEED = 7
 #: Texts, and characters of texts, that are unpacked together.
 TOGETHER, TOGETHER_CHARS = 2_048, 1 << 21
@@ -187,12 +194,19 @@ def gumbel(key: Column, seed: int = SEED) -> Column:
     return -F.log(-F.log(u))
 
 
+def _first(labels: DataFrame, quality: int, most: int) -> DataFrame:
+    """Ids (id_) of at most ``most`` texts labelled so, the first by a hash."""
+    some = labels.where(F.col("quality") == quality).select(F.col("doc_id").alias("id_")).dropna().distinct()
+    return some.orderBy(F.md5(F.concat(F.lit("good-"), F.col("id_").cast("string"))), "id_").limit(most)
+
+
 def importance(docs: DataFrame, labels: DataFrame) -> DataFrame:
-    """doc_id, n_features and importance of every row of ``docs``."""
-    good = labels.where("quality = 1").select(F.col("doc_id").alias("_id")).distinct()
-    good = F.broadcast(good.orderBy(F.md5(F.concat(F.lit("good-"), F.col("_id").cast("string"))), "_id").limit(MOST_GOOD))
-    target = feature_counts(docs.join(good, docs["doc_id"] == F.col("_id"), "left_semi"))
-    weights = log_ratios(target, feature_counts(docs))
+    """doc_id, n_features, importance (the log of the models' ratio, over all of a
+    text) and rate (a feature) of every row of ``docs``."""
+    texts = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+    good = F.broadcast(_first(labels, 1, MOST_GOOD))  # MOST_GOOD rows at the most
+    target = feature_counts(texts.join(good, F.col("doc_id") == F.col("id_"), "left_semi"))
+    weights = log_ratios(target, feature_counts(texts))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         only("quality")
@@ -202,21 +216,44 @@ def importance(docs: DataFrame, labels: DataFrame) -> DataFrame:
                 made = [weighed(g, weights) for g in _groups(b.column(1).to_pylist())]
                 yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.concatenate([m[0] for m in made]), pa.int64()), pa.array(np.concatenate([m[1] for m in made]), pa.float64())], names=["doc_id", "n_features", "importance"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n_features long, importance double")
+    return texts.mapInArrow(run, "doc_id long, n_features long, importance double").withColumn("rate", F.col("importance") / (F.col("n_features") + PSEUDO))
+
+
+def best_level(good: np.ndarray, bad: np.ndarray) -> float:
+    """The middle of the levels that part good rates (above) from bad ones best, by
+    the sum of both shares; 0 if there is none of a kind."""
+    if not len(good) or not len(bad):
+        return 0.0
+    at = np.unique(np.concatenate([good, bad]))
+    right = np.searchsorted(np.sort(bad), at) / len(bad) - np.searchsorted(np.sort(good), at) / len(good)
+    best = int(right.argmax())  # a level between the value at ``best`` and the one below it
+    return float(at[best] if best == 0 else (at[best] + at[best - 1]) / 2)
+
+
+def _level(scored: DataFrame, labels: DataFrame) -> float:
+    """``best_level`` of at most MOST_GOOD labelled rows of each kind."""
+    known = [F.broadcast(_first(labels, q, MOST_GOOD)) for q in (1, 0)]
+    good, bad = (np.array([r[0] for r in scored.join(k, F.col("doc_id") == F.col("id_"), "left_semi").select("rate").limit(MOST_GOOD).collect()]) for k in known)
+    return best_level(good, bad)
 
 
-def resample(docs: DataFrame, labels: DataFrame, seed: int = SEED) -> DataFrame:
-    """doc_id, n_features, importance, key (with noise), place (0-based by key,
-    descending) and kept (place below k) of every row of ``docs``."""
-    scored = importance(docs, labels).withColumn("key", F.col("importance") + gumbel(F.col("doc_id"), seed))
-    placed = global_rank(scored, [F.desc("key"), F.asc("doc_id")], "place", "importances")
-    k = placed.where(F.col("importance") >= LEAST).count()
-    return placed.withColumn("kept", F.col("place") < k)
+def resample(docs: DataFrame, labels: DataFrame, k: int | float | None = None, seed: int = SEED) -> DataFrame:
+    """doc_id, n_features, importance, rate, key (LENGTH times the rate, with noise),
+    place (0-based by key, descending) and kept (place below k) of every row of
+    ``docs``. k: a number of rows (int), a share of them (float), or None."""
+    scored = staged(importance(docs, labels), "importances")
+    if k is None:
+        k = scored.where(F.col("rate") >= _level(scored, labels)).count()
+    elif isinstance(k, float):
+        k = round(k * scored.count())
+    keyed = scored.withColumn("key", F.col("rate") * LENGTH + gumbel(F.col("doc_id"), seed))
+    return global_rank(keyed, [F.desc("key"), F.asc("doc_id")], "place", "places").withColumn("kept", F.col("place") < k)
 
 
-def good_documents(docs: DataFrame, labels: DataFrame) -> DataFrame:
+def good_documents(docs: DataFrame, labels: DataFrame, k: int | float | None = None) -> DataFrame:
     """The rows of ``docs`` that the draw keeps; rows that repeat a doc_id stay
-    if any of them is kept."""
-    drawn = resample(docs, labels)
-    gone = staged(drawn.groupBy("doc_id").agg(F.max("kept").alias("kept")).where("not kept and doc_id is not null").select("doc_id"), "rejected")
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    if any of them is kept, rows without one always do."""
+    (own,) = free_names(docs, "gone_")
+    drawn = resample(docs, labels, k)
+    gone = staged(drawn.groupBy("doc_id").agg(F.max("kept").alias("kept")).where("not kept and doc_id is not null").select(F.col("doc_id").alias(own)), "rejected")
+    return docs.join(gone, docs["doc_id"] == F.col(own), "left_anti")
