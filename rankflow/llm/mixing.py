@@ -7,12 +7,15 @@ repetition of its shuffled documents, so sources interleave evenly at every
 prefix of the mix and small sources repeat while large ones are cut short.
 
 All steps are DataFrame operations. Positions inside a source are prefix sums
-in the order of a hash, summed by hash prefix on three levels, so that no task
-sees a whole source, however large.
+in the order of a hash: sums by hash prefix first (at most 2 ** 16 rows a source),
+then inside a prefix, so that no task sees a whole source, however large. What
+several steps read is written once, with a number for each row.
 
 Null texts have no words; a null source is a source of its own, the last.
-Documents without words are never taken. Repeated rows are counted each. An
-empty table gives an empty mix.
+Documents without words are never taken. Texts count whole, however long. Rows
+that repeat an id, or all of a row, are counted each; ties of the shuffled order
+go by doc_id and size. An empty table gives an empty mix. Other columns are never
+looked at, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import staged, word_count
+from .common import forget, free_names, staged, word_count
 
 WEIGHTS = (5, 2, 1)
 #: No source is repeated more often than this.
@@ -31,14 +34,15 @@ POINT_BITS, GOLDEN = 31, 1327217885
 CELL_BITS = 10
 SLOT_CHUNK_BITS = 12
 #: Words of a block: the total over 2 ** 16, but within these bounds.
-LEAST_BLOCK, MOST_BLOCK = 16, 2048
+LEAST_BLOCK, MOST_BLOCK = 1, 2048
 SEED = "mix-1"
 FEW_SOURCES = 10_000
 
 
-def document_sizes(docs: DataFrame) -> DataFrame:
-    """doc_id, source, size: all that the mix needs of a document."""
-    return docs.select(F.col("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"))
+def document_sizes(docs: DataFrame, mark: Column | None = None) -> DataFrame:
+    """doc_id, source, size (and mark): all that the mix needs of a document."""
+    more = [mark.alias("mark")] if mark is not None else []
+    return docs.select("doc_id", F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"), *more)
 
 
 def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, repeats: int = MOST_REPEATS) -> DataFrame:
@@ -70,10 +74,11 @@ def schedule(targets: DataFrame, n_slots: int, few: bool) -> DataFrame:
     spark = targets.sparkSession
     points = 1 << POINT_BITS
     share = targets.where("target > 0").withColumn("q", F.floor(F.col("target") / F.col("total") * points).cast("long"))
+    # the last span ends with the points, whatever rounding left
     spans = (
         share.withColumn("hi", F.sum("q").over(W.orderBy("sid")))
         .withColumn("lo", F.col("hi") - F.col("q"))
-        .withColumn("hi", F.when(F.row_number().over(W.orderBy(F.desc("sid"))) == 1, F.lit(points)).otherwise(F.col("hi")))
+        .withColumn("hi", F.when(F.lead("sid").over(W.orderBy("sid")).isNull(), F.lit(points)).otherwise(F.col("hi")))
         .where("lo < hi")
     )
     shift = POINT_BITS - CELL_BITS
@@ -92,66 +97,63 @@ def _starts(sizes: DataFrame) -> DataFrame:
     """``sizes`` (with sid) plus start: words of its source before the document
     in shuffled order."""
     name = F.md5(F.concat(F.lit(SEED + "-"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
-    rows = sizes.withColumn("h", name).withColumn("h2", F.substring("h", 1, 2)).withColumn("h4", F.substring("h", 1, 4))
-    until = (W.unboundedPreceding, -1)
+    rows = sizes.withColumn("h", name).withColumn("h4", F.substring("h", 1, 4))
 
     def running(col: str, by: list[str], order: list[str]) -> Column:
-        return F.coalesce(F.sum(col).over(W.partitionBy(*by).orderBy(*order).rowsBetween(*until)), F.lit(0))
+        return F.coalesce(F.sum(col).over(W.partitionBy(*by).orderBy(*order).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
 
-    fours = rows.groupBy("sid", "h2", "h4").agg(F.sum("size").alias("sum4"))
-    fours = fours.withColumn("at4", running("sum4", ["sid", "h2"], ["h4"]))
-    twos = rows.groupBy("sid", "h2").agg(F.sum("size").alias("sum2"))
-    twos = twos.withColumn("at2", running("sum2", ["sid"], ["h2"]))
-    base = fours.join(twos, ["sid", "h2"]).select("sid", "h4", (F.col("at2") + F.col("at4")).alias("base"))
     near = rows.withColumn("near", running("size", ["sid", "h4"], ["h", "doc_id", "size"]))
-    return near.join(base, ["sid", "h4"]).withColumn("start", F.col("base") + F.col("near")).drop("h", "h2", "h4", "near", "base")
+    fours = rows.groupBy("sid", "h4").agg(F.sum("size").alias("sum")).select("sid", "h4", running("sum", ["sid"], ["h4"]).alias("base"))
+    return near.join(fours, ["sid", "h4"]).withColumn("start", F.col("base") + F.col("near")).drop("h", "h4", "near", "base")
 
 
-def plan_mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, repeats: int = MOST_REPEATS) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """(sizes, targets, pieces). A piece is what one slot takes of one document:
-    slot, sid, doc_id, start (of the document in its source), size, from_word
-    and to_word (within the document)."""
-    sizes = staged(document_sizes(docs), "sizes")
+def plan_mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, repeats: int = MOST_REPEATS, mark: Column | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(placed, targets, pieces). ``placed`` has a row for each of ``docs``: row (a
+    number), doc_id, size, sid, source_size, target, start (in its source) and the
+    value of ``mark``. A piece is what one slot takes of one document: slot, sid,
+    row, doc_id, start, size, turn, from_word and to_word (within the document)."""
+    sizes = staged(document_sizes(docs, mark), "sizes")
     targets = staged(source_targets(sizes, weights, repeats), "targets")
     head = targets.agg(F.count("*"), F.max("total"), F.max("block")).first()
     few, total, block = head[0] <= FEW_SOURCES, head[1] or 0, head[2] or 1
+    facts = targets.select(F.col("source").alias("own_source"), "sid", "source_size", "target")
+    named = sizes.join(F.broadcast(facts) if few else facts, F.col("source").eqNullSafe(F.col("own_source"))).drop("source", "own_source")
+    placed = staged(_starts(named).withColumn("row", F.monotonically_increasing_id()), "placed")
+    forget(sizes)
     slots = staged(schedule(targets, -(-total // block), few), "slots")
-    ends = slots.groupBy("sid").agg(F.count("*").alias("slots")).join(targets, "sid").select("sid", "source", "source_size", F.least(F.col("slots") * block, F.col("source_size") * repeats).alias("end"))
-    ends = F.broadcast(ends) if few else ends
-    rows = sizes.where("size > 0").join(ends, sizes["source"].eqNullSafe(ends["source"])).select("doc_id", "sid", "size", "source_size", "end")
-    turns = _starts(rows).withColumn("turn", F.explode(F.sequence(F.lit(0), F.lit(repeats - 1))))
+    ends = slots.groupBy("sid").agg((F.count("*") * block).alias("end"))
+    rows = placed.where("size > 0").join(F.broadcast(ends) if few else ends, "sid").withColumn("end", F.least("end", F.col("source_size") * repeats))
+    turns = rows.withColumn("turn", F.explode(F.sequence(F.lit(0), F.lit(repeats - 1))))
     cut = turns.withColumn("at", F.col("turn") * F.col("source_size") + F.col("start")).withColumn("to", F.least(F.col("at") + F.col("size"), F.col("end"))).where("at < to")
     parts = cut.withColumn("rank", F.explode(F.sequence(F.expr(f"at div {block}"), F.expr(f"(to - 1) div {block}"))))
     pieces = (
         parts.join(slots, ["sid", "rank"])
         .withColumn("from_word", F.greatest(F.col("rank") * block, F.col("at")) - F.col("at"))
         .withColumn("to_word", F.least((F.col("rank") + 1) * block, F.col("to")) - F.col("at"))
-        .select("slot", "sid", "doc_id", "start", "size", "turn", "from_word", "to_word")
+        .select("slot", "sid", "row", "doc_id", "start", "size", "turn", "from_word", "to_word")
     )
-    return sizes, targets, pieces
+    return placed, targets, pieces
+
+
+def _taken(placed: DataFrame, pieces: DataFrame) -> DataFrame:
+    sums = pieces.groupBy("row").agg(F.sum(F.col("to_word") - F.col("from_word")).alias("taken"))
+    return placed.join(sums, "row", "left").withColumn("taken", F.coalesce("taken", F.lit(0)).cast("long"))
 
 
 def words_taken(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, repeats: int = MOST_REPEATS) -> DataFrame:
     """doc_id, size, source_size, target and taken of every row of ``docs``."""
-    sizes, targets, pieces = plan_mix(docs, weights, repeats)
-    # a document of n words has its start to itself, so (sid, start, doc_id) names a row with words
-    sums = pieces.groupBy("sid", "start", "doc_id").agg(F.sum(F.col("to_word") - F.col("from_word")).alias("taken"))
-    few = targets.count() <= FEW_SOURCES
-    facts = targets.select("sid", "source", "source_size", "target")
-    facts = F.broadcast(facts) if few else facts
-    named = sizes.join(facts, sizes["source"].eqNullSafe(facts["source"])).select("doc_id", "sid", "size", "source_size", "target")
-    full = _starts(named.where("size > 0")).alias("n").join(
-        sums.alias("t"), (F.col("n.sid") == F.col("t.sid")) & (F.col("n.start") == F.col("t.start")) & F.col("n.doc_id").eqNullSafe(F.col("t.doc_id")), "left"
-    ).select("n.doc_id", "n.size", "n.source_size", "n.target", F.coalesce("t.taken", F.lit(0)).cast("long").alias("taken"))
-    none = named.where("size = 0").select("doc_id", "size", "source_size", "target", F.lit(0).cast("long").alias("taken"))
-    return full.unionAll(none)
+    placed, _, pieces = plan_mix(docs, weights, repeats)
+    return _taken(placed, pieces).select("doc_id", "size", "source_size", "target", "taken")
 
 
 def mixed_documents(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, repeats: int = MOST_REPEATS) -> DataFrame:
     """The rows of ``docs`` as often as the mix takes them, to the nearest whole
-    document but once at least where it takes any of its words."""
-    taken = words_taken(docs, weights, repeats).groupBy("doc_id").agg(F.max(F.when(F.col("taken") > 0, F.greatest(F.lit(1), F.round(F.col("taken") / F.col("size")))).otherwise(0)).cast("int").alias("_times"))
-    times = taken.where("_times > 0")
-    cols = docs.columns
-    joined = docs.join(times.withColumnRenamed("doc_id", "_id"), docs["doc_id"].eqNullSafe(F.col("_id")))
-    return joined.withColumn("_turn", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*cols)
+    number. The mix takes all of a source's documents equally often but for the
+    part of one that its last block cuts, so a source's words stay within half a
+    document of what the mix takes. Equal rows are taken equally often."""
+    rowmark = F.xxhash64(F.col("source").cast("string"), F.coalesce(F.col("text"), F.lit("")))
+    placed, _, pieces = plan_mix(docs, weights, repeats, rowmark)
+    own_id, own_mark, times, turn = free_names(docs, "id_", "mark_", "times_", "turn_")
+    every = _taken(placed, pieces).where("taken > 0").groupBy(F.col("doc_id").alias(own_id), F.col("mark").alias(own_mark)).agg(F.round(F.sum("taken") / F.sum("size")).cast("int").alias(times))
+    joined = docs.join(every.where(F.col(times) > 0), docs["doc_id"].eqNullSafe(F.col(own_id)) & (rowmark == F.col(own_mark)))
+    return joined.withColumn(turn, F.explode(F.sequence(F.lit(1), F.col(times)))).select(*[docs[c] for c in docs.columns])

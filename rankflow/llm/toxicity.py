@@ -7,13 +7,18 @@ alone. Terms are lower-cased words and their openings of five characters.
 
 The machine is fitted on the driver to a bounded sample of labelled texts
 (``MOST_SAMPLED``, the rows first in the order of a hash), by minibatches with
-per-coordinate steps. Only terms more or less common among toxic texts than
-chance explains are learned, and weights that the data do not support are drawn
-to zero, so the many neutral words of a long text add nothing.
-
-Null and empty texts score like a text without known terms. Labels, language,
-source and id never enter a score. Repeated rows are scored each. Without
-labels of both kinds the score is the share of toxic labels (or 0).
+per-coordinate steps. Rare terms are learned only where they are more or less
+common among toxic texts than chance explains, among all texts or beside terms
+of that kind; frequent ones whatever they say alone. Weights that the data do
+not support are drawn to zero, so the many neutral words of a long text add
+nothing.
+
+Null and empty texts score like a text without known terms; a text counts whole,
+however long, each term once. Labels, language, source and id never enter a score,
+nor do other columns, whatever their names. Repeated rows are scored each, with
+equal scores. Labels that repeat an id or contradict each other are rows of the
+fit each; null labels are none. Without labels of both kinds the score is the
+share of toxic labels (or 0). An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -41,6 +46,8 @@ DRAW = 0.03
 #: Standard deviations by which a term's share of toxic texts departs from that
 #: of all texts, for it to be learned.
 LEAST_APART = 3.5
+#: Share of the texts from which on a term is learned whatever it says alone.
+FREQUENT = 0.005
 HELD_OUT = 2
 _WORD = re.compile(r"\w+")
 _MASK = (1 << TERM_BITS) - 1
@@ -67,48 +74,83 @@ def terms(text: str | None) -> np.ndarray:
 
 @dataclass
 class Machine:
-    """Weights by term hash: linear (w) and pairwise (v, a row a term)."""
+    """Weights of the learned terms (their hashes, ascending): linear (w) and
+    pairwise (v, a row a term)."""
 
     bias: float
+    learned: np.ndarray
     w: np.ndarray
     v: np.ndarray
 
+    def __post_init__(self):
+        self.place = np.full(1 << TERM_BITS, -1, np.int32)
+        self.place[self.learned] = np.arange(len(self.learned), dtype=np.int32)
+
     def score(self, found: list[np.ndarray]) -> np.ndarray:
         return 1 / (1 + np.exp(-np.clip(self.margin(found), -30, 30)))
 
     def margin(self, found: list[np.ndarray]) -> np.ndarray:
         out = np.full(len(found), self.bias)
         sizes = np.array([len(f) for f in found])
-        if not sizes.sum():
+        if not sizes.sum() or not len(self.learned):
             return out
-        flat = np.concatenate(found)
-        at = np.concatenate([[0], np.cumsum(sizes)])[:-1]
-        some = sizes > 0
-        w = np.add.reduceat(self.w[flat], at[some])
-        v = self.v[flat]
-        s = np.add.reduceat(v, at[some], axis=0)
-        q = np.add.reduceat(v * v, at[some], axis=0)
-        out[some] += w + 0.5 * (s * s - q).sum(axis=1)
+        at, who = self.place[np.concatenate(found)], np.repeat(np.arange(len(found)), sizes)
+        some = at >= 0
+        at, who = at[some], who[some]
+        out += np.bincount(who, self.w[at], len(found))
+        for f in range(self.v.shape[1]):
+            v = self.v[at, f].astype(np.float64)
+            out += 0.5 * (np.bincount(who, v, len(found)) ** 2 - np.bincount(who, v * v, len(found)))
         return out
 
 
-def fit(found: list[np.ndarray], toxic: np.ndarray, epochs: int = 6, batch: int = 128, step: float = 0.3, draw: float = DRAW, least_steps: int = 400, apart_least: float = LEAST_APART, seed: int = 5) -> Machine:
+def _occurrences(found: list[np.ndarray], which: np.ndarray) -> np.ndarray:
+    """In how many of the texts that ``which`` lists each term occurs."""
+    out = np.zeros(1 << TERM_BITS, np.int32)
+    for lo in range(0, len(which), 1_000):
+        out += np.bincount(np.concatenate([found[i] for i in which[lo : lo + 1_000]]), minlength=len(out)).astype(np.int32)
+    return out
+
+
+def _departs(spread: np.ndarray, among: np.ndarray, share: float) -> np.ndarray:
+    """Standard deviations by which terms in ``spread`` texts, ``among`` of them
+    toxic, depart from the share of toxic texts."""
+    return np.abs(among - spread * share) / np.sqrt(np.maximum(spread, 1) * max(share * (1 - share), 1e-12))
+
+
+def learned_terms(found: list[np.ndarray], toxic: np.ndarray, least_apart: float = LEAST_APART, frequent: float = FREQUENT) -> np.ndarray:
+    """Terms that get weights, of those in ``LEAST_TEXTS`` texts: terms more or less
+    common among toxic texts than chance explains, whether among all texts or among
+    those that hold (or lack) a term of that kind; and, whatever their share of toxic
+    texts, all terms of at least ``frequent`` of the texts, as two terms that say
+    nothing each may say something together."""
+    said = toxic > 0
+
+    def departing(which: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        spread = _occurrences(found, which)
+        return spread, (spread >= LEAST_TEXTS) & (_departs(spread, _occurrences(found, which[said[which]]), float(said[which].mean())) >= least_apart)
+
+    spread, apart = departing(np.arange(len(found)))
+    keep = apart | (spread >= max(LEAST_TEXTS, frequent * len(found)))
+    marked = np.array([bool(apart[f].any()) for f in found])
+    for side in (marked, ~marked):
+        if side.any():
+            keep |= departing(np.flatnonzero(side))[1]
+    return np.flatnonzero(keep)
+
+
+def fit(found: list[np.ndarray], toxic: np.ndarray, epochs: int = 6, batch: int = 128, step: float = 0.3, draw: float = DRAW, least_steps: int = 400, least_apart: float = LEAST_APART, frequent: float = FREQUENT, seed: int = 5) -> Machine:
     """A machine for texts given by their terms. ``draw`` over the
     root of their number pulls weights to zero, as soft thresholds; few texts
     are gone through more often."""
-    size = 1 << TERM_BITS
     toxic = toxic.astype(np.float64)
     share = float(toxic.mean()) if len(toxic) else 0.0
     if not 0 < share < 1:
-        return Machine(30.0 if share == 1 else -30.0, np.zeros(size, np.float32), np.zeros((size, FACTORS), np.float32))
-    flat = np.concatenate(found)
-    spread = np.bincount(flat, minlength=size)
-    among = np.bincount(flat, np.repeat(toxic, [len(f) for f in found]), minlength=size)
-    apart = np.abs(among - spread * share) / np.sqrt(np.maximum(spread, 1) * share * (1 - share))
-    kept_terms = np.flatnonzero((spread >= LEAST_TEXTS) & (apart >= apart_least))
-    place = np.full(size, -1)
+        return Machine(30.0 if share == 1 else -30.0, np.empty(0, np.int64), np.empty(0, np.float32), np.empty((0, FACTORS), np.float32))
+    kept_terms = learned_terms(found, toxic, least_apart, frequent)
+    place = np.full(1 << TERM_BITS, -1)
     place[kept_terms] = np.arange(len(kept_terms))
-    own = [place[f][place[f] >= 0] for f in found]
+    own = [at[at >= 0].astype(np.int32) for at in (place[f] for f in found)]
     draw /= len(found) ** 0.5
     epochs = max(epochs, -(-least_steps * batch // len(found)))
     rng = np.random.default_rng(seed)
@@ -145,9 +187,7 @@ def fit(found: list[np.ndarray], toxic: np.ndarray, epochs: int = 6, batch: int
                 pace = 0.1 * step / np.sqrt(gv[used, f])
                 new = v[used, f] - pace * gf
                 v[used, f] = np.sign(new) * np.maximum(np.abs(new) - pace * draw, 0)
-    out_w, out_v = np.zeros(size, np.float32), np.zeros((size, FACTORS), np.float32)
-    out_w[kept_terms], out_v[kept_terms] = w, v
-    return Machine(bias, out_w, out_v)
+    return Machine(bias, kept_terms, w.astype(np.float32), v.astype(np.float32))
 
 
 def remainder(doc_id="doc_id"):
@@ -171,24 +211,36 @@ def train(docs: DataFrame, labels: DataFrame, most: int = MOST_SAMPLED, exclude:
     kinds = dict(rows.dtypes)
     got = rows.mapInArrow(run, f"doc_id {kinds['doc_id']}, terms binary, toxic {kinds['toxic']}").toArrow()
     listed = sorted(zip(got["doc_id"].to_pylist(), got["toxic"].to_pylist(), got["terms"].to_pylist()))
-    return fit([np.frombuffer(t, np.int32).astype(np.int64) for _, _, t in listed], np.array([y for _, y, _ in listed], np.float64))
+    del got
+    machine = fit([np.frombuffer(t, np.int32) for _, _, t in listed], np.array([y for _, y, _ in listed], np.float64))
+    pa.default_memory_pool().release_unused()
+    return machine
+
+
+def _scorer(machine: Machine):
+    """What scores lists of texts in a worker: only learned terms are sent (a bound of
+    2 ** TERM_BITS, in truth some thousands)."""
+    parts = (machine.bias, machine.learned, machine.w, machine.v)
+
+    def make():
+        only("toxicity")
+        use = Machine(*parts)
+        return lambda texts: use.score([terms(t) for t in texts])
+
+    return make
 
 
 def score_documents(docs: DataFrame, machine: Machine, threshold: float = THRESHOLD) -> DataFrame:
-    """doc_id, score and predicted of every whole text. The machine (a fixed size
-    of 2 ** TERM_BITS terms) is broadcast once."""
-    held = docs.sparkSession.sparkContext.broadcast((machine.bias, np.flatnonzero(machine.w).astype(np.int32), machine.w[machine.w != 0], np.flatnonzero(machine.v.any(axis=1)).astype(np.int32), machine.v[machine.v.any(axis=1)]))
+    """doc_id, score and predicted of every whole text."""
+    make = _scorer(machine)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        only("toxicity")
-        bias, iw, w, iv, v = held.value
-        use = Machine(bias, np.zeros(1 << TERM_BITS, np.float32), np.zeros((1 << TERM_BITS, FACTORS), np.float32))
-        use.w[iw], use.v[iv] = w, v
+        score = make()
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
                 b = whole.slice(lo, 256)
-                score = use.score([terms(t) for t in b.column(1).to_pylist()])
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(score, pa.float64()), pa.array((score >= threshold).astype(np.int32))], names=["doc_id", "score", "predicted"])
+                found = score(b.column(1).to_pylist())
+                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(found, pa.float64()), pa.array((found >= threshold).astype(np.int32))], names=["doc_id", "score", "predicted"])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, score double, predicted int")
 
@@ -201,17 +253,14 @@ def toxicity(docs: DataFrame, labels: DataFrame) -> DataFrame:
 def clean_documents(docs: DataFrame, labelled: DataFrame, labels: DataFrame) -> DataFrame:
     """The rows of ``docs`` that are not predicted toxic, by a machine fitted to
     the labelled rows of ``labelled``. The texts pass through, without a join."""
-    machine = train(labelled, labels)
-    held = docs.sparkSession.sparkContext.broadcast((machine.bias, machine.w, machine.v))
+    make = _scorer(train(labelled, labels))
     at = docs.columns.index("text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        only("toxicity")
-        use = Machine(*held.value)
+        score = make()
         for whole in batches:
             for lo in range(0, whole.num_rows, 256):
                 b = whole.slice(lo, 256)
-                keep = use.score([terms(t) for t in b.column(at).to_pylist()]) < THRESHOLD
-                yield b.filter(pa.array(keep))
+                yield b.filter(pa.array(score(b.column(at).to_pylist()) < THRESHOLD))
 
     return docs.mapInArrow(run, docs.schema)
