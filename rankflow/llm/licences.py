@@ -8,8 +8,10 @@ only. A rule is an ordered list of identifiers; it holds where they occur in thi
 in a document, other sentences between them or not.
 
 Everything is column expressions over one scan: no shuffle and no Python. Null
-and empty texts have no sentences and no licence. Repeated rows are scanned
-each.
+and empty texts have no sentences and no licence; texts are scanned whole, however
+long. Repeated rows are scanned each. Rules that hold at once are all told, in
+their order. An empty table gives no rows. Other columns are never looked at,
+whatever their names.
 """
 
 from __future__ import annotations

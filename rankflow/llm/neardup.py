@@ -6,7 +6,10 @@ Words are runs of anything but ASCII white space, A-Z lower-cased. A document's
 set holds its distinct runs of five words; with fewer words the whole sequence
 is its one member; without words (or with a null text) the set is empty and is
 linked with nothing. Repeated ids keep a row each and share their component: the
-texts of one id are linked through it, whatever they are.
+texts of one id are linked through it, whatever they are. Null ids are linked with
+nothing. Texts count whole, however long. Of ties (equal texts) the least doc_id
+is kept. An empty table gives no rows. Other columns are never looked at, whatever
+their names.
 
 How the work stays bounded under large groups of copies:
 
@@ -37,7 +40,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Kept, held_by, only, shuffle_parts, staged
+from .common import Kept, forget, free_names, held_by, only, shuffle_parts, staged
 
 BANDS, ROWS = 32, 6
 #: Bands for a similarity under 0.85, 0.8 at the least.
@@ -194,7 +197,8 @@ def components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         # small star: a vertex and its neighbours below move to the least of them
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionAll(low.select("u", F.col("m").alias("v"))).distinct()
-        now = staged(small, "stars")
+        old, now = now, staged(small, "stars")
+        forget(old)
         mark = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if tuple(mark) == before:
             break
@@ -395,14 +399,15 @@ def one_of_each_group(docs: DataFrame, percent: int = STAGE_PERCENT) -> DataFram
     """One row of each group of near copies, the first by doc_id, and all rows
     without words. Rows count one by one: those that repeat a doc_id, or have
     none, are copies only where their texts are."""
-    rows = staged(docs.withColumn("_row", F.monotonically_increasing_id()), "rows")
-    found = staged(near_components(rows.select(F.col("_row").alias("doc_id"), "text"), percent).select(F.col("doc_id").alias("_row"), "component_id", "kept"), "groups")
+    (row,) = free_names(docs, "row_")
+    rows = staged(docs.withColumn(row, F.monotonically_increasing_id()), "rows")
+    found = staged(near_components(rows.select(F.col(row).alias("doc_id"), "text"), percent).select(F.col("doc_id").alias(row), "component_id", "kept"), "groups")
     several = found.where("not kept").select("component_id").distinct()
-    member = found.join(several, "component_id").select("_row", "component_id").join(rows.select("_row", "doc_id"), "_row")
-    order = F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "_row")
-    first = member.groupBy("component_id").agg(F.min(order)["_row"].alias("_first"))
-    gone = member.join(first, "component_id").where("_row <> _first").select("_row")
-    return rows.join(gone, "_row", "left_anti").select(*docs.columns)
+    member = found.join(several, "component_id").select(row, "component_id").join(rows.select(row, F.col("doc_id").alias("id")), row)
+    order = F.struct(F.col("id").isNull().alias("last"), "id", row)
+    first = member.groupBy("component_id").agg(F.min(order)[row].alias("first"))
+    gone = member.join(first, "component_id").where(F.col(row) != F.col("first")).select(row)
+    return rows.join(gone, row, "left_anti").select(*[rows[c] for c in docs.columns])
 
 
 def near_components_sql(documents: str = "documents", percent: int = 85) -> str:
