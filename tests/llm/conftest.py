@@ -13,7 +13,7 @@ def odd(spark):
         (9, "one two three four five six", "en", "a", 27), (9, "one two three four five six", "en", "a", 27), (11, "▁ odd  marks\r\nhere <s> <0x41>", "en", "d", 30), (12, "x", "en", "d", 1),
     ]
     df = spark.createDataFrame(rows, SCHEMA)
-    for c in ("size", "target", "ids", "media", "n_bytes", "key", "rank", "chunk"):
+    for c in ("size", "target", "ids", "media", "n_bytes", "key", "rank", "chunk", "shard", "_id", "_times", "_turn", "_row", "id_", "times_", "row_", "GONE_", "mark"):
         df = df.selectExpr("*", f"'clash' as {c}")
     return df.repartition(3).cache()
 
