@@ -21,6 +21,7 @@ class Graph:
     self_loops: bool = True
     _links: DataFrame | None = None
     _n: int | None = None
+    _n_links: int | None = None
 
     @staticmethod
     def build(edges: DataFrame, vertices: DataFrame | None = None, undirected: bool = False, self_loops: bool = True) -> Graph:
@@ -41,6 +42,12 @@ class Graph:
             self._n = self.vertices.count()
         return self._n
 
+    @property
+    def n_links(self) -> int:
+        if self._n_links is None:
+            self._n_links = self.links().count()
+        return self._n_links
+
     def out_degrees(self) -> DataFrame:
         return self.edges.groupBy(F.col("src").alias("vid")).agg(F.count("*").alias("degree"))
 

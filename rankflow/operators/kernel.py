@@ -50,20 +50,3 @@ def block_step(links: DataFrame, state: DataFrame, block: Column, alpha: float,
     large = F.abs(F.col("rank") - F.col("own")) > tol
     stays = large if flag_rule == "reopen" else large & F.col("opened")
     return g.select("vid", "rank", F.col("own").alias("prev_rank"), "affected", F.when(F.col("now"), stays).otherwise(F.col("opened")).alias("open"), F.col("now").alias("processed"), "links_in")
-
-
-def pruned_step(links_in: DataFrame, links: DataFrame, state: DataFrame, alpha: float, n: int, frontier_tol: float | None) -> DataFrame:
-    """The same as ``superstep`` reading only links into affected vertices: new
-    marks first, then a pull restricted to the affected, then the rest of the
-    state unchanged. Worth its extra joins while few vertices are affected."""
-    if frontier_tol is None:
-        marked = state.where("affected").select("vid")
-    else:
-        moved = state.where(F.abs(F.col("rank") - F.col("prev_rank")) > frontier_tol).select(F.col("vid").alias("src"))
-        marked = state.where("affected").select("vid").unionAll(links.join(moved, "src", "left_semi").select(F.col("dst").alias("vid"))).distinct()
-    into = links_in.join(marked.withColumnRenamed("vid", "dst"), "dst", "left_semi")
-    needed = state.select(F.col("vid").alias("src"), "rank")
-    pulled = into.join(needed, "src").groupBy(F.col("dst").alias("vid")).agg(F.sum(F.col("rank") * F.col("w")).alias("mass"), F.count("*").alias("links_in"))
-    new = pulled.select("vid", _pull(alpha, n).alias("new"), "links_in")
-    old = state.select("vid", F.col("rank").alias("own"))
-    return old.join(new, "vid", "left").select("vid", F.coalesce("new", "own").alias("rank"), F.col("own").alias("prev_rank"), F.col("new").isNotNull().alias("affected"), F.coalesce("links_in", F.lit(0)).alias("links_in"))

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..storage import cut
+from .components import components
 from .graph import Graph
 
 
@@ -48,18 +49,56 @@ def expand(state: DataFrame, links: DataFrame, frontier_tol: float) -> DataFrame
 
 
 def reach(prev: Graph, cur: Graph, batch: DataFrame, max_depth: int | None = None) -> DataFrame:
-    """(vid, depth): all that the initial marks reach in the new snapshot. A round
-    joins only the vertices found in the round before."""
-    seen = cut(initial(prev, cur, batch).withColumn("depth", F.lit(0)))
-    last, depth = seen, 0
-    while max_depth is None or depth < max_depth:
-        depth += 1
-        heads = last.select(F.col("vid").alias("src"))
-        found = cur.edges.join(heads, "src", "left_semi").select(F.col("dst").alias("vid")).distinct().join(seen, "vid", "left_anti")
-        last = cut(found.withColumn("depth", F.lit(depth)))
+    """(vid): all that the initial marks reach in the new snapshot, or, with
+    ``max_depth``, (vid, depth) of what lies within so many links."""
+    return reach_from(cur, initial(prev, cur, batch), max_depth)
+
+
+def reach_from(cur: Graph, marks: DataFrame, max_depth: int | None = None) -> DataFrame:
+    """The same from any marks. Vertices that link to each other both ways reach the
+    same, so their components are contracted first, in rounds that grow with the
+    logarithm of a path; only one-way links are then followed hop by hop, several
+    hops a job."""
+    if max_depth is not None:
+        return _within(cur, marks, max_depth)
+    links = cur.edges.where("src <> dst")
+    both = links.where("src < dst").join(links.select(F.col("dst").alias("src"), F.col("src").alias("dst")), ["src", "dst"], "left_semi")
+    home = cut(components(both))
+
+    def contracted(rows: DataFrame, end: str) -> DataFrame:
+        return rows.join(home.select(F.col("vid").alias(end), "component"), end, "left").withColumn(end, F.coalesce("component", end)).drop("component")
+
+    one_way = cut(contracted(contracted(links, "src"), "dst").where("src <> dst").distinct())
+    heads = contracted(marks.select("vid"), "vid").distinct()
+    found = _closed(one_way, heads)
+    # every vertex of a reached component, and reached vertices without one
+    inside = home.join(found.withColumnRenamed("vid", "component"), "component", "left_semi").select("vid")
+    return inside.unionAll(found).distinct()
+
+
+def _closed(links: DataFrame, heads: DataFrame, hops: int = 8) -> DataFrame:
+    """(vid): ``heads`` and all that they reach, ``hops`` hops a job. A round goes on
+    only from what the round before found."""
+    ends = links.select(F.explode(F.array("src", "dst")).alias("src")).distinct()
+    looped = cut(links.select("src", "dst").unionAll(ends.select("src", F.col("src").alias("dst"))))  # keeps what was reached
+    seen = last = cut(heads)
+    while True:
+        found = last
+        for _ in range(hops):
+            found = looped.join(found.withColumnRenamed("vid", "src"), "src", "left_semi").select(F.col("dst").alias("vid")).distinct()
+        last = cut(found.join(seen, "vid", "left_anti"))
         if last.isEmpty():
-            break
-        seen = seen.unionAll(last)
-        if depth % 8 == 0:
-            seen = cut(seen)
-    return seen
+            return seen
+        seen = cut(seen.unionAll(last))
+
+
+def _within(cur: Graph, marks: DataFrame, hops: int) -> DataFrame:
+    """(vid, depth) of all within ``hops`` links of the marks."""
+    links = cur.edges if cur.self_loops else cur.edges.unionAll(cur.vertices.select(F.col("vid").alias("src"), F.col("vid").alias("dst")))
+    near = marks.select("vid", F.lit(0).alias("depth"))
+    for hop in range(hops):
+        far = F.col("depth") + (F.col("src") != F.col("dst")).cast("int")
+        near = links.join(near, links["src"] == near["vid"]).groupBy(F.col("dst").alias("vid")).agg(F.min(far).alias("depth"))
+        if hop % 8 == 7:
+            near = cut(near)
+    return near

@@ -12,13 +12,13 @@ from pyspark.sql import functions as F
 
 from ..params import Params, Pass, RankRun
 from ..storage import cut
-from . import marking
+from . import marking, region
 from .blocks import by_id
 from .graph import Graph
-from .kernel import block_step, pruned_step, superstep
+from .kernel import block_step, superstep
 
-#: 'auto' reads only links into affected vertices below this share of all links.
-PRUNE_BELOW = 0.1
+#: 'auto' runs a region apart below this share of all vertices.
+REGION_BELOW = 0.25
 
 
 def uniform(graph: Graph) -> DataFrame:
@@ -27,7 +27,10 @@ def uniform(graph: Graph) -> DataFrame:
 
 
 def _start(cur: Graph, ranks: DataFrame, affected: DataFrame | None) -> DataFrame:
-    """First state. Vertices without an earlier rank start at 1 / n."""
+    """First state. Vertices without an earlier rank start at 1 / n. A graph needs its
+    self-loops: a vertex's own state comes along its loop."""
+    if not cur.self_loops:
+        raise ValueError("ranks need a graph with self-loops; general_ranks takes any")
     rows = cur.vertices.join(ranks.select("vid", "rank"), "vid", "left").select("vid", F.coalesce("rank", F.lit(1.0 / cur.n)).alias("rank"))
     rows = rows.withColumn("prev_rank", F.col("rank"))
     if affected is None:
@@ -54,31 +57,18 @@ def _pass(number: int, seen: Observation) -> Pass:
     return Pass(number, got["active"], got["edges_read"], got["max_delta"], got.get("open", -1))
 
 
-def _run_sync(cur: Graph, state: DataFrame, params: Params, frontier_tol: float | None) -> RankRun:
-    """Passes until no rank changes by more than the tolerance. Several passes
-    make one job, counted by observations; if one before the last of a job ends
-    the run, that job is done again up to it."""
-    params = params.for_size(cur.n)
-    links, n = cur.links(), cur.n
-    into = None
-    total_links: int | None = None
-    state = cut(state.withColumn("links_in", F.lit(0).cast("long")))
+def _passes_sync(links: DataFrame, state: DataFrame, others: DataFrame | None, params: Params, n: int, frontier_tol: float | None, most: int) -> tuple[DataFrame, list[Pass], bool]:
+    """At most ``most`` passes, until no rank changes by more than the tolerance.
+    Several passes make one job, counted by observations; if one before the last of a
+    job ends the run, that job is done again up to it. ``others`` are vertices that
+    links come from but that do not change."""
     trace: list[Pass] = []
-    limit = params.fixed_passes or params.max_passes
-    pruned = params.plan == "pruned"
 
     def step(s: DataFrame) -> DataFrame:
-        nonlocal into
-        if pruned:
-            if into is None:
-                into = links.repartition(int(links.sparkSession.conf.get("spark.sql.shuffle.partitions")), "dst").persist()
-            return pruned_step(into, links, s, params.alpha, n, frontier_tol)
-        return superstep(links, s, params.alpha, n, frontier_tol)
-
-    converged = False
-    while len(trace) < limit and not converged:
-        # a pruned step reads the state several times, so it is cut every pass
-        count = 1 if pruned else min(params.checkpoint_every, limit - len(trace))
+        return superstep(links, s if others is None else s.unionByName(others), params.alpha, n, frontier_tol)
+
+    while len(trace) < most:
+        count = min(params.checkpoint_every, most - len(trace))
         now, seen = state, []
         for _ in range(count):
             now, one = _watch(step(now))
@@ -87,38 +77,27 @@ def _run_sync(cur: Graph, state: DataFrame, params: Params, frontier_tol: float
         done = [_pass(len(trace) + 1 + i, one) for i, one in enumerate(seen)]
         stop = next((i for i, p in enumerate(done) if p.max_delta <= params.tol), None) if params.fixed_passes is None else None
         if stop is not None:
-            converged = True
             if stop < count - 1:
                 now = state
                 for _ in range(stop + 1):
                     now = step(now)
                 now = cut(now)
-            done = done[: stop + 1]
+            return now, trace + done[: stop + 1], True
         trace += done
         state = now
-        if params.plan == "auto":
-            if total_links is None:
-                total_links = links.count()
-            pruned = trace[-1].edges_read < PRUNE_BELOW * total_links
-    if into is not None:
-        into.unpersist()
-    return RankRun(state.select("vid", "rank"), state, len(trace), converged, trace)
-
-
-def _run_async(cur: Graph, state: DataFrame, params: Params, frontier_tol: float | None, opened: Column) -> RankRun:
-    """Passes of ``blocks`` steps, each with the freshest ranks, until no vertex
-    is open. The steps of a pass and the marks of its last step make one job."""
-    params = params.for_size(cur.n)
-    links, n = cur.links(), cur.n
-    state = cut(state.withColumn("open", opened).withColumn("processed", F.lit(False)).withColumn("links_in", F.lit(0).cast("long")))
+    return state, trace, False
+
+
+def _passes_async(links: DataFrame, state: DataFrame, others: DataFrame | None, params: Params, n: int, frontier_tol: float | None, most: int) -> tuple[DataFrame, list[Pass], bool]:
+    """The same of ``blocks`` steps, each with the freshest ranks, until no vertex is
+    open. The steps of a pass and the marks of its last step make one job."""
     trace: list[Pass] = []
-    limit = params.fixed_passes or params.max_passes
-    converged = False
 
     def step(s: DataFrame, block: Column) -> DataFrame:
-        return block_step(links, s, block, params.alpha, n, params.tol, frontier_tol, params.close_rule, params.flag_rule)
+        every = s if others is None else s.unionByName(others)
+        return block_step(links, every, block, params.alpha, n, params.tol, frontier_tol, params.close_rule, params.flag_rule)
 
-    while len(trace) < limit and not converged:
+    while len(trace) < most:
         now, seen = state, []
         for b in range(params.blocks):
             now = step(now, by_id("vid", params.blocks) == b)
@@ -135,8 +114,70 @@ def _run_async(cur: Graph, state: DataFrame, params: Params, frontier_tol: float
         state = cut(flushed)
         got = [s.get for s in seen]
         trace.append(Pass(len(trace) + 1, sum(g["active"] for g in got), sum(g["edges_read"] for g in got), max(g["max_delta"] for g in got), last.get["open"]))
-        converged = params.fixed_passes is None and trace[-1].open == 0
-    return RankRun(state.select("vid", "rank"), state, len(trace), converged, trace)
+        if params.fixed_passes is None and trace[-1].open == 0:
+            return state, trace, True
+    return state, trace, False
+
+
+def _run(cur: Graph, state: DataFrame, params: Params, frontier_tol: float | None, in_place: bool, some: bool) -> RankRun:
+    """A run over the plan that ``params`` names; ``some``: it starts with part of
+    the vertices. See ``region`` for runs over regions."""
+    params = params.for_size(cur.n)
+    links, n = cur.links(), cur.n
+    passes = _passes_async if in_place else _passes_sync
+    state = cut(state)
+    trace: list[Pass] = []
+    over, limit = False, params.fixed_passes or params.max_passes
+    # a pass in place moves marks by a step a block, a pass of two buffers by one
+    reach_of_pass = params.blocks + 1 if in_place else 1
+    hops = max(region.HOPS, 2 * reach_of_pass) if frontier_tol is not None else 0
+    plan = params.plan if some or params.plan == "local" else "fused"
+    while plan != "fused" and len(trace) < limit and not over:
+        left = limit - len(trace)
+        if plan in ("auto", "local") and cur.n_links <= region.LOCAL_LINKS:
+            near, into = None, links.withColumn("depth", F.lit(-1))  # all of it, without a rim
+        elif some:
+            core = state.where("affected").select("vid")
+            if plan == "auto" and core.count() > max(REGION_BELOW * n, region.FEW_VERTICES):
+                break
+            near, size = region.around(links, core, hops)
+            if plan == "auto" and size > max(REGION_BELOW * n, region.FEW_VERTICES):
+                break
+            into = region.links_into(links, near, size)
+        else:
+            raise ValueError(f"a graph of {cur.n_links} links is too large for one task")
+        rows = region.with_sources(into, state)
+        fits = plan != "pruned"
+        if fits and near is not None:
+            rows, n_links = region.counted(rows)
+            fits = n_links <= region.LOCAL_LINKS
+            if not fits and plan == "local":
+                raise ValueError(f"a region of {n_links} links is too large for one task")
+        if fits:
+            part, done, over = region.solved(rows, left, params, n, frontier_tol, hops, in_place)
+            if not done and not over:  # the rim moved within the first pass
+                hops *= 2
+        else:
+            ends = near.select("vid")
+            own = cut(into.select("src", "dst", "w"))
+            mine = state.join(ends, "vid", "left_semi")
+            others = cut(state.join(own.select(F.col("src").alias("vid")).distinct().join(ends, "vid", "left_anti"), "vid", "left_semi"))
+            part, done, over = passes(own, cut(mine), others, params, n, frontier_tol, min(left, hops // reach_of_pass) if hops else left)
+        state = cut(region.merged(state, part))
+        trace += [replace(p, number=len(trace) + p.number) for p in done]
+    if len(trace) < limit and not over:
+        state, done, over = passes(links, state, None, params, n, frontier_tol, limit - len(trace))
+        trace += [replace(p, number=len(trace) + p.number) for p in done]
+    return RankRun(state.select("vid", "rank"), state, len(trace), over, trace)
+
+
+def _run_sync(cur: Graph, state: DataFrame, params: Params, frontier_tol: float | None, some: bool = False) -> RankRun:
+    return _run(cur, state.withColumn("links_in", F.lit(0).cast("long")), params, frontier_tol, False, some)
+
+
+def _run_async(cur: Graph, state: DataFrame, params: Params, frontier_tol: float | None, opened: Column, some: bool = False) -> RankRun:
+    rows = state.withColumn("open", opened).withColumn("processed", F.lit(False)).withColumn("links_in", F.lit(0).cast("long"))
+    return _run(cur, rows, params, frontier_tol, True, some)
 
 
 def _all_open(params: Params) -> Column:
@@ -160,27 +201,31 @@ def warm_async(cur: Graph, prev_ranks: DataFrame, params: Params = Params()) ->
 
 
 def reach_sync(prev: Graph, cur: Graph, batch: DataFrame, prev_ranks: DataFrame, params: Params = Params()) -> RankRun:
-    return _run_sync(cur, _start(cur, prev_ranks, marking.reach(prev, cur, batch)), params, None)
+    return _run_sync(cur, _start(cur, prev_ranks, marking.reach(prev, cur, batch)), params, None, True)
 
 
-def reach_async(prev: Graph, cur: Graph, batch: DataFrame, prev_ranks: DataFrame, params: Params = Params()) -> RankRun:
-    return _run_async(cur, _start(cur, prev_ranks, marking.reach(prev, cur, batch)), params, None, F.col("affected") & _all_open(params))
+def reach_async(prev: Graph, cur: Graph, batch: DataFrame, prev_ranks: DataFrame, params: Params = Params(), lost: list[set[int]] | None = None) -> RankRun:
+    """``lost``: chunks of the changes' sources whose marking fails, by round; others
+    do them again (``marking.initial_with_help``)."""
+    marks, _ = marking.initial_with_help(prev, cur, batch, lost)
+    return _run_async(cur, _start(cur, prev_ranks, marking.reach_from(cur, marks)), params, None, F.col("affected") & _all_open(params), True)
 
 
 def frontier_sync(prev: Graph, cur: Graph, batch: DataFrame, prev_ranks: DataFrame, params: Params = Params(), expand: bool = True) -> RankRun:
     """expand=False never marks beyond the first marks: a negative control."""
     state = _start(cur, prev_ranks, marking.initial(prev, cur, batch))
-    return _run_sync(cur, state, params, params.for_size(cur.n).frontier if expand else None)
+    return _run_sync(cur, state, params, params.for_size(cur.n).frontier if expand else None, True)
 
 
-def frontier_async(prev: Graph, cur: Graph, batch: DataFrame, prev_ranks: DataFrame, params: Params = Params()) -> RankRun:
-    state = _start(cur, prev_ranks, marking.initial(prev, cur, batch))
-    return _run_async(cur, state, params, params.for_size(cur.n).frontier, F.col("affected") & _all_open(params))
+def frontier_async(prev: Graph, cur: Graph, batch: DataFrame, prev_ranks: DataFrame, params: Params = Params(), lost: list[set[int]] | None = None) -> RankRun:
+    """``lost`` as in ``reach_async``."""
+    marks, _ = marking.initial_with_help(prev, cur, batch, lost)
+    return _run_async(cur, _start(cur, prev_ranks, marks), params, params.for_size(cur.n).frontier, F.col("affected") & _all_open(params), True)
 
 
-def reference(cur: Graph, max_passes: int = 500) -> RankRun:
+def reference(cur: Graph, max_passes: int = 500, plan: str = "fused") -> RankRun:
     """Ground truth: from scratch, to a tolerance that only bit-equal passes meet."""
-    return cold_sync(cur, Params(tol=1e-100, max_passes=max_passes, checkpoint_every=20))
+    return cold_sync(cur, Params(tol=1e-100, max_passes=max_passes, checkpoint_every=20, plan=plan))
 
 
 def no_barrier_only(cur: Graph, params: Params = Params()) -> RankRun:

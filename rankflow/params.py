@@ -15,7 +15,10 @@ class Params:
     steps of a pass of the in-place methods; close_rule: 'marks' (a mark re-opens
     a vertex) or 'delta' (only if it was not affected before); flag_rule:
     'reopen', 'latched' or 'literal'; checkpoint_every: passes between cuts of
-    the lineage; plan: 'fused', 'pruned' or 'auto'; tol_scale: 'absolute', or
+    the lineage; plan: 'fused' (passes over all links), 'pruned' (over regions
+    around the affected vertices), 'local' (over regions, or a whole graph, that one
+    task solves; an error if too large) or 'auto' (for methods that start with part
+    of the vertices: by the size of the region; 'fused' for the others); tol_scale: 'absolute', or
     '1/n' to multiply tolerances by the mean rank, for graphs whose mean rank is
     below the tolerance."""
 
@@ -28,7 +31,7 @@ class Params:
     close_rule: str = "marks"
     flag_rule: str = "reopen"
     checkpoint_every: int = 6
-    plan: str = "fused"
+    plan: str = "auto"
     tol_scale: str = "absolute"
 
     def __post_init__(self):
@@ -38,8 +41,8 @@ class Params:
             raise ValueError("close_rule is 'marks' or 'delta'")
         if self.flag_rule not in ("reopen", "latched", "literal"):
             raise ValueError("flag_rule is 'reopen', 'latched' or 'literal'")
-        if self.plan not in ("fused", "pruned", "auto"):
-            raise ValueError("plan is 'fused', 'pruned' or 'auto'")
+        if self.plan not in ("fused", "pruned", "local", "auto"):
+            raise ValueError("plan is 'fused', 'pruned', 'local' or 'auto'")
         if self.tol_scale not in ("absolute", "1/n"):
             raise ValueError("tol_scale is 'absolute' or '1/n'")
 

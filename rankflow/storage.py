@@ -12,9 +12,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The session's checkpoint folder; a private one only where none is set."""
+    """The session's checkpoint folder. Without one, a private folder where the
+    driver is the only machine; an error on a cluster."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if (spark.sparkContext.master or "").split("[")[0] != "local":
+            raise RuntimeError("spark.checkpoint.dir must name a folder that all machines share")
         own = tempfile.mkdtemp(prefix="rankflow-")
         atexit.register(shutil.rmtree, own, True)
         found = "file://" + own

@@ -1,5 +1,7 @@
 """Ranks against closed forms, a dense computation, and each other."""
 
+from dataclasses import astuple
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -72,13 +74,60 @@ def test_every_method_reaches_the_dense_ranks(change, name):
     assert spread(ranks(run), truth_of(cur)) < 1e-6
 
 
-@pytest.mark.parametrize("plan", ["pruned", "auto"])
-def test_plans_agree(change, plan):
-    prev, cur, batch, before = change
-    a = methods.run("frontier_sync", prev, cur, batch, before, Params(fixed_passes=9))
-    b = methods.run("frontier_sync", prev, cur, batch, before, Params(fixed_passes=9, plan=plan, checkpoint_every=2))
+def same_run(a, b):
+    assert (a.passes, a.converged) == (b.passes, b.converged)
+    assert [p[:3] + p[4:] for p in map(astuple, a.trace)] == [p[:3] + p[4:] for p in map(astuple, b.trace)]
     assert spread(ranks(a), ranks(b)) < 1e-15
-    assert [p.active for p in a.trace] == [p.active for p in b.trace]
+
+
+@pytest.mark.parametrize("name,plan", [("frontier_sync", "pruned"), ("frontier_sync", "auto"), ("frontier_async", "auto"), ("frontier_async", "pruned"), ("reach_sync", "auto"), ("reach_async", "local"), ("warm_sync", "local"), ("cold_async", "local")])
+def test_plans_agree(change, name, plan):
+    prev, cur, batch, before = change
+    a, b = (methods.run(name, prev, cur, batch, before, Params(fixed_passes=5, blocks=3, plan=p, checkpoint_every=2)) for p in ("fused", plan))
+    same_run(a, b)
+
+
+@pytest.mark.parametrize("name", ["frontier_sync", "frontier_async"])
+def test_regions_grow_with_the_frontier(spark, monkeypatch, name):
+    """A long path, with regions of so few hops that their rims move."""
+    prev = graph(spark, [(i, i + 1) for i in range(60)], undirected=True)
+    prev = Graph(methods.cut(prev.edges), methods.cut(prev.vertices))
+    batch = spark.createDataFrame([(30, 31, "-"), (3, 40, "+")], batches.EMPTY)
+    cur = prev.apply(batch)
+    before = methods.cold_sync(prev, Params(plan="local")).ranks
+    whole = methods.run(name, prev, cur, batch, before, Params(tol=1e-6, blocks=2, plan="local"))
+    monkeypatch.setattr(methods.region, "HOPS", 3)
+    monkeypatch.setattr(methods.region, "FEW_VERTICES", 10**6)
+    monkeypatch.setattr(Graph, "n_links", property(lambda g: methods.region.LOCAL_LINKS + 1))
+    same_run(whole, methods.run(name, prev, cur, batch, before, Params(tol=1e-6, blocks=2, plan="auto")))
+
+
+def test_graphs_without_loops_are_refused(spark):
+    g = graph(spark, [(1, 2), (2, 3), (3, 1), (4, 1)], loops=False)
+    with pytest.raises(ValueError):
+        methods.cold_sync(g)
+
+
+def test_reach_contracts_two_way_links(spark):
+    rng = np.random.default_rng(8)
+    pairs = {(i, i + 1) for i in range(40)} | {(i + 1, i) for i in range(40) if i % 9} | {(int(a), int(b)) for a, b in rng.integers(50, 90, (40, 2)) if a != b} | {(40, 50)}
+    g = graph(spark, sorted(pairs))
+    for heads in ([0], [20], [55, 70], [999]):
+        seen, last = set(heads), set(heads)
+        while last:
+            last = {b for a, b in pairs if a in last} - seen
+            seen |= last
+        marks = spark.createDataFrame([(h,) for h in heads], "vid long")
+        assert {r.vid for r in marking.reach_from(g, marks).collect()} == seen
+    depth = {r.vid: r.depth for r in marking.reach_from(g, spark.createDataFrame([(0,)], "vid long"), 3).collect()}
+    assert depth == {0: 0, 1: 1, 2: 2, 3: 3}
+
+
+def test_lost_marking_is_helped(change):
+    prev, cur, batch, before = change
+    a = methods.frontier_async(prev, cur, batch, before, Params(fixed_passes=3, blocks=2))
+    b = methods.frontier_async(prev, cur, batch, before, Params(fixed_passes=3, blocks=2), lost=[set(range(12)), {3, 5}])
+    same_run(a, b)
 
 
 def test_empty_batch_changes_no_bit(change):
