@@ -6,7 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .graph import Graph
+from .graph import Graph, ordered
 
 EMPTY = "src long, dst long, op string"
 
@@ -45,25 +45,48 @@ def insertions(graph: Graph, k: int, seed: int) -> DataFrame:
     return free.orderBy("i").limit(k).select("src", "dst", F.lit("+").alias("op"))
 
 
+#: Changes of a kind up to which a batch is of exactly its size: its rows, and four
+#: times as many vertices, are ranked by one task.
+MOST_EXACT = 250_000
+
+
 def random(graph: Graph, fraction: float, seed: int = 1, mix: str = "both") -> DataFrame:
-    """A random batch of exactly the size of ``fraction``, small next to the
-    graph. mix: 'both', 'del' or 'ins'."""
+    """A random batch of exactly the size of ``fraction``, or of that size in
+    expectation where that is more than ``MOST_EXACT``. mix: 'both', 'del' or 'ins'."""
     k = size_of(graph, fraction)
     parts = {"both": (1, 1), "del": (2, 0), "ins": (0, 2)}[mix]
+    if k * max(parts) > MOST_EXACT:
+        return bernoulli(graph, fraction, seed, mix)
     kinds = [make(graph, k * times, seed) for make, times in zip((deletions, insertions), parts) if times]
     return kinds[0] if len(kinds) == 1 else kinds[0].unionAll(kinds[1])
 
 
-def bernoulli(graph: Graph, fraction: float, seed: int = 1) -> DataFrame:
-    """The same for batches that are large themselves: each edge goes with
-    probability fraction / 2 by its hash, and as many pairs of hashed ends come
-    in expectation. No task ranks anything."""
-    unit = F.pmod(F.xxhash64("src", "dst", F.lit(seed)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    gone = graph.edges.where("src <> dst").where(unit < fraction / 2).withColumn("op", F.lit("-"))
-    heads = gone.select(F.col("src"), F.pmod(F.xxhash64("src", "dst", F.lit(seed + 1)), F.lit(1 << 20)).alias("k"))
-    tails = gone.select(F.col("dst"), F.pmod(F.xxhash64("dst", "src", F.lit(seed + 2)), F.lit(1 << 20)).alias("k"))
-    come = heads.join(tails, "k").where("src <> dst").select("src", "dst").distinct().join(graph.edges, ["src", "dst"], "left_anti").withColumn("op", F.lit("+"))
-    return gone.unionAll(come)
+def bernoulli(graph: Graph, fraction: float, seed: int = 1, mix: str = "both") -> DataFrame:
+    """The same for batches that are large themselves, without a task that ranks
+    anything: each edge is drawn by its hash and goes; another draw of as many gives
+    as many pairs of vertices, each end uniform by the hash of the drawn edge and the
+    vertices' places in an order. Pairs that are there already, or equal, fall out."""
+    ends = {"both": (0.5, 0.5), "del": (1.0, 0.0), "ins": (0.0, 1.0)}[mix]
+
+    def drawn(salt: int, share: float) -> DataFrame:
+        unit = F.pmod(F.xxhash64("src", "dst", F.lit(seed + salt)), F.lit(1 << 30)) / F.lit(float(1 << 30))
+        return graph.edges.where(unit < fraction * share)
+
+    out = None
+    if ends[0]:
+        out = drawn(0, ends[0]).where("src <> dst").withColumn("op", F.lit("-"))
+    if ends[1]:
+        placed = ordered(graph.vertices, ["vid"]).select(F.col("seq").alias("place"), "vid")
+
+        def place(salt: int) -> Column:
+            return F.pmod(F.xxhash64("src", "dst", F.lit(seed + salt)), F.lit(max(1, graph.n)))
+
+        pairs = drawn(1, ends[1]).select(place(2).alias("i"), place(3).alias("j"))
+        first = pairs.join(placed.select(F.col("place").alias("i"), F.col("vid").alias("src")), "i")
+        both = first.join(placed.select(F.col("place").alias("j"), F.col("vid").alias("dst")), "j").select("src", "dst").where("src <> dst").distinct()
+        come = both.join(graph.edges, ["src", "dst"], "left_anti").withColumn("op", F.lit("+"))
+        out = come if out is None else out.unionAll(come)
+    return out
 
 
 def normalised(graph: Graph, batch: DataFrame) -> DataFrame:

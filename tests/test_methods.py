@@ -1,6 +1,6 @@
 """Ranks against closed forms, a dense computation, and each other."""
 
-from dataclasses import astuple
+from dataclasses import astuple, replace
 
 import numpy as np
 import pytest
@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 from rankflow.operators import batches, blocks, marking, measures, methods
 from rankflow.operators.graph import Graph
 from rankflow.params import Params
-from rankflow.plans import faults, registry
+from rankflow.plans import faults, registry, replays
 
 
 def graph(spark, pairs, undirected=False, loops=True):
@@ -203,6 +203,8 @@ def test_bernoulli_batches_follow_the_fraction(random_graph):
     rows = batches.bernoulli(random_graph, 0.4, 2).collect()
     gone = [r for r in rows if r.op == "-"]
     assert 0.08 < len(gone) / random_graph.edges.count() < 0.35
+    assert 0.05 < sum(r.op == "+" for r in rows) / random_graph.edges.count() < 0.35
+    assert {r.op for r in batches.bernoulli(random_graph, 0.4, 2, "ins").collect()} == {"+"}
     assert all(r.src != r.dst for r in rows)
 
 
@@ -278,3 +280,27 @@ def test_one_shuffle_a_pass_and_links_stay(spark, random_graph):
     finally:
         spark.conf.unset("spark.sql.adaptive.enabled")
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+@pytest.mark.parametrize("name", methods.METHODS)
+def test_replayed_runs_equal_the_methods(change, name):
+    prev, cur, batch, before = change
+    params = Params(tol=1e-7, blocks=3)
+    a, b = replays.Held.of(prev), replays.Held.of(cur)
+    old = {r.vid: r.rank for r in before.collect()}
+    found, trace, over = replays.run(name, a, b, batch.toPandas(), np.array([old[v] for v in a.vids]), params)
+    run = methods.run(name, prev, cur, batch, before, replace(params, plan="local"))
+    assert run.converged == over and [p.active for p in run.trace] == [t[0] for t in trace] and run.edges_read == sum(t[1] for t in trace)
+    assert spread(dict(zip(b.vids.tolist(), found.tolist())), ranks(run)) < 1e-15
+    assert (a.apply(batch.toPandas()).keys == b.keys).all()
+
+
+def test_workloads_keep_within_the_bar(spark, sf):
+    prev = registry.graph(spark, sf, "web")
+    rows = replays.random_batches(prev, [1e-8, 1e-6, 1e-2], repeats=1).collect()
+    assert len(rows) == 3 * 6 and all(r.converged and r.error < 1e-9 for r in rows)
+    assert all(r.difference < 1e-9 for r in replays.round_trips(prev, [1e-2]).collect())
+    temporal = registry.catalog.handoff(spark, sf)
+    rows = replays.replay(temporal, 1e-2).collect()
+    assert {r.batch_no for r in rows} == set(range(-(-(temporal.total - int(temporal.total * 0.9)) // max(1, int(temporal.total * 1e-2)))))
+    assert all(r.converged and r.error < 2e-9 for r in rows)
