@@ -57,3 +57,16 @@ def range_join(points: DataFrame, spans: DataFrame, at: str, lo: str, hi: str, w
     p = points.withColumn("_b", F.floor(F.col(at) / width))
     s = spans.withColumn("_b", F.explode(F.sequence(F.floor(F.col(lo) / width), F.floor((F.col(hi) - 1) / width))))
     return p.join(s, "_b").where((F.col(at) >= F.col(lo)) & (F.col(at) < F.col(hi))).drop("_b")
+
+
+def below(points: DataFrame, marks: DataFrame, at: str, width: int = 1 << 20) -> DataFrame:
+    """``marks`` with n, how many ``points`` lie strictly below each: an inequality
+    join as running counts, by ranges of ``width`` and inside each, so that neither
+    pairs nor an order of all rows in one task come up."""
+    rows = marks.withColumn("_own", F.lit(0)).unionByName(points.withColumn("_own", F.lit(1)), allowMissingColumns=True)
+    rows = rows.withColumn("_range", F.floor(F.col(at) / width))
+    inside = W.partitionBy("_range").orderBy(at).rangeBetween(W.unboundedPreceding, -1)
+    sums = rows.groupBy("_range").agg(F.sum("_own").alias("_sum"))  # a row a range
+    before = sums.select("_range", F.coalesce(F.sum("_sum").over(W.orderBy("_range").rowsBetween(W.unboundedPreceding, -1)), F.lit(0)).alias("_before"))
+    near = rows.withColumn("n", F.coalesce(F.sum("_own").over(inside), F.lit(0))).where("_own = 0")
+    return near.join(before, "_range").withColumn("n", F.col("n") + F.col("_before")).drop("_own", "_range", "_before")

@@ -11,14 +11,14 @@ from pyspark.sql import functions as F
 
 from ..functions import relational as rel
 from ..functions import sqlapi, udfs
-from ..operators import batches, blocks, marking, measures, methods
-from ..operators.graph import Graph
+from ..operators import batches, blocks, marking, measures, methods, region
+from ..operators.graph import Graph, ordered
 from ..params import Params
 from ..sources import catalog
 from ..sources.stores import VersionStore
 from ..storage import cut, fresh_path
 from ..streaming import maintain
-from . import faults, workloads
+from . import faults, replays, workloads
 from . import oracles as o
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -33,10 +33,8 @@ FRACTION = 1e-3
 FRONTIER_TOL = Params().frontier
 
 
-#: Passes after which ranks count as true, and the tolerance of workloads of which
-#: only counts are reported.
-TRUTH = 150
-SHORT = Params(tol=1e-7)
+#: Sizes of random batches, as shares of all links.
+SIZES = [10.0**-k for k in range(8, 0, -1)]
 
 
 def query(name: str, sql: str | None = None) -> Callable[[Query], Query]:
@@ -82,9 +80,21 @@ def changed(spark: SparkSession, sf_dir: str, name: str, fraction: float = FRACT
     return once(spark, sf_dir, f"changed {name} {fraction}", make)
 
 
-def truth(s: SparkSession, d: str) -> DataFrame:
-    """True ranks of the web graph after its batch."""
-    return once(s, d, "truth web", lambda: methods.reference(changed(s, d, "web")[1], TRUTH).ranks)
+def whole_plan(g: Graph) -> str:
+    """For runs of all vertices of which only results are told."""
+    return "local" if g.n_links <= region.LOCAL_LINKS else "auto"
+
+
+def settled(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """Ranks of a graph to the tolerance: what methods that update ranks start from."""
+    g = graph(spark, sf_dir, name)
+    return once(spark, sf_dir, f"settled {name}", lambda: methods.cold_sync(g, Params(plan=whole_plan(g))).ranks)
+
+
+def truth(s: SparkSession, d: str, name: str = "web", after: bool = True) -> DataFrame:
+    """Reference ranks of a graph, after its batch or before."""
+    g = changed(s, d, name)[1] if after else graph(s, d, name)
+    return once(s, d, f"truth {name} {after}", lambda: methods.reference(g, plan=whole_plan(g)).ranks)
 
 
 def before_ctes(name: str, passes: int | None = BEFORE_PASSES) -> list[str]:
@@ -108,9 +118,9 @@ for _g in catalog.TEMPORAL:
     query(f"graph_{_g}_temporal", f"SELECT seq, src, dst FROM ({o.ROWS[_g][0]})")(lambda s, d, g=_g: catalog.TEMPORAL[g](s, d).rows)
 
 
-@query("graph_profile", " UNION ALL ".join(f"SELECT * FROM ({o.with_([o.graph_ctes(g)], f'''SELECT '{g}' AS graph, (SELECT count(*) FROM g_v) AS vertices, count(*) AS edges, round(count(*) / (SELECT count(*) FROM g_v), 6) AS degree FROM g_e''')})" for g in catalog.GRAPHS if g != "knn"))
+@query("graph_profile", " UNION ALL ".join(f"SELECT * FROM ({o.with_([o.graph_ctes(g)], f'''SELECT '{g}' AS graph, (SELECT count(*) FROM g_v) AS vertices, count(*) AS edges, round(count(*) / (SELECT count(*) FROM g_v), 6) AS degree FROM g_e''')})" for g in catalog.GRAPHS))
 def graph_profile(s: SparkSession, d: str) -> DataFrame:
-    frames = [graph(s, d, g).profile().select(F.lit(g).alias("graph"), "vertices", "edges", "degree") for g in catalog.GRAPHS if g != "knn"]
+    frames = [graph(s, d, g).profile().select(F.lit(g).alias("graph"), "vertices", "edges", "degree") for g in catalog.GRAPHS]
     out = frames[0]
     for f in frames[1:]:
         out = out.unionAll(f)
@@ -173,7 +183,7 @@ def batch_invert(s: SparkSession, d: str) -> DataFrame:
 def batch_normalised(s: SparkSession, d: str) -> DataFrame:
     """Repeats, self-loops and changes without effect leave no trace."""
     prev, _, batch = changed(s, d, "line")
-    noise = prev.edges.limit(50).withColumn("op", F.lit("+")).unionAll(batch).unionAll(prev.vertices.limit(5).select(F.col("vid").alias("src"), F.col("vid").alias("dst"), F.lit("-").alias("op")))
+    noise = prev.edges.withColumn("op", F.lit("+")).join(batch.select("src", "dst"), ["src", "dst"], "left_anti").unionAll(batch).unionAll(batch).unionAll(prev.vertices.select(F.col("vid").alias("src"), F.col("vid").alias("dst"), F.lit("-").alias("op")))
     return batches.normalised(prev, noise.where("not (op = '+' and src = dst)"))
 
 
@@ -289,8 +299,8 @@ def _method_sql(method: str, name: str) -> str:
     return o.with_(ctes, f"SELECT vid, {o.pico()} AS rank_pico FROM r WHERE i = {ASYNC_PASSES * (BLOCKS + 1)}")
 
 
-def _method(s: SparkSession, d: str, method: str, name: str) -> DataFrame:
-    params = Params(fixed_passes=PASSES) if method.endswith("_sync") else Params(fixed_passes=ASYNC_PASSES, blocks=BLOCKS)
+def _method(s: SparkSession, d: str, method: str, name: str, plan: str = "auto") -> DataFrame:
+    params = Params(fixed_passes=PASSES, plan=plan) if method.endswith("_sync") else Params(fixed_passes=ASYNC_PASSES, blocks=BLOCKS, plan=plan)
     return _pico(methods.run(method, *changed(s, d, name), before(s, d, name), params).ranks)
 
 
@@ -298,18 +308,30 @@ for _m in methods.METHODS:
     for _g in ("line", "trade", "web"):
         query(f"{_m}_{_g}", _method_sql(_m, _g))(lambda s, d, m=_m, g=_g: _method(s, d, m, g))
 
-for _m, _g in (("cold_sync", "line"), ("warm_sync", "line"), ("frontier_sync", "line"), ("frontier_sync", "grid")):
-    _ranks = None if _m == "cold_sync" else "before"
-    _run = o.sync_cte("r", "h", _ranks, _DYNAMIC.get(_m), FRONTIER_TOL if _m == "frontier_sync" else None, 500, 1e-10)
-    query(f"{_m}_{_g}_conv", o.with_([*changed_ctes(_g), _run], f"SELECT vid, CAST(p AS INT) AS passes, {o.pico()} AS rank_pico FROM {o.last('r')} z"))(
-        lambda s, d, m=_m, g=_g: (lambda run: _pico(run.ranks).withColumn("passes", F.lit(run.passes)))(methods.run(m, *changed(s, d, g), before(s, d, g), Params()))
-    )
+def _conv_sql(method: str, name: str) -> str:
+    ctes = changed_ctes(name, passes=None)
+    if method.startswith("reach"):
+        ctes.append(o.reach_cte())
+    ranks = None if method.startswith("cold") else "before"
+    tol = FRONTIER_TOL if method.startswith("frontier") else None
+    if method.endswith("_sync"):
+        ctes.append(o.sync_cte("r", "h", ranks, _DYNAMIC.get(method), tol, 500, 1e-10))
+        return o.with_(ctes, f"SELECT vid, CAST(p AS INT) AS passes, {o.pico()} AS rank_pico FROM {o.last('r')} z")
+    ctes.append(o.async_cte("r", "h", ranks, _DYNAMIC.get(method), tol, 500, 2, until_closed=True))
+    return o.with_(ctes, f"SELECT vid, CAST(i // 3 AS INT) AS passes, {o.pico()} AS rank_pico FROM {o.last('r', 'i')} z")
+
+
+def _converged(s: SparkSession, d: str, method: str, name: str) -> DataFrame:
+    """A run to its tolerance from ranks that are at theirs."""
+    prev, cur, batch = changed(s, d, name)
+    run = methods.run(method, prev, cur, batch, settled(s, d, name), Params(blocks=2, plan=whole_plan(cur)))
+    return _pico(run.ranks).withColumn("passes", F.lit(run.passes))
 
-for _m in ("cold_async", "frontier_async"):
-    _run = o.async_cte("r", "h", None if _m == "cold_async" else "before", _DYNAMIC.get(_m), FRONTIER_TOL if _m == "frontier_async" else None, 500, 2, until_closed=True)
-    query(f"{_m}_web_conv", o.with_([*changed_ctes("web"), _run], f"SELECT vid, CAST(i // 3 AS INT) AS passes, {o.pico()} AS rank_pico FROM {o.last('r', 'i')} z"))(
-        lambda s, d, m=_m: (lambda run: _pico(run.ranks).withColumn("passes", F.lit(run.passes)))(methods.run(m, *changed(s, d, "web"), before(s, d, "web"), Params(blocks=2)))
-    )
+
+for _m in methods.METHODS:
+    for _g in ("line", "trade", "web"):
+        query(f"{_m}_{_g}_conv", _conv_sql(_m, _g))(lambda s, d, m=_m, g=_g: _converged(s, d, m, g))
+query("frontier_sync_grid_conv", _conv_sql("frontier_sync", "grid"))(lambda s, d: _converged(s, d, "frontier_sync", "grid"))
 
 for _rule in ("literal", "latched"):
     query(f"cold_async_web_{_rule}", o.with_([*changed_ctes("web"), o.async_cte("r", "h", None, None, None, 6, 2, flag_rule=_rule, until_closed=True)], f"SELECT CAST(i // 3 AS INT) AS passes, count(*) FILTER (open) AS open FROM {o.last('r', 'i')} z GROUP BY i"))(
@@ -333,9 +355,8 @@ def frontier_sync_expand_off(s: SparkSession, d: str) -> DataFrame:
     return _pico(methods.frontier_sync(*changed(s, d, "line"), before(s, d, "line"), Params(fixed_passes=PASSES), expand=False).ranks)
 
 
-@query("frontier_sync_pruned", _method_sql("frontier_sync", "line"))
-def frontier_sync_pruned(s: SparkSession, d: str) -> DataFrame:
-    return _pico(methods.run("frontier_sync", *changed(s, d, "line"), before(s, d, "line"), Params(fixed_passes=PASSES, plan="pruned")).ranks)
+for _m, _plan in (("frontier_sync", "pruned"), ("frontier_sync", "fused"), ("frontier_async", "fused"), ("cold_async", "local")):
+    query(f"{_m}_{_plan}", _method_sql(_m, "line"))(lambda s, d, m=_m, p=_plan: _method(s, d, m, "line", p))
 
 
 _SWEEP = (1.0, 0.1, 0.001)
@@ -361,7 +382,7 @@ def no_barrier_only_web(s: SparkSession, d: str) -> DataFrame:
     """Error of the negative control against the reference."""
     g = graph(s, d, "web")
     run = methods.no_barrier_only(g, Params(fixed_passes=30))
-    return measures.norms(run.ranks, before(s, d, "web", TRUTH))
+    return measures.norms(run.ranks, truth(s, d, after=False))
 
 
 # ---- measures ---------------------------------------------------------------
@@ -415,79 +436,118 @@ def flag_block_rollup(s: SparkSession, d: str) -> DataFrame:
 
 
 def _counts(rows: DataFrame) -> DataFrame:
-    return rows.select("graph", "method", "fraction", "batch_no", "passes", "converged", "edges_read", "affected", (F.coalesce("error", F.lit(0.0)) < 1e-9).alias("within_1e_9"))
+    return rows.select("fraction", "batch_no", "method", "passes", "converged", "edges_read", "affected", (F.col("error") < 1e-9).alias("within_1e_9"))
 
 
-@query("w1_replay_handoff")
-def w1_replay_handoff(s: SparkSession, d: str) -> DataFrame:
-    return _counts(workloads.replay(s, "handoff", catalog.handoff(s, d), 1e-3, ("warm_sync", "frontier_sync"), most=2, params=SHORT))
+# every batch of the last tenth, all six methods, each from its own ranks
+for _g in catalog.TEMPORAL:
+    for _f, _name in ((1e-3, "1e_3"), (1e-4, "1e_4")):
+        query(f"w1_replay_{_g}_{_name}")(lambda s, d, g=_g, f=_f: _counts(replays.replay(catalog.TEMPORAL[g](s, d), f)))
 
 
-@query("w1_replay_purchases")
-def w1_replay_purchases(s: SparkSession, d: str) -> DataFrame:
-    return _counts(workloads.replay(s, "purchases", catalog.purchases(s, d), 1e-3, ("warm_sync", "frontier_sync"), most=1, params=SHORT))
+def _random_runs(s: SparkSession, d: str, name: str) -> DataFrame:
+    return once(s, d, f"random {name}", lambda: cut(replays.random_batches(graph(s, d, name), SIZES)))
 
 
-@query("w2_random_grid")
-def w2_random_grid(s: SparkSession, d: str) -> DataFrame:
-    return _counts(workloads.random_batches(s, d, ("web", "turns"), (1e-4, 1e-2), ("warm_sync", "frontier_sync"), params=SHORT, with_error=False))
+# all sizes, two batches each, all six methods, against a reference of 500 passes
+for _g in catalog.GRAPHS:
+    query(f"w2_random_{_g}")(lambda s, d, g=_g: _counts(_random_runs(s, d, g)))
 
 
-@query("w3_error_grid")
-def w3_error_grid(s: SparkSession, d: str) -> DataFrame:
-    return _counts(workloads.random_batches(s, d, ("web",), (1e-3,), ("warm_sync", "frontier_sync"), truth_passes=TRUTH))
+@query("w3_error_curve")
+def w3_error_curve(s: SparkSession, d: str) -> DataFrame:
+    """Largest error of each method at each size over all graphs, in 1e-12, and mean
+    passes and links read."""
+    every = None
+    for g in catalog.GRAPHS:
+        rows = _random_runs(s, d, g)
+        every = rows if every is None else every.unionAll(rows)
+    return every.groupBy("method", "fraction").agg(F.max(F.round(F.col("error") * 1e12)).cast("long").alias("error_pico"), F.round(F.avg("passes"), 3).alias("passes"), F.round(F.avg("edges_read"), 3).alias("edges_read"))
 
 
-@query("stability_round_trip")
 @query("w4_stability")
 def w4_stability(s: SparkSession, d: str) -> DataFrame:
-    def make() -> list[tuple]:
-        return [(f, workloads.round_trip(graph(s, d, "web"), f, "frontier_sync", before=before(s, d, "web", TRUTH)) < 1e-9) for f in (1e-2,)]
+    """A batch goes and comes again: all sizes, graphs and methods."""
+    every = None
+    for g in catalog.GRAPHS:
+        rows = replays.round_trips(graph(s, d, g), SIZES).select(F.lit(g).alias("graph"), "fraction", "method", (F.col("difference") < 1e-9).alias("within_1e_9"))
+        every = rows if every is None else every.unionAll(rows)
+    return every
 
-    return s.createDataFrame(once(s, d, "stability", make), "fraction double, within_1e_9 boolean")
 
+def _costs(s: SparkSession, d: str, name: str, n_blocks: int = 256) -> tuple[list[dict], list[dict]]:
+    """Work of the two frontier methods by pass and block, of two buffers and in place."""
+    return once(s, d, f"costs {name} {n_blocks}", lambda: replays.frontier_costs(*changed(s, d, name), n_blocks))
+
+
+CLOCKED = ("grid", "trade", "web")
 
-def _costs(s: SparkSession, d: str, name: str, n_blocks: int) -> list[dict[int, tuple[int, int]]]:
-    def make() -> list:
-        prev, cur, batch = changed(s, d, name)
-        state = methods._start(cur, before(s, d, name), marking.initial(prev, cur, batch))
-        return faults.block_costs(cur, state, Params(fixed_passes=PASSES), FRONTIER_TOL, n_blocks)
 
-    return once(s, d, f"costs {name} {n_blocks}", make)
+def _clocked(s: SparkSession, d: str, rows, schema: str) -> DataFrame:
+    made = [(g, *r) for g in CLOCKED for r in rows(*_costs(s, d, g))]
+    return s.createDataFrame(made, "graph string, " + schema)
 
 
 @query("w5_scaling")
 def w5_scaling(s: SparkSession, d: str) -> DataFrame:
-    return s.createDataFrame(workloads.scaling(_costs(s, d, "grid", 256), (1, 2, 4, 8, 16, 32, 64)), "workers int, barrier double, barrier_free double")
+    return _clocked(s, d, lambda a, b: workloads.scaling(a, b, (1, 2, 4, 8, 16, 32, 64)), "workers int, barrier double, barrier_free double")
 
 
 @query("w6_delay_sim")
 def w6_delay_sim(s: SparkSession, d: str) -> DataFrame:
-    return s.createDataFrame(workloads.delays(_costs(s, d, "grid", 256), (5_000, 10_000, 20_000), (1e-5, 1e-4, 1e-3)), "sleep_units long, chance double, sleeps long, barrier_units long, free_units long, ratio double")
+    return _clocked(s, d, lambda a, b: workloads.delays(a, b, (5_000, 10_000, 20_000), (1e-5, 1e-4, 1e-3)), "sleep_units long, chance double, sleeps long, barrier_units long, free_units long, ratio double")
 
 
 @query("w7_crash_sim")
 def w7_crash_sim(s: SparkSession, d: str) -> DataFrame:
-    return s.createDataFrame(workloads.crashes(_costs(s, d, "grid", 256), (0, 1, 2, 4, 8, 16, 32, 48, 56)), "crashed int, barrier_finished boolean, free_units long, relative_speed double")
+    return _clocked(s, d, lambda a, b: workloads.crashes(a, b, (0, 1, 2, 4, 8, 16, 32, 48, 56)), "crashed int, barrier_finished boolean, free_units long, relative_speed double")
+
+
+_WAIT = [4**k for k in range(1, 8)]
+
+
+@query(
+    "w8_chunk_costs",
+    " UNION ALL ".join(
+        f"SELECT * FROM ({o.with_([o.graph_ctes(g)], f'''SELECT '{g}' AS graph, c AS chunk, count(*) AS blocks, CAST(max(cost) AS BIGINT) AS largest, CAST(sum(cost) AS BIGINT) AS total FROM (SELECT c, pos // c AS block, sum(k + 1) AS cost FROM (SELECT row_number() OVER (ORDER BY vid) - 1 AS pos, k FROM (SELECT dst AS vid, count(*) AS k FROM g_e GROUP BY dst)) x, (SELECT unnest({_WAIT}) AS c) y GROUP BY 1, 2) GROUP BY c''')})"
+        for g in ("trade", "web", "chain")
+    ),
+)
+def w8_chunk_costs(s: SparkSession, d: str) -> DataFrame:
+    """What a pass from scratch costs by chunk size: blocks, the largest and all."""
+    rows = [(g, size, len(c), max(c), sum(c)) for g, size, c in _chunks(s, d)]
+    return s.createDataFrame(rows, "graph string, chunk int, blocks long, largest long, total long")
+
+
+def _chunks(s: SparkSession, d: str) -> list[tuple[str, int, list[int]]]:
+    def make() -> list:
+        out = []
+        for name in ("trade", "web", "chain"):
+            g = graph(s, d, name)
+            into = g.edges.groupBy(F.col("dst").alias("vid")).agg((F.count("*") + 1).alias("cost"))
+            placed = cut(ordered(into, ["vid"]))
+            for size in _WAIT:
+                rows = placed.groupBy(F.expr(f"seq div {size}").alias("block")).agg(F.sum("cost").alias("cost")).orderBy("block").collect()
+                out.append((name, size, [r["cost"] for r in rows]))
+        return out
+
+    return once(s, d, "chunks", make)
 
 
 @query("w8_wait_share")
 def w8_wait_share(s: SparkSession, d: str) -> DataFrame:
-    rows = []
-    for name in ("trade", "web"):
-        g = graph(s, d, name)
-        for n_blocks in (16, 64, 256):
-            costs = faults.block_costs(g, methods._start(g, methods.uniform(g), None), Params(fixed_passes=2), None, n_blocks)
-            out = faults.Simulator(workers=16).play(costs, True)
-            rows.append((name, n_blocks, round(out.wait_share, 6)))
-    return s.createDataFrame(rows, "graph string, blocks int, wait_share double")
+    """Share of time that 64 workers wait at barriers, by chunk size."""
+    rows = [(g, size, round(faults.Simulator(workers=64).play([{b: (x, 0) for b, x in enumerate(c)}] * 4, True).wait_share, 6)) for g, size, c in _chunks(s, d)]
+    return s.createDataFrame(rows, "graph string, chunk int, wait_share double")
 
 
 @query("w9_tolerance_sweep")
 def w9_tolerance_sweep(s: SparkSession, d: str) -> DataFrame:
-    prev, cur, batch = changed(s, d, "web")
-    rows = workloads.tolerance_sweep(prev, cur, batch, before(s, d, "web", TRUTH), truth(s, d), (1.0, 0.001, 0.0))
-    return s.createDataFrame([(f, p, a, e, err < 1e-9) for f, p, a, e, err in rows], "factor double, passes int, affected long, edges_read long, within_1e_9 boolean")
+    rows = []
+    for g in ("web", "grid"):
+        prev, cur, batch = changed(s, d, g)
+        rows += [(g, f, p, a, e, err < 1e-9) for f, p, a, e, err in workloads.tolerance_sweep(prev, cur, batch, settled(s, d, g), truth(s, d, g), (1.0, 0.1, 0.01, 0.001, 0.0001, 0.0))]
+    return s.createDataFrame(rows, "graph string, factor double, passes int, affected long, edges_read long, within_1e_9 boolean")
 
 
 @query(
@@ -510,20 +570,40 @@ def w10_reach_vs_warm(s: SparkSession, d: str) -> DataFrame:
 
 
 @query("w11_fixed_vs_pooled")
-@query("static_schedule_async_web")
-def static_schedule_async_web(s: SparkSession, d: str) -> DataFrame:
-    g = graph(s, d, "web")
-    costs = faults.block_costs(g, methods._start(g, methods.uniform(g), None), Params(fixed_passes=4), None, 64)
-    fixed, pooled = faults.static_schedule(costs, 8)
-    return s.createDataFrame([("fixed", fixed.units), ("pooled", pooled.units)], "schedule string, units long")
+def w11_fixed_vs_pooled(s: SparkSession, d: str) -> DataFrame:
+    """The earlier schedule, in which workers own blocks, against the pool, in place."""
+    rows = []
+    for g in CLOCKED:
+        _, in_place = once(s, d, f"whole costs {g}", lambda g=g: replays.whole_costs(graph(s, d, g), 64, 8))
+        fixed, pooled = faults.static_schedule(in_place, 8)
+        rows += [(g, "fixed", fixed.units), (g, "pooled", pooled.units)]
+    return s.createDataFrame(rows, "graph string, schedule string, units long")
+
+
+_EXAMPLE = [
+    f"g_v AS MATERIALIZED (SELECT CAST(unnest(range(1, 15)) AS BIGINT) AS vid), g_p AS MATERIALIZED (SELECT CAST(s AS BIGINT) AS src, CAST(t AS BIGINT) AS dst FROM (VALUES {', '.join(map(str, EXAMPLE_OLD))}) v(s, t)), g_e AS MATERIALIZED (SELECT src, dst FROM g_p UNION SELECT vid, vid FROM g_v)",
+    "b AS (SELECT * FROM (VALUES (10::BIGINT, 11::BIGINT, '-'), (7::BIGINT, 9::BIGINT, '+')) v(src, dst, op))",
+]
+
+
+@query(
+    "w12_example_ranks",
+    o.with_([*_EXAMPLE, o.applied_ctes(), o.links_cte("g"), o.links_cte("h"), o.sync_cte("r0", "g", None, None, None, 500, 1e-10), "before AS MATERIALIZED (SELECT vid, rank FROM " + o.last("r0") + " z)", o.marks_cte(), o.sync_cte("r", "h", "before", "m", FRONTIER_TOL, 500, 1e-10)], f"SELECT vid, CAST(p AS INT) AS passes, aff AS affected, {o.pico()} AS rank_pico FROM {o.last('r')} z"),
+)
+def w12_example_ranks(s: SparkSession, d: str) -> DataFrame:
+    """The example of fourteen vertices, with loops, taken through to its ranks."""
+    prev = Graph.build(s.createDataFrame(EXAMPLE_OLD, "src long, dst long"))
+    batch = s.createDataFrame([(10, 11, "-"), (7, 9, "+")], batches.EMPTY)
+    run = methods.frontier_sync(prev, prev.apply(batch), batch, methods.cold_sync(prev, Params(plan="local")).ranks)
+    return run.state.select("vid", F.lit(run.passes).alias("passes"), "affected", rel.pico().alias("rank_pico"))
 
 
-@query("w12_lost_blocks")
-def w12_lost_blocks(s: SparkSession, d: str) -> DataFrame:
+@query("lost_blocks")
+def lost_blocks(s: SparkSession, d: str) -> DataFrame:
     """An in-place run that loses blocks and finishes others late still ends
     within the error bar."""
     prev, cur, batch = changed(s, d, "web")
-    run = faults.run_with_losses(prev, cur, batch, before(s, d, "web", TRUTH), {1: {0, 1}, 2: {1}, 4: {2}}, {3: {0}}, Params(blocks=3, max_passes=150))
+    run = faults.run_with_losses(prev, cur, batch, settled(s, d, "web"), {1: {0, 1}, 2: {1}, 4: {2}}, {3: {0}}, Params(blocks=3, max_passes=150))
     return s.createDataFrame([(run.converged, measures.error(run, truth(s, d)) < 1e-9)], "converged boolean, within_1e_9 boolean")
 
 
@@ -600,11 +680,19 @@ def rank_window_suite(s: SparkSession, d: str) -> DataFrame:
     )
 
 
-@query("rank_asof_events", "SELECT o.o_orderkey, o.o_custkey, v.o_totalprice AS last_price FROM orders o ASOF LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_totalprice) AS o_totalprice FROM orders WHERE o_orderstatus = 'F' GROUP BY 1, 2) v ON v.o_custkey = o.o_custkey AND v.o_orderdate <= o.o_orderdate")
+@query(
+    "rank_asof_events",
+    o.with_(
+        [*before_ctes("handoff"), f"v AS MATERIALIZED (SELECT o_custkey % 150 AS user_id, o_orderdate AS ts, max(o_totalprice) AS price FROM orders GROUP BY 1, 2)"],
+        f"SELECT e.event_id, {o.pico('b.rank')} AS rank_pico, v.price AS last_price FROM events e JOIN before b ON b.vid = e.user_id ASOF LEFT JOIN v ON v.user_id = e.user_id AND v.ts <= e.ts",
+    ),
+)
 def rank_asof_events(s: SparkSession, d: str) -> DataFrame:
-    orders = catalog.table(s, d, "orders")
-    versions = orders.where("o_orderstatus = 'F'").groupBy("o_custkey", "o_orderdate").agg(F.max("o_totalprice").alias("last_price"))
-    return rel.as_of(orders.select("o_orderkey", "o_custkey", "o_orderdate"), versions, "o_orderdate", ["o_custkey"], "last_price").select("o_orderkey", "o_custkey", "last_price")
+    """Each event with its user's rank and the last order price known at its time."""
+    events = catalog.table(s, d, "events").select("event_id", "user_id", "ts")
+    prices = catalog.table(s, d, "orders").groupBy((F.col("o_custkey") % 150).alias("user_id"), F.col("o_orderdate").alias("ts")).agg(F.max("o_totalprice").alias("last_price"))
+    known = rel.as_of(events, prices, "ts", ["user_id"], "last_price")
+    return known.join(before(s, d, "handoff").withColumnRenamed("vid", "user_id"), "user_id").select("event_id", rel.pico().alias("rank_pico"), "last_price")
 
 
 @query("rank_range_join", o.with_(before_ctes("trade"), f"SELECT s_suppkey, count(*) AS n FROM (SELECT {o.pico()} AS p FROM before) JOIN (SELECT s_suppkey, {o.pico()} AS lo, {o.pico()} + 1000000 AS hi FROM supplier JOIN before ON vid = s_suppkey * 2 + 1) ON p >= lo AND p < hi GROUP BY 1"))
@@ -622,17 +710,20 @@ for _k, _how in {"semi": "SEMI", "anti": "ANTI"}.items():
     query(f"edges_{_k}", o.with_([*_APPLIED, o.marks_cte()], f"SELECT src, dst FROM h_e {_how} JOIN m ON vid = dst"))(lambda s, d, k=_k: changed(s, d, "line")[1].edges.join(mark_initial(s, d).withColumnRenamed("vid", "dst"), "dst", f"left_{k}").select("src", "dst"))
 
 
-@query("rank_versions_full_outer", o.with_(_TWO, f"SELECT vid, {o.pico('a.rank')} AS x, {o.pico('b.rank')} AS y FROM (SELECT * FROM before WHERE vid % 3 <> 0) a FULL JOIN (SELECT * FROM after WHERE vid % 3 <> 1) b USING (vid)"))
+@query("rank_versions_full_outer", o.with_(_TWO, f"SELECT vid, {o.pico('a.rank')} AS x, {o.pico('b.rank')} AS y FROM before a FULL JOIN (SELECT vid + 2 AS vid, rank FROM after) b USING (vid)"))
 def rank_versions_full_outer(s: SparkSession, d: str) -> DataFrame:
-    a, b = before(s, d, "trade").where("vid % 3 <> 0"), after(s, d).where("vid % 3 <> 1")
+    # ids of the second version are moved, so that both sides have rows of their own
+    a, b = before(s, d, "trade"), after(s, d).withColumn("vid", F.col("vid") + 2)
     return a.select("vid", rel.pico().alias("x")).join(b.select("vid", rel.pico().alias("y")), "vid", "full")
 
 
-@query("theta_rank", o.with_(_WHO, f"SELECT nationkey, count(*) AS n FROM (SELECT nationkey, {o.pico()} AS p FROM who WHERE kind = 'supplier') s JOIN (SELECT nationkey, max({o.pico()}) AS top FROM who WHERE kind = 'customer' GROUP BY 1) c USING (nationkey) WHERE p < top GROUP BY 1"))
+@query("theta_rank", o.with_(_WHO, f"SELECT s.vid, count(*) AS n FROM (SELECT vid, {o.pico()} AS p FROM who WHERE kind = 'supplier') s JOIN (SELECT {o.pico()} AS p FROM who WHERE segment = 'BUILDING' OR kind = 'supplier') c ON c.p < s.p GROUP BY 1"))
 def theta_rank(s: SparkSession, d: str) -> DataFrame:
-    rows = who(s, d).select("nationkey", "kind", rel.pico().alias("p"))
-    top = rows.where("kind = 'customer'").groupBy("nationkey").agg(F.max("p").alias("top"))
-    return rows.where("kind = 'supplier'").join(top, "nationkey").where("p < top").groupBy("nationkey").agg(F.count("*").alias("n"))
+    """How many suppliers, and customers of one segment, rank below each supplier: an
+    inequality join, as running counts over one order of both sides."""
+    rows = who(s, d).select("vid", "kind", "segment", rel.pico().alias("p"))
+    points = rows.where("segment = 'BUILDING' or kind = 'supplier'").select("p")
+    return rel.below(points, rows.where("kind = 'supplier'").select("vid", "p"), "p").where("n > 0").select("vid", "n")
 
 
 @query("approx_hosts")
@@ -677,17 +768,17 @@ def udtf_ring(s: SparkSession, d: str) -> DataFrame:
     return s.sql("SELECT r.hop, r.vid, n_nationkey FROM rank_nation, LATERAL ring(CAST(n_nationkey AS BIGINT), 3, 25) r")
 
 
-@query("udtf_neighbors", o.with_([o.graph_ctes("turns"), "near AS (SELECT vid, 0 AS hop, vid AS other FROM g_v WHERE vid % 16 = 0 UNION SELECT vid, hop + 1, dst FROM near JOIN g_e ON src = other WHERE hop < 3 AND src <> dst)"], "SELECT vid, CAST(min(hop) AS INT) AS hop, other FROM near GROUP BY vid, other HAVING min(hop) > 0"))
+@query("udtf_neighbors", o.with_([o.graph_ctes("turns"), "near AS (SELECT vid, 0 AS hop, vid AS other FROM g_v UNION SELECT vid, hop + 1, dst FROM near JOIN g_e ON src = other WHERE hop < 3 AND src <> dst)"], "SELECT vid, CAST(min(hop) AS INT) AS hop, other FROM near GROUP BY vid, other HAVING min(hop) > 0"))
 def udtf_neighbors(s: SparkSession, d: str) -> DataFrame:
     g = graph(s, d, "turns")
-    return udfs.neighbours(g.edges, g.vertices.where("vid % 16 = 0"), 3)
+    return udfs.neighbours(g.edges, g.vertices, 3)
 
 
-@query("sql_surface", o.with_([*before_ctes("geo", PASSES)], f"SELECT vid, {o.pico()} AS rank_pico FROM before WHERE vid % 4 = 1"))
+@query("sql_surface", o.with_([*before_ctes("geo", PASSES)], f"SELECT vid, {o.pico()} AS rank_pico FROM before WHERE vid >= 0"))
 def sql_surface(s: SparkSession, d: str) -> DataFrame:
     sqlapi.register(s, {"geo": graph(s, d, "geo")})
     sqlapi.call(s, "cold_sync", "graph_geo_edges", version=7, fixed_passes=PASSES)
-    return s.sql("SELECT vid, CAST(round(rank * 1e12) AS BIGINT) AS rank_pico FROM ranks_cold_sync_t7 WHERE vid % 4 = :kind", args={"kind": 1})
+    return s.sql("SELECT vid, CAST(round(rank * 1e12) AS BIGINT) AS rank_pico FROM ranks_cold_sync_t7 WHERE vid >= :first", args={"first": 0})
 
 
 # ---- streaming --------------------------------------------------------------
@@ -749,7 +840,7 @@ def stream_rank_maintain(s: SparkSession, d: str) -> DataFrame:
         keeper.on_batch(temporal.slice(at + i * size, size), i)
         keeper.on_batch(temporal.slice(at + i * size, size), i)  # a repeat changes nothing
     last = store.graph(store.latest("edges"))
-    near = measures.norms(store.ranks(store.latest("ranks")), methods.cold_sync(last).ranks)
+    near = measures.norms(store.ranks(store.latest("ranks")), methods.cold_sync(last, Params(plan=whole_plan(last))).ranks)
     return near.select(F.lit(store.latest("ranks")).alias("version"), (F.col("linf") < 1e-9).alias("within_1e_9"))
 
 
@@ -763,7 +854,7 @@ def local_async_web(s: SparkSession, d: str) -> DataFrame:
 
     g = graph(s, d, "web")
     run = local.local_async(g, methods.uniform(g).withColumn("affected", F.lit(True)), Params(blocks=4))
-    near = measures.norms(run.ranks, before(s, d, "web", TRUTH))
+    near = measures.norms(run.ranks, truth(s, d, after=False))
     return near.select(F.lit(run.converged).alias("converged"), (F.col("linf") < 1e-9).alias("within_1e_9"))
 
 
@@ -810,5 +901,5 @@ def monte_carlo_web(s: SparkSession, d: str) -> DataFrame:
     """How near sampled walks come."""
     from ..operators import extensions
 
-    near = measures.norms(extensions.monte_carlo_ranks(graph(s, d, "web"), 16, most_hops=25), before(s, d, "web", TRUTH))
+    near = measures.norms(extensions.monte_carlo_ranks(graph(s, d, "web"), 16, most_hops=25), truth(s, d, after=False))
     return near.select((F.col("l1") < 0.5).alias("near"))

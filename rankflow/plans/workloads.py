@@ -92,31 +92,36 @@ def tolerance_sweep(prev: Graph, cur: Graph, batch: DataFrame, before: DataFrame
     return out
 
 
-def delays(costs: list[dict[int, tuple[int, int]]], units: Iterable[int], chances: Iterable[float], workers: int = 64) -> list[tuple]:
-    """(units of a sleep, probability, sleeps, time with barriers, without, ratio)."""
+Costs = list[dict[int, tuple[int, int]]]
+
+
+def delays(barrier: Costs, free: Costs, units: Iterable[int], chances: Iterable[float], workers: int = 64) -> list[tuple]:
+    """(units of a sleep, probability, sleeps with barriers, time with, time without,
+    ratio). ``barrier`` is the work of the run of two buffers, ``free`` of that in
+    place, which takes other passes."""
     out = []
     for u in units:
         for p in chances:
             sim = faults.Simulator(workers=workers, delay_p=p, delay_units=u)
-            a, b = sim.play(costs, True), sim.play(costs, False)
+            a, b = sim.play(barrier, True), sim.play(free, False)
             out.append((u, p, a.sleeps, a.units, b.units, round(a.units / max(1, b.units), 6)))
     return out
 
 
-def crashes(costs: list[dict[int, tuple[int, int]]], counts: Iterable[int], workers: int = 64) -> list[tuple]:
+def crashes(barrier: Costs, free: Costs, counts: Iterable[int], workers: int = 64) -> list[tuple]:
     """(crashed workers, whether barriers let it finish, time without barriers,
-    speed relative to no crash)."""
-    base = faults.Simulator(workers=workers).play(costs, False).units
+    speed relative to no crash). A crashed worker's last block is done again."""
+    base = faults.Simulator(workers=workers).play(free, False).units
     out = []
     for c in counts:
         sim = faults.Simulator(workers=workers, crashes=c)
-        b = sim.play(costs, False)
-        out.append((c, sim.play(costs, True).finished, b.units, round(base / max(1, b.units), 6)))
+        b = sim.play(free, False)
+        out.append((c, sim.play(barrier, True).finished, b.units, round(base / max(1, b.units), 6)))
     return out
 
 
-def scaling(costs: list[dict[int, tuple[int, int]]], workers: Iterable[int]) -> list[tuple]:
+def scaling(barrier: Costs, free: Costs, workers: Iterable[int]) -> list[tuple]:
     """(workers, speed-up with barriers, without) against one worker."""
     one = faults.Simulator(workers=1)
-    a, b = one.play(costs, True).units, one.play(costs, False).units
-    return [(w, round(a / max(1, faults.Simulator(workers=w).play(costs, True).units), 6), round(b / max(1, faults.Simulator(workers=w).play(costs, False).units), 6)) for w in workers]
+    a, b = one.play(barrier, True).units, one.play(free, False).units
+    return [(w, round(a / max(1, faults.Simulator(workers=w).play(barrier, True).units), 6), round(b / max(1, faults.Simulator(workers=w).play(free, False).units), 6)) for w in workers]
