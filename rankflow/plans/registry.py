@@ -828,6 +828,39 @@ def stream_interval_join(s: SparkSession, d: str) -> DataFrame:
     return _drain(s, joined).select("a", "b")
 
 
+@query("stream_static_join", o.with_(before_ctes("handoff"), f"SELECT event_id, {o.pico()} AS rank_pico FROM events JOIN before ON vid = user_id"))
+def stream_static_join(s: SparkSession, d: str) -> DataFrame:
+    joined = maintain.with_ranks(maintain.event_stream(s, d), before(s, d, "handoff"))
+    return _drain(s, joined.select("event_id", rel.pico().alias("rank_pico")))
+
+
+@query("stream_update_mode", "SELECT event_type, count(*) AS n, CAST(max(user_id) AS BIGINT) AS top FROM events GROUP BY 1")
+def stream_update_mode(s: SparkSession, d: str) -> DataFrame:
+    """Counts in update mode, the last row of each key."""
+    rows = maintain.event_stream(s, d).groupBy("event_type").agg(F.count("*").alias("n"), F.max("user_id").alias("top"))
+    return _drain(s, rows, "update").groupBy("event_type").agg(F.max("n").alias("n"), F.max("top").alias("top"))
+
+
+@query(
+    "stream_link_expiry",
+    """WITH t AS (SELECT ts, src, dst FROM (SELECT ts, user_id AS src, lead(user_id) OVER (PARTITION BY event_type ORDER BY ts, event_id) AS dst FROM events) WHERE dst IS NOT NULL
+    ), g AS (SELECT *, coalesce(ts - lag(ts) OVER (PARTITION BY src, dst ORDER BY ts) >= INTERVAL 2 DAY, false) AS gap FROM t
+    ), k AS (SELECT *, count(*) FILTER (gap) OVER (PARTITION BY src, dst ORDER BY ts ROWS UNBOUNDED PRECEDING) AS part FROM g
+    ), p AS (SELECT src, dst, part, count(*) AS n, max(ts) AS last FROM k GROUP BY 1, 2, 3
+    ), e AS (SELECT *, part < max(part) OVER (PARTITION BY src, dst) OR last + INTERVAL 2 DAY < (SELECT max(ts) FROM t) - INTERVAL 1 HOUR AS expired FROM p)
+    SELECT src, dst, CAST(sum(n) AS BIGINT) AS n, count(*) AS expired FROM e WHERE expired GROUP BY 1, 2""",
+)
+def stream_link_expiry(s: SparkSession, d: str) -> DataFrame:
+    """How often each link expired, unused for two days of event time, and its uses."""
+    events = catalog.table(s, d, "events")
+    nxt = F.lead("user_id").over(W.partitionBy("event_type").orderBy("ts", "event_id"))
+    folder = fresh_path(s, "handoffs")
+    events.select("ts", F.col("user_id").alias("src"), nxt.alias("dst")).where("dst is not null").write.parquet(folder)
+    stream = s.readStream.schema("ts timestamp, src long, dst long").parquet(folder).withWatermark("ts", "1 hour")
+    told = _drain(s, maintain.active_links(stream, "2 days"))
+    return told.where("expired").groupBy("src", "dst").agg(F.sum("n").alias("n"), F.count("*").alias("expired"))
+
+
 @query("stream_rank_maintain")
 def stream_rank_maintain(s: SparkSession, d: str) -> DataFrame:
     """Ranks maintained over micro-batches against a run on the last snapshot."""

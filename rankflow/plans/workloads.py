@@ -4,10 +4,11 @@ from __future__ import annotations
 
 import time
 from collections.abc import Iterable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession
 
-from ..operators import batches, measures, methods
+from ..operators import batches, measures, methods, region
 from ..operators.graph import Graph, TemporalGraph
 from ..params import Params, RankRun
 from ..sources import catalog
@@ -16,6 +17,11 @@ from . import faults
 ROW = "graph string, method string, fraction double, batch_no int, passes int, converged boolean, edges_read long, affected long, error double, seconds double"
 
 
+def _plan(graph: Graph) -> str:
+    """For ranks that are only compared with."""
+    return "local" if graph.n_links <= region.LOCAL_LINKS else "auto"
+
+
 def timed(make) -> tuple[RankRun, float]:
     """A run and its seconds: marking and stop tests count, reading does not."""
     began = time.perf_counter()
@@ -32,13 +38,13 @@ def random_batches(spark: SparkSession, sf_dir: str, graphs: Iterable[str], frac
     rows = []
     for g in graphs:
         prev = catalog.build(g, spark, sf_dir)
-        before = methods.cold_sync(prev, params).ranks
+        before = methods.cold_sync(prev, replace(params, plan=_plan(prev))).ranks
         for fraction in fractions:
             for number in range(repeats):
                 batch = batches.random(prev, fraction, seed=number + 1).persist()
                 cur = prev.apply(batch)
                 cur.links().count()
-                truth = methods.reference(cur, truth_passes).ranks if with_error else None
+                truth = methods.reference(cur, truth_passes, _plan(cur)).ranks if with_error else None
                 for name in names:
                     run, seconds = timed(lambda: methods.run(name, prev, cur, batch, before, params))
                     rows.append(_row(g, name, fraction, number, run, seconds, truth))
@@ -54,13 +60,13 @@ def replay(spark: SparkSession, name: str, graph: TemporalGraph, fraction: float
     total = graph.total
     size, at, number, rows = max(1, int(total * fraction)), int(total * load), 0, []
     prev = graph.prefix(load)
-    first = methods.cold_sync(prev, params).ranks
+    first = methods.cold_sync(prev, replace(params, plan=_plan(prev))).ranks
     own = {m: first for m in names}
     while at < total and (most is None or number < most):
         batch = batches.normalised(prev, graph.slice(at, size)).persist()
         cur = prev.apply(batch)
         cur.links().count()
-        truth = methods.reference(cur, truth_passes).ranks if with_error else None
+        truth = methods.reference(cur, truth_passes, _plan(cur)).ranks if with_error else None
         for m in names:
             run, seconds = timed(lambda: methods.run(m, prev, cur, batch, own[m], params))
             own[m] = run.ranks
@@ -73,13 +79,17 @@ def replay(spark: SparkSession, name: str, graph: TemporalGraph, fraction: float
 def round_trip(prev: Graph, fraction: float, name: str, seed: int = 1, params: Params = Params(), before: DataFrame | None = None) -> float:
     """Deletes a batch, updates, inserts it again, updates: largest difference to
     the ranks before."""
-    before = methods.cold_sync(prev, params).ranks if before is None else before
+    before = methods.cold_sync(prev, replace(params, plan=_plan(prev))).ranks if before is None else before
     gone = batches.random(prev, fraction, seed, mix="del").persist()
     cur = prev.apply(gone)
     there = methods.run(name, prev, cur, gone, before, params).ranks
     back = batches.invert(gone)
     again = cur.apply(back)
-    return measures.linf(methods.run(name, cur, again, back, there, params).ranks, before)
+    out = measures.linf(methods.run(name, cur, again, back, there, params).ranks, before)
+    cur.release()
+    again.release()
+    gone.unpersist()
+    return out
 
 
 def tolerance_sweep(prev: Graph, cur: Graph, batch: DataFrame, before: DataFrame, truth: DataFrame, factors: Iterable[float], params: Params = Params()) -> list[tuple]:

@@ -64,6 +64,48 @@ def handoffs(events: DataFrame) -> DataFrame:
     return events.groupBy("event_type").applyInPandasWithState(pair, schema, "last long", "append", GroupStateTimeout.NoTimeout)
 
 
+def active_links(events: DataFrame, idle: str) -> DataFrame:
+    """(src, dst, n, expired) of successive users of each type, where a link without
+    use for ``idle`` of event time expires: its row is told once more, with expired,
+    and its count starts anew. State: count and last use of each link."""
+    schema = "src long, dst long, n long, expired boolean"
+    wait = int(pd.Timedelta(idle).total_seconds() * 1000)
+
+    def follow(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        def row(n: int, expired: bool) -> pd.DataFrame:
+            return pd.DataFrame({"src": [key[0]], "dst": [key[1]], "n": [n], "expired": [expired]})
+
+        if state.hasTimedOut:
+            n, _ = state.get
+            state.remove()
+            yield row(n, True)
+            return
+        n, last = state.get if state.exists else (0, None)
+        for t in sorted(int(x.timestamp() * 1000) for f in frames for x in f["ts"]):
+            if last is not None and t - last >= wait:
+                yield row(n, True)
+                n = 0
+            n, last = n + 1, t if last is None else max(last, t)
+        state.update((n, last))
+        state.setTimeoutTimestamp(max(last + wait, state.getCurrentWatermarkMs() + 1))
+        yield row(n, False)
+
+    return events.groupBy("src", "dst").applyInPandasWithState(follow, schema, "n long, last long", "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def with_ranks(events: DataFrame, ranks: DataFrame) -> DataFrame:
+    """Events with their users' ranks: a stream against a table."""
+    return events.join(ranks.select(F.col("vid").alias("user_id"), "rank"), "user_id")
+
+
+def on_time(changes: DataFrame, delay: str) -> DataFrame:
+    """Changes (src, dst, op, ts) that count: insertions always; deletions only if they
+    come within ``delay`` of the latest change seen before their micro-batch, as a later
+    one may follow an insertion that it must not undo."""
+    gone = changes.where("op = '-'").select("src", "dst", "op", "ts").withWatermark("ts", delay).dropDuplicatesWithinWatermark(["src", "dst", "op", "ts"])
+    return changes.where("op = '+'").select("src", "dst", "op", "ts").unionByName(gone)
+
+
 def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """All that a stream has now, run to its end into memory: for results that
     fit there, as in tests and reports."""

@@ -10,6 +10,7 @@ from rankflow.params import Params
 from rankflow.plans import registry, workloads
 from rankflow.sources import catalog, readers
 from rankflow.sources.stores import VersionStore
+from rankflow.streaming import maintain
 from rankflow.streaming.maintain import Maintainer
 
 
@@ -81,11 +82,11 @@ def test_replay_and_round_trip(spark, sf):
 
 def test_crash_and_delay_tables():
     costs = [{b: (50, 10) for b in range(64)}] * 5
-    crashed = workloads.crashes(costs, (0, 8, 32), workers=64)
+    crashed = workloads.crashes(costs, costs, (0, 8, 32), workers=64)
     assert crashed[0][1] and not crashed[1][1] and crashed[2][3] < crashed[0][3] == 1
-    slow = workloads.delays(costs, (500,), (1e-3,), workers=16)
+    slow = workloads.delays(costs, costs, (500,), (1e-3,), workers=16)
     assert slow[0][5] >= 1
-    speed = workloads.scaling(costs, (1, 4, 16))
+    speed = workloads.scaling(costs, costs, (1, 4, 16))
     assert speed[0][1] == 1 and speed[2][2] > speed[1][2] > 1
 
 
@@ -94,3 +95,34 @@ def test_entry(spark):
 
     assert e.entry(spark).count() == 100
     assert set(e.oracle_sql()) <= set(e.queries())
+
+
+def test_restarted_stream_goes_on_where_it_was(spark, tmp_path):
+    """A checkpointed query that stops and starts again reads each file once."""
+    folder, out, mark = (str(tmp_path / n) for n in ("in", "out", "mark"))
+
+    def turn():
+        stream = spark.readStream.schema("event_id long, ts timestamp").parquet(folder)
+        maintain.once(stream).writeStream.format("parquet").option("path", out).option("checkpointLocation", mark).trigger(availableNow=True).start().awaitTermination()
+        return sorted(r.event_id for r in spark.read.parquet(out).collect())
+
+    spark.sql("SELECT 1L AS event_id, timestamp'2024-01-01 00:00:00' AS ts UNION ALL SELECT 2L, timestamp'2024-01-01 00:10:00'").write.parquet(folder)
+    assert turn() == [1, 2]
+    spark.sql("SELECT 2L AS event_id, timestamp'2024-01-01 00:10:00' AS ts UNION ALL SELECT 3L, timestamp'2024-01-01 00:20:00'").write.mode("append").parquet(folder)
+    assert turn() == [1, 2, 3]
+    assert turn() == [1, 2, 3]
+
+
+def test_late_deletions_are_dropped(spark, tmp_path):
+    folder, mark, out = str(tmp_path / "in"), str(tmp_path / "mark"), str(tmp_path / "out")
+    schema = "src long, dst long, op string, ts timestamp"
+
+    def turn(sql):
+        spark.sql(sql).write.mode("append").parquet(folder)
+        stream = spark.readStream.schema(schema).parquet(folder)
+        maintain.on_time(stream, "1 hour").writeStream.format("parquet").option("path", out).option("checkpointLocation", mark).trigger(availableNow=True).start().awaitTermination()
+
+    turn("SELECT 1L AS src, 2L AS dst, '-' AS op, timestamp'2024-01-01 00:00:00' AS ts UNION ALL SELECT 5L, 6L, '-', timestamp'2024-01-01 12:00:00'")
+    turn("SELECT 3L AS src, 4L AS dst, '-' AS op, timestamp'2024-01-01 01:00:00' AS ts UNION ALL SELECT 3L, 4L, '+', timestamp'2024-01-01 01:00:00' UNION ALL SELECT 7L, 8L, '-', timestamp'2024-01-02 12:00:00'")
+    got = {(r.src, r.op) for r in spark.read.parquet(out).collect()}
+    assert (1, "-") in got and (5, "-") in got and (3, "+") in got and (3, "-") not in got
