@@ -63,21 +63,19 @@ def topk_overlap(a: DataFrame, b: DataFrame, k: int) -> DataFrame:
     return top(a).join(top(b), "vid").agg(F.count("*").alias("shared")).select(F.lit(k).alias("k"), "shared")
 
 
-def stage_totals(spark: SparkSession) -> dict[str, int]:
-    """What all stages of the session that its status store still knows did: tasks,
-    bytes shuffled and spilled."""
+def stage_totals(spark: SparkSession, after: int = -1) -> dict[str, int]:
+    """Tasks and bytes shuffled and spilled of the stages numbered above ``after``, and
+    the last number. The session's status store keeps so many stages (a thousand by
+    default); of a run with more only those count."""
     jvm, store = spark.sparkContext._jvm, spark.sparkContext._jsc.sc().statusStore()
     none = spark.sparkContext._gateway.new_array(jvm.double, 0)
     stages = store.stageList(None, False, False, none, jvm.java.util.ArrayList())
-    out = {"stages": 0, "tasks": 0, "shuffle_bytes": 0, "spilled_bytes": 0}
+    out = {"last_stage": after, "tasks": 0, "shuffle_bytes": 0, "spilled_bytes": 0}
     for i in range(stages.size()):
         stage = stages.apply(i)
-        out["stages"] += 1
-        out["tasks"] += stage.numCompleteTasks()
-        out["shuffle_bytes"] += stage.shuffleWriteBytes()
-        out["spilled_bytes"] += stage.diskBytesSpilled()
+        if stage.stageId() > after:
+            out["last_stage"] = max(out["last_stage"], stage.stageId())
+            out["tasks"] += stage.numCompleteTasks()
+            out["shuffle_bytes"] += stage.shuffleWriteBytes()
+            out["spilled_bytes"] += stage.diskBytesSpilled()
     return out
-
-
-def since(before: dict[str, int], after: dict[str, int]) -> dict[str, int]:
-    return {k: after[k] - before[k] for k in after}

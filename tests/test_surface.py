@@ -126,3 +126,12 @@ def test_late_deletions_are_dropped(spark, tmp_path):
     turn("SELECT 3L AS src, 4L AS dst, '-' AS op, timestamp'2024-01-01 01:00:00' AS ts UNION ALL SELECT 3L, 4L, '+', timestamp'2024-01-01 01:00:00' UNION ALL SELECT 7L, 8L, '-', timestamp'2024-01-02 12:00:00'")
     got = {(r.src, r.op) for r in spark.read.parquet(out).collect()}
     assert (1, "-") in got and (5, "-") in got and (3, "+") in got and (3, "-") not in got
+
+
+def test_stage_totals_count_what_moved(spark):
+    from rankflow.operators import measures
+
+    last = measures.stage_totals(spark)["last_stage"]
+    spark.range(1000).repartition(3).groupBy((registry.F.col("id") % 7).alias("k")).count().collect()
+    got = measures.stage_totals(spark, last)
+    assert got["last_stage"] > last and got["tasks"] >= 3 and got["shuffle_bytes"] > 0
