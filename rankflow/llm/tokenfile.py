@@ -177,6 +177,11 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
             opened[1].write(bytes(8))
             return opened
 
+        def put(some: list[list[bytes]]) -> None:
+            for f, parts in zip(files, some):
+                f.write(b"".join(parts))
+                parts.clear()
+
         def close() -> pa.RecordBatch:
             for f in files:
                 f.close()
@@ -185,15 +190,18 @@ def write_token_files(docs: DataFrame, tokenizer: str, end_id: int, folder: str,
         for whole in batches:
             for lo in range(0, whole.num_rows, TOGETHER):
                 b = whole.slice(lo, TOGETHER)
+                some: list[list[bytes]] = [[], [], []]
                 for k, c, ids in zip(b.column(0).to_pylist(), b.column(2).to_pylist(), use.encode(texts_of(b.column(1)))):
                     if c != now:
                         if now is not None:
+                            put(some)
                             yield close()
                         now, files, n_docs, at = c, begin(c), 0, 0
                     n_docs, at = n_docs + 1, at + len(ids) // width + 1
-                    files[0].write(ids + end)
-                    files[1].write(at.to_bytes(8, "little"))
-                    files[2].write((NULL_KEY if k is None else k).to_bytes(8, "little", signed=True))
+                    some[0] += (ids, end)
+                    some[1].append(at.to_bytes(8, "little"))
+                    some[2].append((NULL_KEY if k is None else k).to_bytes(8, "little", signed=True))
+                put(some)
         if now is not None:
             yield close()
 
