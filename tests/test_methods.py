@@ -3,6 +3,7 @@
 from dataclasses import astuple, replace
 
 import numpy as np
+import pandas as pd
 import pytest
 from pyspark.sql import functions as F
 
@@ -304,3 +305,20 @@ def test_workloads_keep_within_the_bar(spark, sf):
     rows = replays.replay(temporal, 1e-2).collect()
     assert {r.batch_no for r in rows} == set(range(-(-(temporal.total - int(temporal.total * 0.9)) // max(1, int(temporal.total * 1e-2)))))
     assert all(r.converged and r.error < 2e-9 for r in rows)
+
+
+def test_reference_and_batches_of_arrays():
+    rng = np.random.default_rng(5)
+    for n, m in ((1, 0), (4, 5), (60, 200)):
+        vids = np.sort(rng.choice(10_000, n, False))
+        ends = [np.concatenate([rng.integers(0, n, m), np.arange(n)]) for _ in range(2)]
+        held = replays.Held(vids, np.empty(0, np.int64)).with_edges(vids[ends[0]], vids[ends[1]])
+        held = held.with_edges(vids, vids)
+        none = pd.DataFrame({"src": [], "dst": [], "op": []})
+        for passes in (1, 2, 151, 152, 500):
+            slow = replays.run("cold_sync", held, held, none, np.empty(0), Params(tol=1e-100, max_passes=passes))[0]
+            assert (replays.truth(held, passes) == slow).all()
+        for k in (0, 1, 50):
+            batch = pd.DataFrame({"src": vids[rng.integers(0, n, k)], "dst": vids[rng.integers(0, n, k)], "op": rng.choice(["+", "-"], k)})
+            key, plus = held.key(batch["src"].to_numpy(), batch["dst"].to_numpy()), (batch["op"] == "+").to_numpy()
+            assert sorted((set(held.keys) - set(key[~plus])) | set(key[plus])) == held.apply(batch).keys.tolist()
