@@ -7,8 +7,9 @@ repetition of its shuffled documents, so sources interleave evenly at every
 prefix of the mix and small sources repeat while large ones are cut short.
 
 All steps are DataFrame operations. Positions inside a source are prefix sums
-in the order of a hash: sums by hash prefix first (at most 2 ** 16 rows a source),
-then inside a prefix, so that no task sees a whole source, however large. What
+in the order of a hash: sums by hash prefixes of two digits (256 rows a source),
+of four within two (as many), and inside a prefix, so that no task sees a whole
+source, however large. What
 several steps read is written once, with a number for each row.
 
 Null texts have no words; a null source is a source of its own, the last.
@@ -97,14 +98,20 @@ def _starts(sizes: DataFrame) -> DataFrame:
     """``sizes`` (with sid) plus start: words of its source before the document
     in shuffled order."""
     name = F.md5(F.concat(F.lit(SEED + "-"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
-    rows = sizes.withColumn("h", name).withColumn("h4", F.substring("h", 1, 4))
+    rows = sizes.withColumn("h", name).withColumn("h2", F.substring("h", 1, 2)).withColumn("h4", F.substring("h", 1, 4))
 
     def running(col: str, by: list[str], order: list[str]) -> Column:
         return F.coalesce(F.sum(col).over(W.partitionBy(*by).orderBy(*order).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
 
     near = rows.withColumn("near", running("size", ["sid", "h4"], ["h", "doc_id", "size"]))
-    fours = rows.groupBy("sid", "h4").agg(F.sum("size").alias("sum")).select("sid", "h4", running("sum", ["sid"], ["h4"]).alias("base"))
-    return near.join(fours, ["sid", "h4"]).withColumn("start", F.col("base") + F.col("near")).drop("h", "h4", "near", "base")
+    fours = rows.groupBy("sid", "h2", "h4").agg(F.sum("size").alias("sum"))
+    twos = fours.groupBy("sid", "h2").agg(F.sum("sum").alias("sum")).select("sid", "h2", running("sum", ["sid"], ["h2"]).alias("base"))
+    fours = fours.select("sid", "h2", "h4", running("sum", ["sid", "h2"], ["h4"]).alias("within"))
+    return (
+        near.join(fours.drop("h2"), ["sid", "h4"]).join(twos, ["sid", "h2"])
+        .withColumn("start", F.col("base") + F.col("within") + F.col("near"))
+        .drop("h", "h2", "h4", "near", "within", "base")
+    )
 
 
 def plan_mix(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, repeats: int = MOST_REPEATS, mark: Column | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
