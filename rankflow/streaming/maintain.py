@@ -13,6 +13,7 @@ from ..operators import batches, methods
 from ..operators.graph import Graph
 from ..params import Params
 from ..sources.stores import VersionStore
+from ..storage import fresh_path
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -106,12 +107,29 @@ def on_time(changes: DataFrame, delay: str) -> DataFrame:
     return changes.where("op = '+'").select("src", "dst", "op", "ts").unionByName(gone)
 
 
-def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """All that a stream has now, run to its end into memory: for results that
-    fit there, as in tests and reports."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
-    query.awaitTermination()
-    return stream.sparkSession.table(name)
+def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
+    """All that a stream has now, run to its end into files of the shared folder; no row
+    comes to the driver. Of mode 'complete' the last micro-batch's rows, of the others
+    those of all."""
+    spark = stream.sparkSession
+    folder = fresh_path(spark, "drained")
+    writer = stream.writeStream.option("checkpointLocation", fresh_path(spark, "progress")).outputMode(mode).trigger(availableNow=True)
+    if mode == "append":
+        writer.format("parquet").option("path", folder).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(folder)
+    done: list[str] = []
+
+    def keep(rows: DataFrame, number: int) -> None:
+        place = f"{folder}/{number}"
+        rows.write.mode("overwrite").parquet(place)  # a repeat changes nothing
+        if place not in done:
+            done.append(place)
+
+    writer.foreachBatch(keep).start().awaitTermination()
+    read = spark.read.schema(stream.schema)
+    if not done:
+        return spark.createDataFrame([], stream.schema)
+    return read.parquet(done[-1]) if mode == "complete" else read.parquet(*done)
 
 
 def tumbling(events: DataFrame, width: str) -> DataFrame:

@@ -135,3 +135,10 @@ def test_stage_totals_count_what_moved(spark):
     spark.range(1000).repartition(3).groupBy((registry.F.col("id") % 7).alias("k")).count().collect()
     got = measures.stage_totals(spark, last)
     assert got["last_stage"] > last and got["tasks"] >= 3 and got["shuffle_bytes"] > 0
+
+
+@pytest.mark.parametrize("name", ["stream_session", "stream_dedup", "stream_static_join", "stream_handoff_edges", "stream_update_mode"])
+def test_streams_are_drained_into_files(spark, sf, name):
+    """Before, all rows of a stream were held by the driver, in a memory table."""
+    assert registry.QUERIES[name](spark, sf).inputFiles()
+    test_queries_agree_with_their_sql(spark, sf, name)
