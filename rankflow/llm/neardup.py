@@ -57,6 +57,8 @@ SMALL = 24
 PIVOT_TURNS = 2
 #: Shingles of a block of a large bucket.
 BLOCK_SHINGLES = 400_000
+#: Bits of one of Spark's bitmaps, and bits for each id looked for.
+MAP_BITS, ID_BITS = 32_768, 16
 
 _LOWER = bytes(range(65)) + bytes(range(97, 123)) + bytes(range(91, 256))
 _MIX = np.uint64(0x9E3779B97F4A7C15)
@@ -161,6 +163,20 @@ def shingle_sets(docs: DataFrame, words: int = WORDS) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, digest binary, set array<long>")
 
 
+def _perhaps_among(docs: DataFrame, ids: DataFrame) -> DataFrame:
+    """doc_id and text of all rows whose id is among ``ids`` (doc_id), and of few others
+    (1 in ``ID_BITS``). Each id marks a bit by its hash; only these bits are sent to all
+    tasks, so that no text moves, however many ids there are."""
+    size = MAP_BITS * max(1, -(-ids.count() * ID_BITS // MAP_BITS))
+    at = F.pmod(F.xxhash64("doc_id"), F.lit(size).cast("long"))
+    place, bit = F.floor(at / MAP_BITS).alias("place"), (at % MAP_BITS).alias("bit")
+    maps = ids.select(place, bit).groupBy("place").agg(F.bitmap_construct_agg("bit").alias("map"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).select("doc_id", "text", place, bit)
+    byte = F.conv(F.hex(F.expr("substring(map, int(bit div 8) + 1, 1)")), 16, 10).cast("int")
+    marked = byte.bitwiseAND(F.expr("shiftleft(1, int(bit % 8))")) != 0
+    return rows.join(F.broadcast(maps), "place").where(marked).select("doc_id", "text")
+
+
 def _agree(a: Column, b: Column) -> Column:
     """Share of equal signature bytes."""
 
@@ -217,14 +233,17 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int | None = None
     """
     spark = docs.sparkSession
     bands = bands or (BANDS if percent >= 85 else MORE_BANDS)
-    marked = staged(signatures(docs, bands, rows, words), "signatures")
-    sets = marked.where("digest is not null and doc_id is not null")
-    # a class has a number of its own: one id may stand for several sets
-    classes = sets.groupBy("digest").agg(F.min("doc_id").alias("rep")).withColumn("vertex", F.monotonically_increasing_id())
-    classes = staged(classes, "classes")
-    own = sets.join(classes, "digest")
-    reps = own.where("doc_id = rep").dropDuplicates(["vertex"]).select("vertex", "rep", "digest", "n_shingles", "keys", "agreed")
-    links = staged(_links_of_ids(own), "links")
+    signed = staged(signatures(docs, bands, rows, words), "signatures")
+    some = F.col("digest").isNotNull() & F.col("doc_id").isNotNull()
+    # a class has a number of its own: one id may stand for several sets. Its keys move
+    # once, with its digest, and are kept with it
+    of_set = F.min_by(F.struct("n_shingles", "keys", "agreed"), "doc_id").alias("of_set")
+    reps = signed.where(some).groupBy("digest").agg(F.min("doc_id").alias("rep"), of_set).select("digest", "rep", "of_set.*")
+    reps = staged(reps.withColumn("vertex", F.monotonically_increasing_id()), "classes")
+    marked = staged(signed.select("doc_id", "n_shingles", "digest"), "rows")
+    forget(signed)
+    classes = reps.select("digest", "rep", "vertex")
+    links = staged(_links_of_ids(marked.where(some).join(classes, "digest")), "links")
     member = reps.select(F.posexplode("keys").alias("band", "key"), F.col("vertex").alias("doc_id"), "n_shingles")
     filled = member.groupBy("band", "key").agg(F.count("*").alias("n"), F.sum("n_shingles").alias("size")).where("n > 1")
     member = member.drop("n_shingles")
@@ -235,9 +254,10 @@ def near_components(docs: DataFrame, percent: int = 85, bands: int | None = None
     wanted = member.select(F.col("doc_id").alias("vertex")).distinct()
     wanted = staged(reps.join(wanted, "vertex").select("vertex", F.col("rep").alias("doc_id"), "digest", "n_shingles", "agreed"), "wanted")
     # from here on doc_id is the number of a class
+    # an id and a digest name one class, and what the join deals by them needs no other deal
     known = staged(
-        shingle_sets(docs.join(wanted.select("doc_id").distinct(), "doc_id", "left_semi"), words)
-        .join(wanted, ["doc_id", "digest"]).dropDuplicates(["vertex"])
+        shingle_sets(_perhaps_among(docs, wanted.select("doc_id")), words)
+        .join(wanted, ["doc_id", "digest"]).dropDuplicates(["doc_id", "digest"])
         .select(F.col("vertex").alias("doc_id"), "set", "n_shingles", "agreed"),
         "sets",
     )

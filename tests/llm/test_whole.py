@@ -1,9 +1,13 @@
 """Cases in which an operator once did less than its whole job."""
 
+import random
 import textwrap
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline
 from rankflow.llm import licences, neardup
+from rankflow.operators import measures
 
 
 def edited_pair(first: int, words: int) -> tuple[str, str]:
@@ -72,3 +76,30 @@ def test_wrapped_licences_are_found(spark):
     rows = [(i, t, want) for i, (want, t) in enumerate((want, t) for want, several in texts.items() for t in several)]
     got = licences.scan(spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")).collect()
     assert {r.doc_id: r.licences for r in got} == {i: want for i, _, want in rows}
+
+
+def test_near_copies_move_no_text(spark):
+    """Before, where the ids looked for were too many to broadcast, all texts were dealt by id."""
+    rng = random.Random(8)
+    texts = [" ".join(f"w{rng.randrange(10**9)}" for _ in range(1500)) for _ in range(240)]
+    docs = spark.createDataFrame([(i, t) for i, t in enumerate([*texts, texts[0] + " end"])], "doc_id long, text string").repartition(3).cache()
+    docs.count()
+    kept = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        last = measures.stage_totals(spark)["last_stage"]
+        got = {r.doc_id: r.component_id for r in neardup.near_components(docs).collect()}
+        moved = measures.stage_totals(spark, last)["shuffle_bytes"]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", kept)
+    assert got == {i: i % 240 for i in range(241)}
+    assert moved < sum(map(len, texts)) / 3
+
+
+def test_ids_that_are_looked_for_are_all_found(spark):
+    docs = spark.range(-40_000, 40_000).select(F.col("id").alias("doc_id"), F.lit("x").alias("text"))
+    ids = spark.range(-40_000, 40_000, 7).select(F.col("id").alias("doc_id"))
+    got = [r.doc_id for r in neardup._perhaps_among(docs, ids).select("doc_id").collect()]
+    wanted = set(range(-40_000, 40_000, 7))
+    assert wanted <= set(got) and len(set(got)) == len(got) < len(wanted) + 80_000 / 10
+    assert neardup._perhaps_among(docs, ids.limit(0)).count() == 0
