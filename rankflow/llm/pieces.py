@@ -36,8 +36,8 @@ SPACE = "▁"
 #: Cuts of a generation that one Python worker keeps.
 KEPT_CUTS = 150_000
 KEPT_UNITS = 250_000
-#: Texts that are encoded together, and the length from which one goes alone.
-TOGETHER, MOST_CHARS = 4_096, 1 << 20
+#: Size of the texts that are encoded together, and the length from which one goes alone.
+TOGETHER_CHARS, MOST_CHARS = 1 << 21, 1 << 20
 SPLICED = 256
 #: Marks that usually end a word.
 MARKS = ".,;:!?)\"'*$%&#"
@@ -62,7 +62,7 @@ class PieceCodec:
         self.spans_space = any(SPACE in p[1:] and p.strip(SPACE) and SPACE in p.lstrip(SPACE) for p in self.id_of)
         joined = {c for p in self.id_of if len(p) > 1 for c in p}
         self.newline_alone = "\n" not in joined
-        self.inside = {p[i : i + 2] for p in self.id_of for i in range(len(p) - 1)}
+        self.inside = {p[i : i + 2].replace(SPACE, " ") for p in self.id_of for i in range(len(p) - 1)}
         self.found = ahocorasick.Automaton()
         for p in self.id_of:
             if len(p) > 1:
@@ -72,8 +72,7 @@ class PieceCodec:
         self.fits: dict[tuple[str, str], bool] = {}
         self.unit = Kept(self._unit, KEPT_UNITS)
         self.bare = Kept(self.known, 20_000)
-        self.spaced = Kept(lambda word: self.known(SPACE + word), KEPT_CUTS)
-        self.cut = Kept(lambda cut: self.known(cut.replace(" ", SPACE)), KEPT_CUTS)
+        self.spaced = Kept(lambda word: self.known(" " + word), KEPT_CUTS)
 
     def merged(self, text: str) -> list[str]:
         """Pieces of a short string by merging its best neighbours."""
@@ -157,25 +156,26 @@ class PieceCodec:
             for i in ids
         )
 
-    def _unit(self, unit: str) -> tuple[int, bytes, bytes]:
-        ids = self.ids_of(self.split(unit))
-        return len(ids), ",".join(map(str, ids)).encode(), self.raw(ids)
+    def _unit(self, unit: str) -> bytes:
+        ids = self.ids_of(self.split(unit.replace(" ", SPACE)))
+        return b"%b %b" % (",".join(map(str, ids)).encode(), self.raw(ids))
 
-    def known(self, cut: str) -> tuple[int, bytes, bytes]:
-        """(number of ids, listed ids, bytes) of a cut. The marks at its end go
-        apart if the characters they part stand side by side in no piece."""
+    def known(self, cut: str) -> bytes:
+        """The listed ids of a cut, a blank, and its bytes, as one object, since many
+        are kept. Space marks are blanks in cuts. The marks at its end go apart if the
+        characters they part stand side by side in no piece."""
         word = cut.rstrip(MARKS)
         n = len(word)
         if not 0 < n < len(cut) or cut[n - 1 : n + 1] in self.inside:
             return self.unit[cut]
-        a, b = self.unit[word], self.unit[cut[n:]]
-        return a[0] + b[0], a[1] + b"," + b[1], a[2] + b[2]
+        (a, _, x), (b, _, y) = self.unit[word].partition(b" "), self.unit[cut[n:]].partition(b" ")
+        return b"%b,%b %b%b" % (a, b, x, y)
 
-    def parts(self, text: str) -> list[tuple[int, bytes, bytes]]:
+    def parts(self, text: str) -> list[bytes]:
         """What is known of each cut of a text that is not empty."""
         if self.spans_space:
-            return [self.bare[SPACE + text.replace(" ", SPACE)]]
-        out: list[tuple[int, bytes, bytes]] = []
+            return [self.bare[" " + text.replace(SPACE, " ")]]
+        out: list[bytes] = []
         for k, line in enumerate(text.split("\n") if self.newline_alone else [text]):
             if k:
                 out.append(self.bare["\n"])
@@ -191,17 +191,16 @@ class PieceCodec:
             for i, w in enumerate(words):
                 run += i > 0
                 if w:
-                    out.append(self.bare[SPACE * run + w])
+                    out.append(self.bare[" " * run + w])
                     run = 0
             if run:
-                out.append(self.bare[SPACE * run])
+                out.append(self.bare[" " * run])
         return out
 
     def encode(self, text: str | None) -> list[int]:
         ids: list[int] = []
-        for n, listed, _ in self.parts(text) if text else ():
-            if n:
-                ids.extend(map(int, listed.split(b",")))
+        for got in self.parts(text) if text else ():
+            ids.extend(map(int, got.partition(b" ")[0].split(b",")))
         return ids
 
     def decode(self, ids: list[int]) -> str:
@@ -234,15 +233,15 @@ class PieceCodec:
 
     def digest(self, text: str | None) -> tuple[int, str, str]:
         """Number of ids, and the digests of the listed ids and the decoded text."""
-        got = self.parts(text) if text else []
-        return self._digest(sum(g[0] for g in got), b",".join(g[1] for g in got if g[0]), b"".join(g[2] for g in got))
+        got = [g.partition(b" ") for g in self.parts(text)] if text else []
+        return self._digest(sum(g[0].count(b",") + 1 for g in got), b",".join(g[0] for g in got), b"".join(g[2] for g in got))
 
     def digests(self, texts: list[str]) -> list[tuple[int, str, str]]:
         out: list = []
         lo = n = 0
         for hi, t in enumerate(texts):
             n += len(t)
-            if n >= 16 * MOST_CHARS:
+            if n >= TOGETHER_CHARS:
                 out += self._together(texts[lo : hi + 1])
                 lo, n = hi + 1, 0
         return out + self._together(texts[lo:])
@@ -262,11 +261,11 @@ class PieceCodec:
         marked = pa.array([" " + texts[k].replace("\n", "\0\n\0").replace(" ", "\0 ") for k in some], pa.large_string())
         lists = pc.split_pattern(marked, "\0")
         cuts = lists.values.dictionary_encode()
-        got = list(map(self.cut.__getitem__, cuts.dictionary.to_pylist()))
+        got = [self.known(cut).partition(b" ") for cut in cuts.dictionary.to_pylist()]
         which, bounds = cuts.indices.to_numpy(), lists.offsets.to_numpy()
-        count = np.concatenate([[0], np.cumsum(np.fromiter((g[0] for g in got), np.int64, len(got))[which])])[bounds]
+        count = np.concatenate([[0], np.cumsum(np.fromiter((g[0].count(b",") + 1 for g in got), np.int64, len(got))[which])])[bounds]
         sides = []
-        for values in ([g[1] + b"," for g in got], [g[2] for g in got]):
+        for values in ([g[0] + b"," for g in got], [g[2] for g in got]):
             size = np.fromiter(map(len, values), np.int64, len(values))
             sides.append((np.frombuffer(b"".join(values), np.uint8), np.cumsum(size) - size, size))
         for lo in range(0, len(some), SPLICED):
@@ -321,6 +320,13 @@ def decode_pieces(encoded: DataFrame, model_file: str, ids: str = "ids", text: s
     return kept.mapInArrow(run, schema)
 
 
+def spans(texts: pa.Array) -> list[tuple[int, int]]:
+    """(first, number) of rows that hold some ``TOGETHER_CHARS`` bytes each."""
+    upto = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+    first = np.flatnonzero(np.diff(upto // TOGETHER_CHARS, prepend=-1))
+    return list(zip(first.tolist(), np.diff(first, append=len(upto)).tolist()))
+
+
 def piece_digests(docs: DataFrame, model_file: str) -> DataFrame:
     """doc_id, n_tokens, ids_sha256 and decoded_sha256 of every whole text, in
     one pass and without a shuffle. Repeated rows give repeated results."""
@@ -329,8 +335,8 @@ def piece_digests(docs: DataFrame, model_file: str) -> DataFrame:
         only("pieces")
         use = codec(model_file)
         for b in batches:
-            for lo in range(0, b.num_rows, TOGETHER):
-                part = b.slice(lo, TOGETHER)
+            for lo, n in spans(b.column(1)):
+                part = b.slice(lo, n)
                 made = use.digests(texts_of(part.column(1)))
                 yield pa.RecordBatch.from_arrays(
                     [part.column(0), pa.array([m[0] for m in made], pa.int64()), pa.array([m[1] for m in made]), pa.array([m[2] for m in made])],

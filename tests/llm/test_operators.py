@@ -391,6 +391,39 @@ def test_pieces_equal_the_library():
         assert own.digest(t) == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(library.decode(ids).encode()).hexdigest())
 
 
+def test_pieces_keep_little_at_once():
+    """Before, up to 16 million characters were encoded together (a peak of 687 MB here),
+    and a kept cut was an entry of two tables, of several objects (371 bytes here)."""
+    import tracemalloc
+
+    own = pieces.PieceCodec(queries.PIECE_BPE)
+    texts = [" ".join(f"wort{(k + i) % 997}" for i in range(8_000)) for k in range(200)]
+    own.digests(texts[:1])
+    tracemalloc.start()
+    try:
+        got = own.digests(texts)
+        assert tracemalloc.get_traced_memory()[1] < 200e6
+        tracemalloc.reset_peak()
+        held = tracemalloc.get_traced_memory()[0]
+        own.digests([f"merk{k}x{k % 7}" for k in range(20_000)])
+        own.fits.clear()
+        assert tracemalloc.get_traced_memory()[0] - held < 250 * 20_000
+    finally:
+        tracemalloc.stop()
+    assert got == [own.digest(t) for t in texts]
+
+
+def test_pieces_keep_marks_that_stand_in_a_piece():
+    import sentencepiece
+
+    library = sentencepiece.SentencePieceProcessor(model_file=queries.PIECE_BPE)
+    own = pieces.PieceCodec(queries.PIECE_BPE)
+    odd = ["a ,b", " .", "x", "a, (b). \"c\"", "a\n,\n", "▁", "▁ ▁.", "  ,,  ", "e.g. 3,5%", "日本。, 語!", "\0 a", "n\n\nn ", "\n", " "]
+    for t in odd + [" ".join(odd)]:
+        assert own.encode(t) == library.encode(t)
+        assert own.digests([t]) == [own.digest(t)]
+
+
 def test_piece_columns_round_trip(spark, odd):
     enc = pieces.encode_pieces(odd, queries.PIECE_BPE)
     got = pieces.decode_pieces(enc, queries.PIECE_BPE).select("text", "decoded").collect()
