@@ -18,8 +18,13 @@ from ..storage import fresh_path
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
 
-def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int = 1) -> DataFrame:
-    return spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", per_trigger).option("pathGlobFilter", "events*.parquet").parquet(sf_dir)
+def event_stream(spark: SparkSession, sf_dir: str, per_trigger: int | None = None) -> DataFrame:
+    """The events, of one file or a folder of files, all of them in one micro-batch; or
+    ``per_trigger`` files at once, if they come in time order."""
+    stream = spark.readStream.schema(EVENTS)
+    if per_trigger is not None:
+        stream = stream.option("maxFilesPerTrigger", per_trigger)
+    return stream.parquet(f"{sf_dir}/events*.parquet")  # a pattern: a plain path must be a folder's
 
 
 class Maintainer:
