@@ -225,7 +225,7 @@ def best_level(good: np.ndarray, bad: np.ndarray) -> float:
     if not len(good) or not len(bad):
         return 0.0
     at = np.unique(np.concatenate([good, bad]))
-    right = np.searchsorted(np.sort(bad), at) / len(bad) - np.searchsorted(np.sort(good), at) / len(good)
+    right = np.searchsorted(np.sort(bad), at) * len(good) - np.searchsorted(np.sort(good), at) * len(bad)  # whole numbers: equal levels tie
     best = int(right.argmax())  # a level between the value at ``best`` and the one below it
     return float(at[best] if best == 0 else (at[best] + at[best - 1]) / 2)
 
